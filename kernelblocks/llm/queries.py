@@ -102,7 +102,7 @@ WITH parts AS (
 plain AS (
   SELECT *, CASE WHEN contains(url, '://') THEN
     regexp_replace(regexp_replace(host, '^www\.', ''), ':(80|443)$', '') || regexp_replace(path, '/+$', '')
-    || coalesce('?' || nullif(array_to_string(list_sort(list_filter(string_split(query, '&'), p -> p <> '' AND NOT regexp_matches(p, '^({_TRACKING})(=|$)'))), '&'), ''), '') END AS canonical
+    || coalesce('?' || nullif(array_to_string(list_sort([p for p in string_split(query, '&') if p <> '' AND NOT regexp_matches(p, '^({_TRACKING})(=|$)')]), '&'), ''), '') END AS canonical
   FROM parts),
 listed AS (SELECT DISTINCT canonical FROM plain WHERE regexp_matches(host, '(^|\.)({_LISTED})(\.|$)')),
 ruled AS (
