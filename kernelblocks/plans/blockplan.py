@@ -35,9 +35,9 @@ def memory_model(n: int, m: int, d: int, s: int, cols: int, rows: int, nodes: in
     part = {
         "data": n * (m + d) / rows,
         "model_state": 5.0 * s * m,
-        "output_state": 3.0 * n * m / rows,
+        "output_state": 4.0 * n * m / rows,
         "column_work": threads * (n * s / (rows * cols) + m * s / cols),
-        "output_work": threads * n * m / rows,
+        "output_work": (threads + 1) * n * m / rows,
         "factors": s * s / cols,
     }
     part["total"] = sum(part.values())
@@ -47,8 +47,8 @@ def memory_model(n: int, m: int, d: int, s: int, cols: int, rows: int, nodes: in
 
 def memory_model_simple(n: int, m: int, d: int, s: int, nodes: int, kappa: float = 1.0, threads: int = 1) -> float:
     """Numbers for each node where rows are cut by node and there are kappa s/d column blocks."""
-    cols = max(1, round(kappa * s / d))
-    return memory_model(n, m, d, s, cols, nodes, nodes, threads)["total"]
+    share = n / nodes
+    return share * m * (threads + 6) + share * d + 5.0 * s * m + (threads * share * d + threads * m * d + s * d) / kappa
 
 
 def materialized_bytes(n: int, s: int) -> float:

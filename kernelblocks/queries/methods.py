@@ -306,8 +306,8 @@ def _per_plan(spark: SparkSession, d: str, row, schema: str) -> DataFrame:
 
 
 @query(
-    _PLAN_SQL + "SELECT s::BIGINT AS s, r::BIGINT AS r, round(n * (m + d) / r, 3) AS data, round(5 * s * m, 3) AS model_state, round(3 * n * m / r, 3) AS output_state, round(s * s / c, 3) AS factors, "
-    "round(n * (m + d) / r + 5 * s * m + 3 * n * m / r + t * (n * s / (r * c) + m * s / c) + t * n * m / r + s * s / c, 3) AS total FROM n, p"
+    _PLAN_SQL + "SELECT s::BIGINT AS s, r::BIGINT AS r, round(n * (m + d) / r, 3) AS data, round(5 * s * m, 3) AS model_state, round(4 * n * m / r, 3) AS output_state, round(s * s / c, 3) AS factors, "
+    "round(n * (m + d) / r + 5 * s * m + 4 * n * m / r + t * (n * s / (r * c) + m * s / c) + (t + 1) * n * m / r + s * s / c, 3) AS total FROM n, p"
 )
 def memory_model(spark: SparkSession, d: str) -> DataFrame:
     def row(n, dd, m, s, c, r, t):

@@ -175,6 +175,8 @@ def test_memory_model_gives_the_printed_numbers():
     one = blockplan.memory_model(200_000, 10, 784, 100_000, 200, 1, 1, 6)["total"] * 8 / gib
     many = blockplan.memory_model(250_000, 10, 784, 100_000, 200, 32, 32, 64)["total"] * 8 / gib
     assert abs(one - 6.227) < 0.02 and abs(many - 2.361) < 0.02
+    simple = blockplan.memory_model_simple(200_000, 10, 784, 78_400, 20, 1.0, 6)
+    assert abs(simple / blockplan.memory_model(200_000, 10, 784, 78_400, 100, 20, 20, 6)["total"] - 1) < 1e-9
     assert abs(blockplan.materialized_bytes(2_200_000, 528_000) / 9.29e12 - 1) < 0.01
     assert abs(blockplan.comm_model(528_000, 147, 256)["buffer"] / 0.621e9 - 1) < 0.01
 
