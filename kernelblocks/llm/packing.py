@@ -67,6 +67,8 @@ def encoder(path: str) -> tuple:
                 return np.array(exact.encode(text, add_special_tokens=False).ids, np.uint32)
             return quick.encode_to_numpy(text, disallowed_special=())
 
+        size = max(exact.get_vocab_size(), len(pieces), CLOSING_ID + 1)
+        pieces = pieces + [b""] * (size - len(pieces))  # special tokens end and begin nothing
         ends = np.array([p.rstrip(b"\"')]").endswith((b".", b"!", b"?")) or b"\n" in p for p in pieces])
         blank = np.array([p[:1] in (b" ", b"\n", b"\t", b"\r") for p in pieces])
         _encoders[path] = ids, ends, blank
