@@ -3,8 +3,8 @@
 The labels say toxic or not. Grades for training are 0 for clean text and, among toxic text, 1 or 2
 by the number of distinct strongly associated words in it (2 above the median). The features are
 presences of the words of the whole text and of the openings of 4, 5 and 6 letters of its longer words,
-which stand for the forms of one stem; those are kept whose smoothed log-odds between toxic and clean
-texts of the sample stand out. One weight vector is shared by both thresholds.
+which stand for the forms of one stem; those are kept whose shares in the toxic and the clean texts of
+the sample differ by a likelihood ratio that stands out. One weight vector is shared by both thresholds.
 
 Defined results: null and empty texts, and all texts where no label exists, have severity 0.
 """
@@ -73,15 +73,25 @@ class ToxicityModel:
         self._words: dict[str, tuple[int, ...]] = {}
 
 
-def log_odds(rows: list[np.ndarray], toxic: np.ndarray, width: int) -> np.ndarray:
-    """z scores of each word's log-odds of standing in a toxic rather than a clean text, smoothed by one half."""
+def standing_out(rows: list[np.ndarray], toxic: np.ndarray, width: int) -> np.ndarray:
+    """Signed root of the likelihood ratio of each feature: how far its shares in toxic and clean texts differ.
+
+    Unlike a ratio of smoothed odds it doesn't weaken features that one side lacks.
+    """
     hit, miss = np.zeros(width), np.zeros(width)
     for r, y in zip(rows, toxic, strict=True):
         (hit if y else miss)[r] += 1
-    n1, n0 = max(int(toxic.sum()), 1), max(int((~toxic).sum()), 1)
-    a, b = hit + 0.5, miss + 0.5
-    gap = np.log(a / (n1 - hit + 0.5)) - np.log(b / (n0 - miss + 0.5))
-    return gap / np.sqrt(1 / a + 1 / (n1 - hit + 0.5) + 1 / b + 1 / (n0 - miss + 0.5))
+    n1, n0 = int(toxic.sum()), int((~toxic).sum())
+    out = np.zeros(width)
+    seen = np.flatnonzero(hit + miss)
+    h, m = hit[seen], miss[seen]
+    total = np.zeros(len(seen))
+    for got, own in ((h, n1), (n1 - h, n1), (m, n0), (n0 - m, n0)):
+        pooled = (h + m if got is h or got is m else n1 + n0 - h - m) * own / max(n1 + n0, 1)
+        total += np.where(got > 0, got * np.log(np.maximum(got, 1e-300) / np.maximum(pooled, 1e-300)), 0.0)
+    side = np.sign(h * n0 - m * n1)
+    out[seen] = side * np.sqrt(np.maximum(2 * total, 0.0))
+    return out
 
 
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, l2: float = 1e-4) -> ToxicityModel | None:
@@ -94,7 +104,7 @@ def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, l2
         return None
     words = [i for i, _ in rows]
     toxic = y > 0
-    z = log_odds(words, toxic, 1 << BITS)
+    z = standing_out(words, toxic, 1 << BITS)
     kept = np.argsort(-np.abs(z), kind="stable")[:KEPT_FEATURES]
     kept = kept[np.abs(z[kept]) >= LEAST_Z]
     spot = np.full(1 << BITS, -1)
