@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kernelblocks.llm.runtime import id_and_text
+from kernelblocks.llm.runtime import cut, id_and_text
 
 UNKNOWN = "unknown"
 LEAST_PROBABILITY = 0.5
@@ -237,6 +237,7 @@ def licences(
             ),
         )
     )
+    lines = cut(lines)  # the few lines that hold a cue, so that the texts are searched once
     kinds = lines.select("body").distinct().withColumn("grams", F.expr(_grams_sql("body")))
     sums = (
         kinds.select("body", F.explode("grams").alias("gram"))
