@@ -25,7 +25,7 @@ from kernelblocks.admm.step import BlockState, Root, SolverConfig, root_prox, ro
 from kernelblocks.functions.featuremaps import FeatureMap
 from kernelblocks.functions.prox import loss_of, reg_of
 from kernelblocks.plans.blocks import is_sparse, pack, unpack_batch, unpack_rows
-from kernelblocks.storage import ensure_checkpoint_dir
+from kernelblocks.storage import ensure_checkpoint_dir, kept_flat
 
 #: Above so many bytes the model is not collected on the driver in one piece.
 MAX_MODEL_BYTES = 2 << 30
@@ -141,7 +141,7 @@ def solve(
     for it in range(first, first + iters):
         old = [w.copy() for w in root.w_bar] if tol is not None else None
         root_prox(root, it, cfg)
-        out = _round(carried, root.w_bar, it, cfg).persist()
+        out, let_go = kept_flat(_round(carried, root.w_bar, it, cfg))
         sums, times, gap = _reduce(out, cfg, it)
         run.profile += [(it, r, step, sec) for r, step, sec in times]
         root_reduce(root, sums, it, cfg)
@@ -149,13 +149,15 @@ def solve(
         if it % checkpoint_every == 0 and it < first + iters - 1:
             carried = _rejoined(packed, carried.select("row_block", "payload").checkpoint(eager=True))
         if last is not None:
-            last.unpersist()
-        last = out
+            last()
+        last = let_go
         record = {"iter": it}
         if tol is not None:
             spread = sum(float(((w - root.w_bar[j]) ** 2).sum()) for j, w in enumerate(root.w))
             moved = sum(float(((w - o) ** 2).sum()) for w, o in zip(root.w_bar, old, strict=True))
-            record |= {"primal_residual": float(np.sqrt(spread + gap)), "dual_residual": cfg.rho * float(np.sqrt((full + 1) * moved))}
+            size = fmap.s * m
+            # root mean squares: of the local models and outputs against their consensus, and of the consensus' step
+            record |= {"primal_residual": float(np.sqrt((spread + gap) / ((full + 1) * size + n * m))), "dual_residual": float(np.sqrt(moved / size))}
         if eval_df is not None and eval_every and it % eval_every == 0:
             from kernelblocks.measures import accuracy
 
@@ -175,9 +177,9 @@ def solve(
     if save_state:
         carried.select("row_block", "payload").write.mode("overwrite").parquet(f"{save_state}/state")
         spark.createDataFrame([(bytearray(pickle.dumps((root, run.rounds + 1))),)], "payload binary").write.mode("overwrite").parquet(f"{save_state}/root")
-    for f in (last, packed):
-        if f is not None:
-            f.unpersist()
+    if last is not None:
+        last()
+    packed.unpersist()
     run.model = Model(fmap, [w.copy() for w in root.w_bar], coding, classes)
     run.seconds = time.perf_counter() - began
     return run

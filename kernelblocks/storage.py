@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import tempfile
+from collections.abc import Callable
 
-from pyspark.sql import SparkSession
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
@@ -13,3 +15,17 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
         spark.sparkContext.setCheckpointDir(
             spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="kb-checkpoint-")
         )
+
+
+def kept_flat(df: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
+    """(df kept in memory or on disk, a call that lets it go), with a plan that doesn't hold the plan of df.
+
+    Frames that are persisted one upon the other carry the plans of all before them, each printed again for
+    every query; in a loop that grows without bound. Here the rows are kept as the JVM has them, and the new
+    plan scans them. Lineage for lost executors stays, as with persist().
+    """
+    spark = df.sparkSession
+    rows = df._jdf.toJavaRDD()
+    rows.persist(spark.sparkContext._getJavaStorageLevel(StorageLevel.MEMORY_AND_DISK))
+    flat = DataFrame(spark._jsparkSession.createDataFrame(rows, df._jdf.schema()), spark)
+    return flat, lambda: rows.unpersist(False) and None
