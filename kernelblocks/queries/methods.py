@@ -302,7 +302,8 @@ _PLAN_SQL = "WITH n AS (SELECT count(*)::DOUBLE AS n FROM lineitem), p(d, m, s,
 
 def _per_plan(spark: SparkSession, d: str, row, schema: str) -> DataFrame:
     n = table(spark, d, "lineitem").count()
-    return spark.createDataFrame([row(n, *p) for p in _PLANS], schema)
+    df = spark.createDataFrame([row(n, *p) for p in _PLANS], schema)
+    return df.select(*(F.round(c, 3).alias(c) if t == "double" else F.col(c) for c, t in df.dtypes))
 
 
 @query(
@@ -312,7 +313,7 @@ def _per_plan(spark: SparkSession, d: str, row, schema: str) -> DataFrame:
 def memory_model(spark: SparkSession, d: str) -> DataFrame:
     def row(n, dd, m, s, c, r, t):
         got = blockplan.memory_model(n, m, dd, s, c, r, r, t)
-        return (s, r, *(round(float(got[k]), 3) for k in ("data", "model_state", "output_state", "factors", "total")))
+        return (s, r, *(float(got[k]) for k in ("data", "model_state", "output_state", "factors", "total")))
 
     return _per_plan(spark, d, row, "s long, r long, data double, model_state double, output_state double, factors double, total double")
 
@@ -321,7 +322,7 @@ def memory_model(spark: SparkSession, d: str) -> DataFrame:
 def flop_model(spark: SparkSession, d: str) -> DataFrame:
     def row(n, dd, m, s, c, r, t):
         got = blockplan.flop_model(n, m, dd, s, c, r)
-        return (s, *(round(got[k], 3) for k in ("transform", "sums", "solves", "products")))
+        return (s, *(float(got[k]) for k in ("transform", "sums", "solves", "products")))
 
     return _per_plan(spark, d, row, "s long, transform double, sums double, solves double, products double")
 
@@ -330,7 +331,7 @@ def flop_model(spark: SparkSession, d: str) -> DataFrame:
 def comm_model(spark: SparkSession, d: str) -> DataFrame:
     def row(n, dd, m, s, c, r, t):
         got = blockplan.comm_model(s, m, r)
-        return (s, round(got["buffer"], 3), round(got["round"], 3), round(blockplan.materialized_bytes(n, s), 3))
+        return (s, got["buffer"], got["round"], blockplan.materialized_bytes(n, s))
 
     return _per_plan(spark, d, row, "s long, buffer double, round_bytes double, materialized double")
 

@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 
 def watermarked(events: DataFrame, late: str = "10 minutes") -> DataFrame:
-    return events.withWatermark("ts", late) if events.isStreaming else events
+    """Streams get a watermark, for which the time must be an instant; tables stay as they are."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late) if events.isStreaming else events
 
 
 def tumbling(events: DataFrame, width: str = "1 hour") -> DataFrame:
