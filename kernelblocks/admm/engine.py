@@ -107,12 +107,14 @@ def solve(
     coding: str = "ovr",
     classes: list | None = None,
     keep_trajectory: bool = False,
+    tile_rows: int = 0,
 ) -> Run:
     """Fits W for mean loss + lam * reg on example(row_id, x, y[, label]).
 
     rho defaults to 1/n. tol stops when the primal and the dual residual fall below it; patience stops when
     the accuracy on eval_df, measured every eval_every rounds, hasn't grown for so many measurements.
-    resume and save_state name a folder that holds a run's whole state.
+    resume and save_state name a folder that holds a run's whole state. tile_rows bounds the features that a
+    task holds at once to so many rows of one column block, for twice the transforms.
     """
     spark = examples.sparkSession
     ensure_checkpoint_dir(spark)
@@ -124,7 +126,7 @@ def solve(
         packed.unpersist()
         raise ValueError("there are no examples")
     n, full, m = int(shape[0]), int(shape[1]), int(shape[2]) // 8
-    cfg = SolverConfig(fmap, loss, reg, lam, rho or 1.0 / n, n, m, full, layout, cache, gram_shortcut, block_fraction, threads, seed)
+    cfg = SolverConfig(fmap, loss, reg, lam, rho or 1.0 / n, n, m, full, layout, cache, gram_shortcut, block_fraction, threads, seed, tile_rows)
     if fmap.s * m * 8 > MAX_MODEL_BYTES:
         raise ValueError("the model is too large for the driver; use fewer outputs or features")
     per_block = 8 * (3 * fmap.s * m + 3 * n * m / full + (fmap.s * max(fmap.width(0), 1) if cache != "none" else 0))

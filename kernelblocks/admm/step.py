@@ -11,7 +11,8 @@ A round on a row block, given the consensus of the last one:
 The state holds one output gap and one averaged output for all column blocks, not an output matrix for
 each. `layout` selects other forms: "explicit" keeps an output matrix for every column block, "printed"
 leaves out the output dual in the projection and updates duals with the old consensus (it stalls; for
-tests), and `gram_shortcut` forms Z'Z W from a stored Gram matrix.
+tests), `gram_shortcut` forms Z'Z W from a stored Gram matrix, and `tile_rows` makes the features of so
+many rows at a time: a block whose features don't fit in memory takes two transforms a round instead of one.
 """
 
 from __future__ import annotations
@@ -21,8 +22,8 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
-from kernelblocks.functions.featuremaps import Batch, FeatureMap
-from kernelblocks.functions.graphproj import Factor, factor
+from kernelblocks.functions.featuremaps import Batch, FeatureMap, Sparse
+from kernelblocks.functions.graphproj import Factor, factor, factor_of_gram
 from kernelblocks.functions.prox import loss_of, reg_of
 from kernelblocks.functions.rng import generator
 
@@ -43,6 +44,7 @@ class SolverConfig:
     block_fraction: float = 1.0
     threads: int = 1
     seed: int = 0
+    tile_rows: int = 0
 
     @property
     def cols(self) -> int:
@@ -113,6 +115,12 @@ def _made(st: BlockState, x: Batch, j: int, cfg: SolverConfig, clock: _Clock) ->
     return z, q
 
 
+def _tiles(x: Batch, size: int):
+    for k in range(0, x.shape[0], size):
+        rows = slice(k, min(k + size, x.shape[0]))
+        yield (x.rows(rows.start, rows.stop) if isinstance(x, Sparse) else x[rows]), rows
+
+
 def row_block_step(st: BlockState, x: Batch, y: np.ndarray, w_bar: list[np.ndarray], it: int, cfg: SolverConfig) -> BlockState:
     """One round; st is changed and returned. st.seconds then has the time of each step."""
     if cfg.layout == "explicit":
@@ -132,7 +140,34 @@ def row_block_step(st: BlockState, x: Batch, y: np.ndarray, w_bar: list[np.ndarr
     active = cfg.active(it)
     stochastic = st.partial is not None
 
+    def one_tiled(j: int) -> np.ndarray:
+        s_j, known = cfg.fmap.width(j), st.q[j] is not None
+        a, g = np.zeros((s_j, cfg.m)), None if known else np.zeros((s_j, s_j))
+        before = st.w[j]
+        for tile, rows in _tiles(x, cfg.tile_rows):
+            z = cfg.fmap.block(tile, j)
+            clock.lap("transform")
+            a += z.T @ pull[rows]
+            if g is not None:
+                g += z.T @ z
+            clock.lap("projection")
+        if g is not None:
+            st.gram[j], st.q[j] = g, factor_of_gram(g, "tall", "cholesky" if cfg.cache == "cholesky" else "inverse")
+            clock.lap("factor")
+        st.w[j] = st.q[j].solve(None, w_bar[j] - st.mu[j] + st.u[j] + a)
+        st.u[j] = st.gram[j] @ st.w[j]
+        step = st.w[j] - before if stochastic else st.w[j]
+        p = np.empty_like(o)
+        for tile, rows in _tiles(x, cfg.tile_rows):
+            z = cfg.fmap.block(tile, j)
+            clock.lap("transform")
+            p[rows] = z @ step
+            clock.lap("projection")
+        return p
+
     def one(j: int) -> np.ndarray:
+        if cfg.tile_rows:
+            return one_tiled(j)
         z, q = _made(st, x, j, cfg, clock)
         before = z @ st.w[j] if stochastic else None
         st.w[j] = q.solve(z, w_bar[j] - st.mu[j] + st.u[j] + z.T @ pull)

@@ -158,10 +158,10 @@ def big_breakdown(spark: SparkSession, sf_dir: str, s: int = 1024, cols: int = 8
     return measures.step_profile(spark.createDataFrame(times, "row_block int, step string, sec double"))
 
 
-def compare_svm(spark: SparkSession, sf_dir: str, iters: int = 20) -> DataFrame:
+def compare_svm(spark: SparkSession, sf_dir: str, iters: int = 30) -> DataFrame:
     """The block solver, the sequential exact machine and the low-rank machine on a binary task."""
     train, test = train_test(spark, sf_dir, "xor01")
-    lam, kernel = 1e-3, kernels.make("gaussian", sigma=1.0)
+    lam, kernel, n = 1e-3, kernels.make("gaussian", sigma=1.0), train.count()
     rows = []
 
     def add(name: str, fit, score) -> None:
@@ -171,18 +171,18 @@ def compare_svm(spark: SparkSession, sf_dir: str, iters: int = 20) -> DataFrame:
         if hasattr(model, "n_support"):
             rows.append(("compare_svm", "xor01", name, "lam", lam, "n_support", model.n_support))
 
-    add("block", lambda: solve(train, FourierMap(2, 256, 4, seed=1, sigma=1.0), "hinge", "ridge", lam, rows=4, iters=iters, checkpoint_every=10).model, lambda m: predict(test, m))
+    add("block", lambda: solve(train, FourierMap(2, 512, 1, seed=1, sigma=1.0), "hinge", "ridge", lam, rho=0.3 / n, rows=4, iters=iters, checkpoint_every=10).model, lambda m: predict(test, m))
     add("sequential", lambda: smo_svm(train, kernel, lam), lambda m: predict_dual(test, m))
     add("low_rank", lambda: lowrank_svm(train, kernel, lam), lambda m: predict_dual(test, m))
     return _rows(spark, rows)
 
 
-def compare_linear(spark: SparkSession, sf_dir: str, s: int = 256, iters: int = 12) -> DataFrame:
+def compare_linear(spark: SparkSession, sf_dir: str, s: int = 256, iters: int = 24) -> DataFrame:
     """The block solver against linear solvers on the same features, stored beforehand."""
     train, test = train_test(spark, sf_dir, "argmax10")
     lam, rows = 1e-3, []
     fmap = FourierMap(10, s, 4, seed=1, sigma=4.0)
-    run = solve(train, fmap, "hinge", "ridge", lam, rows=4, iters=iters, checkpoint_every=10)
+    run = solve(train, fmap, "hinge", "ridge", lam, rho=0.3 / train.count(), rows=4, iters=iters, checkpoint_every=10)
     rows += [("compare_linear", "argmax10", "block", "s", s, "train_seconds", run.seconds), ("compare_linear", "argmax10", "block", "s", s, "accuracy", _score(run, test)[0])]
     for opt in ("lbfgs", "sgd"):
         began = time.perf_counter()

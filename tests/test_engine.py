@@ -29,7 +29,7 @@ def blocks_of(packed):
     return [unpack_batch(bytes(r["x"]), r["d"]) for r in rows], [np.frombuffer(bytes(r["y"])).reshape(r["n"], -1) for r in rows]
 
 
-@pytest.mark.parametrize("options", [{}, {"layout": "explicit"}, {"block_fraction": 0.5}, {"gram_shortcut": True, "threads": 2}])
+@pytest.mark.parametrize("options", [{}, {"layout": "explicit"}, {"block_fraction": 0.5}, {"gram_shortcut": True, "threads": 2}, {"tile_rows": 16, "block_fraction": 0.5}])
 def test_equals_one_process(spark, xor, options):
     xs, ys = blocks_of(pack(xor, 3))
     n = sum(map(len, ys))

@@ -24,7 +24,7 @@ def optimum(f, lam=1e-2):
     return np.linalg.solve(z.T @ z + N * lam * np.eye(S), z.T @ Y)
 
 
-@pytest.mark.parametrize("variant", [{"layout": "explicit"}, {"gram_shortcut": True}, {"cache": "cholesky"}, {"cache": "none"}, {"threads": 3}])
+@pytest.mark.parametrize("variant", [{"layout": "explicit"}, {"gram_shortcut": True}, {"cache": "cholesky"}, {"cache": "none"}, {"threads": 3}, {"tile_rows": 7}, {"tile_rows": 1000, "cache": "cholesky"}])
 def test_variants_take_the_same_path(variant):
     a, _, _ = run(3, 4, 20)
     b, _, _ = run(3, 4, 20, **variant)
