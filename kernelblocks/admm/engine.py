@@ -108,6 +108,7 @@ def solve(
     classes: list | None = None,
     keep_trajectory: bool = False,
     tile_rows: int = 0,
+    consensus: str = "broadcast",
 ) -> Run:
     """Fits W for mean loss + lam * reg on example(row_id, x, y[, label]).
 
@@ -115,6 +116,8 @@ def solve(
     the accuracy on eval_df, measured every eval_every rounds, hasn't grown for so many measurements.
     resume and save_state name a folder that holds a run's whole state. tile_rows bounds the features that a
     task holds at once to so many rows of one column block, for twice the transforms.
+    consensus "broadcast" takes the root's step on the driver; "join" takes it by column block on the executors
+    (a fixed number of rounds, no history) and the driver gets the weights at the end alone.
     """
     spark = examples.sparkSession
     ensure_checkpoint_dir(spark)
@@ -127,6 +130,13 @@ def solve(
         raise ValueError("there are no examples")
     n, full, m = int(shape[0]), int(shape[1]), int(shape[2]) // 8
     cfg = SolverConfig(fmap, loss, reg, lam, rho or 1.0 / n, n, m, full, layout, cache, gram_shortcut, block_fraction, threads, seed, tile_rows)
+    if consensus == "join":
+        from kernelblocks.admm.joined import solve_joined
+
+        got = sorted(solve_joined(packed, cfg, iters, checkpoint_every, rows).collect(), key=lambda r: r["col_block"])
+        packed.unpersist()
+        weights = [np.frombuffer(bytes(r["w_bar"]), "<f8").reshape(-1, m) for r in got]
+        return Run(Model(fmap, weights, coding, classes), seconds=time.perf_counter() - began, rounds=iters, config=cfg)
     if fmap.s * m * 8 > MAX_MODEL_BYTES:
         raise ValueError("the model is too large for the driver; use fewer outputs or features")
     per_block = 8 * (3 * fmap.s * m + 3 * n * m / full + (fmap.s * max(fmap.width(0), 1) if cache != "none" else 0))

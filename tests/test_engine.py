@@ -49,6 +49,13 @@ def test_keyed_sum_gives_the_same(spark, xor, monkeypatch):
     assert np.abs(a - b).max() < 1e-12
 
 
+@pytest.mark.parametrize("options", [{"rows": 3}, {"rows": 18, "block_fraction": 0.5}])
+def test_consensus_by_join_gives_the_same(spark, xor, options):
+    a = solve(xor, FMAP, "hinge", "lasso", iters=5, checkpoint_every=2, **options).model.matrix
+    b = solve(xor, FMAP, "hinge", "lasso", iters=5, checkpoint_every=2, consensus="join", **options).model.matrix
+    assert np.abs(a - b).max() < 1e-10
+
+
 def test_resume_goes_on_where_it_stopped(spark, xor, tmp_path):
     whole = solve(xor, FMAP, rows=2, iters=8).model.matrix
     folder = f"file://{tmp_path}/state"
