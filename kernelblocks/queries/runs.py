@@ -6,10 +6,11 @@ from pyspark.sql import DataFrame, SparkSession
 
 from kernelblocks import measures
 from kernelblocks.admm.engine import predict, solve
-from kernelblocks.baselines.linear import materialized_linear
+from kernelblocks.baselines.linear import average_ensemble, materialized_linear
 from kernelblocks.baselines.ridge import exact_ridge, feature_ridge, predict_dual
+from kernelblocks.baselines.svm import lowrank_svm, smo_svm
 from kernelblocks.functions import kernels
-from kernelblocks.functions.featuremaps import FourierMap, LaplaceMap, StructuredFourierMap, TensorSketchMap
+from kernelblocks.functions.featuremaps import Concatenated, FourierMap, LaplaceMap, StructuredFourierMap, TensorSketchMap
 from kernelblocks.queries.registry import query
 from kernelblocks.workloads import experiments
 from kernelblocks.workloads.flagship import flagship
@@ -90,6 +91,38 @@ def baseline_exact_ridge(spark: SparkSession, d: str) -> DataFrame:
     return _accuracy(spark, "exact", predict_dual(test, exact_ridge(train, kernels.make("gaussian", sigma=1.0), 1e-3)))
 
 
+@query()
+def baseline_smo(spark: SparkSession, d: str) -> DataFrame:
+    train, test = experiments.train_test(spark, d, "xor01")
+    return _accuracy(spark, "smo", predict_dual(test, smo_svm(train, kernels.make("gaussian", sigma=1.0), 1e-3)))
+
+
+@query()
+def baseline_lowrank(spark: SparkSession, d: str) -> DataFrame:
+    train, test = experiments.train_test(spark, d, "xor01")
+    return _accuracy(spark, "low_rank", predict_dual(test, lowrank_svm(train, kernels.make("gaussian", sigma=1.0), 1e-3)))
+
+
+@query()
+def baseline_ensemble(spark: SparkSession, d: str) -> DataFrame:
+    train, test = experiments.train_test(spark, d, "xor01")
+    return _accuracy(spark, "average", predict(test, average_ensemble(train, FourierMap(2, 128, 1, seed=1, sigma=1.0), 1e-3, 8)))
+
+
+@query()
+def map_concat(spark: SparkSession, d: str) -> DataFrame:
+    inner = FourierMap(10, 1, 1, sigma=4.0)
+    return _map_query(spark, d, "concatenated", "argmax10", Concatenated(10, 512, 4, seed=1, inner=inner))
+
+
+@query()
+def solver_joined_consensus(spark: SparkSession, d: str) -> DataFrame:
+    """The solver on lineitem with the root's step on the executors, a tile of rows at a time."""
+    train, test = experiments.train_test(spark, d, "checker")
+    run = solve(train, FourierMap(2, 128, 4, seed=1, sigma=1.0), "hinge", "ridge", 1e-4, rows=4, iters=6, consensus="join", tile_rows=4096)
+    return _accuracy(spark, "joined", predict(test, run.model))
+
+
 @query()
 def baseline_materialized(spark: SparkSession, d: str) -> DataFrame:
     train, test = experiments.train_test(spark, d, "quality")
