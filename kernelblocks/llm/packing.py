@@ -65,7 +65,7 @@ def encoder(path: str) -> tuple:
         def ids(text: str) -> np.ndarray:
             if any(s in text for s in special):
                 return np.array(exact.encode(text, add_special_tokens=False).ids, np.uint32)
-            return quick.encode_to_numpy(text, disallowed_special=())
+            return np.array(quick.encode_ordinary(text), np.uint32)
 
         size = max(exact.get_vocab_size(), len(pieces), CLOSING_ID + 1)
         pieces = pieces + [b""] * (size - len(pieces))  # special tokens end and begin nothing
