@@ -1,7 +1,7 @@
 """Prepares the documents for training: five stages, each with the whole output of the one before.
 
 quality     documents whose tail probability of a good grade is too low go
-near_copies one document of each group of SimHash near-duplicates stays
+near_copies one document of each group of near copies (Jaccard of five-word shingles 0.8 or more) stays
 leaks       documents that hold a benchmark item go
 secrets     secrets are replaced by a mask
 packing     the documents become sequences of token ids; a row for each piece
@@ -13,7 +13,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from kernelblocks.llm import decontamination, packing, quality, secretscan, simhash
+from kernelblocks.llm import decontamination, nearcopies, packing, quality, secretscan
 from kernelblocks.llm.queries import tokenizer_path
 from kernelblocks.llm.runtime import cut, table
 from kernelblocks.session import ship_package
@@ -27,7 +27,7 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     ship_package(spark)
-    return simhash.keep_one(docs)
+    return nearcopies.keep_one(docs)
 
 
 def leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -14,6 +14,7 @@ from kernelblocks.llm import (
     decontamination,
     lattice,
     licensescan,
+    nearcopies,
     ordinal,
     packing,
     quality,
@@ -108,6 +109,34 @@ def test_simhash_edges(spark):
     assert sorted(r["doc_id"] for r in kept.collect()) == [1, 3, 7, 9] and kept.columns == ["doc_id", "text", "fp", "component_id"]
 
 
+def test_near_copies_lose_no_pair_of_jaccard_above_the_bound(spark, monkeypatch):
+    monkeypatch.setattr(nearcopies, "FREQUENT", 3)
+    rng = random.Random(4)
+    common = " ".join(f"c{k}" for k in range(30))
+    texts = []
+    for g in range(12):
+        words = [f"w{rng.randrange(4000)}" for _ in range(rng.choice((20, 120, 400)))] + (common.split() if g % 3 == 0 else [])
+        for _ in range(14 if g == 0 else 6):
+            own = list(words)
+            for _ in range(rng.randrange(1 + len(own) // 40)):
+                own[rng.randrange(len(own))] = f"x{rng.randrange(10**6)}"
+            texts.append(" ".join(own))
+    texts += ["", None, "one two", "One  Two"] + [common + f" t{k}" for k in range(12)]
+    sets = [set(nearcopies.shingle_set(t).tolist()) for t in texts]
+
+    def near(a, b):
+        return a == b or len(a & b) >= 0.8 * len(a | b)
+
+    label = list(range(len(texts)))
+    for _ in texts:
+        for i in range(len(texts)):
+            label[i] = min(label[j] for j in range(len(texts)) if near(sets[i], sets[j]))
+    kept = nearcopies.keep_one(spark.createDataFrame(list(enumerate(texts)), DOC).repartition(5))
+    assert sorted(r["doc_id"] for r in kept.collect()) == [i for i, k in enumerate(label) if i == k]
+    # op6's setting leaves some of them
+    assert simhash.keep_one(spark.createDataFrame(list(enumerate(texts)), DOC)).count() > len(set(label))
+
+
 # --- secrets
 
 ASSIGN = re.compile(r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
