@@ -17,6 +17,7 @@ empty table gives no piece.
 
 from __future__ import annotations
 
+import re
 import zlib
 from collections import deque
 from collections.abc import Iterator
@@ -42,15 +43,22 @@ LOOSE_TOKENS = 1 << 13
 #: The pattern of the byte-level vocabulary's words (fixed value).
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 
+#: tiktoken gives up on much longer runs of white space; texts with such a run take the exact way.
+LONG_BLANK = 100_000
+
 _encoders: dict[str, tuple] = {}
 
 
+def _has_long_blank(text: str) -> bool:
+    return len(text) >= LONG_BLANK and any(m.end() - m.start() >= LONG_BLANK for m in re.finditer(r"\s+", text))
+
+
 def encoder(path: str) -> tuple:
     """(text -> ids, whether each id ends a sentence, whether each id begins with white space), once for each worker.
 
     The ids are those of the tokenizers library for the file; a text that spells one of the file's
-    special tokens goes through that library itself, all others through the same merges in tiktoken,
-    which is several times as fast.
+    special tokens or holds a very long run of white space goes through that library itself, all
+    others through the same merges in tiktoken, which is several times as fast.
     """
     if path not in _encoders:
         import tiktoken
@@ -63,7 +71,7 @@ def encoder(path: str) -> tuple:
         quick = tiktoken.Encoding("packing", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
 
         def ids(text: str) -> np.ndarray:
-            if any(s in text for s in special):
+            if any(s in text for s in special) or _has_long_blank(text):
                 return np.array(exact.encode(text, add_special_tokens=False).ids, np.uint32)
             return np.array(quick.encode_ordinary(text), np.uint32)
 

@@ -269,6 +269,16 @@ def test_packing_is_an_exact_cover_with_little_padding(spark, docs):
     assert packing.pack(src.limit(0), path).count() == 0
 
 
+def test_very_long_white_space_is_packed(spark):
+    from tokenizers import Tokenizer
+
+    exact = Tokenizer.from_file(tokenizer_path())
+    texts = [" " * 2_000_000 + "x", "a" + "\n" * 1_200_000 + "x", "a b " * 30_000]
+    got = packing.pack(spark.createDataFrame(list(enumerate(texts)), DOC), tokenizer_path()).collect()
+    for i, text in enumerate(texts):
+        assert sum(r["length"] for r in got if r["doc_id"] == i) == len(exact.encode(text).ids) + 1
+
+
 def test_cuts_are_the_best_ones():
     r = random.Random(2)
     for _ in range(40):
