@@ -1,15 +1,19 @@
 """Benchmark decontamination by template windows and consistent slots.
 
 A text becomes a row of words in which numbers, names and units stand as typed placeholders, so that
-an exercise with other figures or other people keeps its template. Windows of five template words are
-looked up by hash in a table of the benchmark's windows (a hash join inside the task; the table has a
-bound and a larger benchmark is taken in blocks). The hits of one item on one alignment count as
-contamination when they cover half of the item's windows or more and the placeholders agree: one
-value of the item always stands for one value of the document, and the other way round.
-
-A window counts only if three of its words at least are no placeholders. Items with fewer words than a
-window are one window as they are. Defined results: null and empty texts match nothing, and neither
-do items without any countable window; repeated documents and items give a row each.
+an exercise with other figures or other people keeps its template. Number words are numbers, and a unit
+glued to its number is a word of its own. A capitalised word that isn't a common one is a name; where it
+begins a sentence it may be an ordinary word too, and both readings are looked up. Windows of five
+template words are looked up by hash in a table of the benchmark's windows (a hash join inside the task;
+the table has a bound and a larger benchmark is taken in blocks). The hits of one item on one alignment
+count as contamination when they cover half of the item's windows or more and the placeholders agree:
+one value of the item always stands for one value of the document, and the other way round.
+
+A window is a template only if three of its words at least are no placeholders; windows poorer than
+that are looked up with all their words as they are, so that exact copies of them match. Half of the
+windows means half of the templates in either reading or half of all windows. Items with fewer words
+than a window are one window as they are. Defined results: null and empty texts match nothing; repeated
+documents and items give a row each.
 """
 
 from __future__ import annotations
@@ -41,14 +45,42 @@ UNITS = frozenset(
     "percent % $ € £ °c °f kmh km/h mph hz khz mhz ghz w kw v a j kj n pa".split()
 )
 NUMBER = re.compile(r"[+-]?[$€£]?\d[\d.,:/]*%?")
+GLUED = re.compile(r"([+-]?[$€£]?\d[\d.,:/]*)([^\d\W][^\d]*|[€£$°][^\d]*)")
+NUMBER_WORDS = frozenset(
+    "zero one two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen seventeen "
+    "eighteen nineteen twenty thirty forty fifty sixty seventy eighty ninety hundred thousand million billion".split()
+)
+#: Words that are no names though they begin many sentences (fixed values).
+COMMON = frozenset(
+    "a an the this that these those there here it its he she they we you i his her their our your my him them us "
+    "if in on at by for from to of with without and or but so as than then when while where who whom whose which what "
+    "why how is are was were be been do does did has have had can could will would shall should may might must not no "
+    "yes all each every some any both either neither many much more most few several other another after before during "
+    "since until because although though however therefore thus also only just now once let suppose given find "
+    "calculate compute determine show prove consider assume write explain describe".split()
+)
 EDGES = ".,;:!?\"'()[]{}«»“”‘’…|*#&~`_-"
 
 # The packed record of a word: 56 bits of hash, then these flags.
-NUM, CAP, UNIT, STOP = 1, 2, 4, 8
+NUM, CAP, UNIT, STOP, GLUE = 1, 2, 4, 8, 16
+FLAG_BITS = 5
 _HASH_STEP = np.uint64(0x9E3779B97F4A7C15)
 _PLACE = {NUM: np.uint64(0x1D8E4E27C47D124F), CAP: np.uint64(0xA3EC647659359ACD), UNIT: np.uint64(0x7A1C8E5B7F2D93B1)}
 
 
+def _glued(bare: str) -> int:
+    """The length of the number before a unit, or 0."""
+    m = GLUED.fullmatch(bare)
+    return len(m[1]) if m and m[2].lower() in UNITS else 0
+
+
+def _parted(word: str) -> tuple[str, ...]:
+    bare = word.strip(EDGES)
+    size = _glued(bare)
+    at = word.index(bare) + size
+    return (word[:at], word[at:]) if size else (word,)
+
+
 class _Words(dict):
     def __missing__(self, word: str) -> int:
         if len(self) >= CACHE_WORDS:
@@ -60,12 +92,14 @@ class _Words(dict):
             code = 0  # a sign alone is no word
         else:
             raw = low.encode("utf-8", "surrogatepass")
-            code = (zlib.crc32(raw) << 24 | zlib.adler32(raw) & 0xFFFFFF) << 4
-            if NUMBER.fullmatch(bare):
+            code = (zlib.crc32(raw) << 24 | zlib.adler32(raw) & 0xFFFFFF) << FLAG_BITS
+            if NUMBER.fullmatch(bare) or low in NUMBER_WORDS or ("-" in low and NUMBER_WORDS.issuperset(low.split("-"))):
                 flags |= NUM
             elif low in UNITS:
                 flags |= UNIT
-            if len(bare) > 1 and bare[0].isupper() and bare[1:].islower():
+            elif _glued(bare):
+                flags |= GLUE
+            if len(bare) > 1 and bare[0].isupper() and bare[1:].islower() and low not in COMMON:
                 flags |= CAP
         out = self[word] = code | flags
         return out
@@ -74,12 +108,15 @@ class _Words(dict):
 _words = _Words()
 
 
-def templates(text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(code of each template word, code of the word itself, kind of its placeholder or 0)."""
+def readings(text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(code of each word, kind of its placeholder or 0, whether it may be an ordinary word as well)."""
     tokens = (text or "").split()
-    codes = np.fromiter(map(_words.__getitem__, tokens), np.int64, len(tokens)).view(np.uint64)
-    word = codes >> np.uint64(4)
-    flags = (codes & np.uint64(15)).astype(np.int64)
+    codes = np.fromiter(map(_words.__getitem__, tokens), np.int64, len(tokens))
+    if (codes & GLUE).any():
+        tokens = [part for w in tokens for part in _parted(w)]
+        codes = np.fromiter(map(_words.__getitem__, tokens), np.int64, len(tokens))
+    word = codes.view(np.uint64) >> np.uint64(FLAG_BITS)
+    flags = codes & ((1 << FLAG_BITS) - 1)
     real = word != 0
     stops = np.concatenate(([True], (flags & STOP) > 0))[:-1]
     if not real.all():
@@ -91,28 +128,76 @@ def templates(text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     word, flags, stops = word[real], flags[real], stops[real]
     number = (flags & NUM) > 0
     unit = ((flags & UNIT) > 0) & np.concatenate(([False], number[:-1])) if len(word) else number
-    name = ((flags & CAP) > 0) & ~stops & ~unit
+    name = ((flags & CAP) > 0) & ~unit & ~number
     kind = np.where(number, NUM, np.where(unit, UNIT, np.where(name, CAP, 0)))
+    return word, kind, name & stops
+
+
+def _template(word: np.ndarray, kind: np.ndarray) -> np.ndarray:
     out = word.copy()
     for k, v in _PLACE.items():
         out[kind == k] = v
-    return out, word, kind
+    return out
 
 
-def windows(template: np.ndarray, kind: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(hash of each window, whether it counts); a text shorter than a window is one window."""
-    n = len(template)
-    if not n:
-        return np.zeros(0, np.uint64), np.zeros(0, bool)
-    size = min(WINDOW, n)
-    count = n - size + 1
+def _hashed(row: np.ndarray, size: int) -> np.ndarray:
+    count = len(row) - size + 1
     h = np.full(count, np.uint64(size))
-    literal = np.zeros(count, np.int64)
     for k in range(size):
-        h = (h ^ template[k : k + count]) * _HASH_STEP
+        h = (h ^ row[k : k + count]) * _HASH_STEP
         h ^= h >> np.uint64(29)
-        literal += kind[k : k + count] == 0
-    return h, literal >= min(LITERALS, size)
+    return h
+
+
+def _within(marks: np.ndarray, size: int) -> np.ndarray:
+    """How many marks each window holds."""
+    sums = np.concatenate(([0], np.cumsum(marks)))
+    return sums[size:] - sums[:-size]
+
+
+def windows(
+    word: np.ndarray, kind: np.ndarray, either: np.ndarray, size: int
+) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(hashes to look up, place of each, templates with all names, templates with no name at a sentence's start).
+
+    Names at starts are read as names, as words, and in turns where a window holds several.
+    """
+    need = min(LITERALS, size)
+    rich = _within(kind == 0, size) >= need
+    hashes, places = [_hashed(_template(word, kind), size)[rich]], [np.flatnonzero(rich)]
+    plain = rich
+    if not rich.all():
+        poor = np.flatnonzero(~rich)
+        hashes.append(~_hashed(word, size)[poor])
+        places.append(poor)
+    if either.any():
+        held = _within(either, size)
+        turn = np.cumsum(either) % 2 == 0
+        for k, (words, least) in enumerate(((either, 1), (either & turn, 2), (either & ~turn, 2))):
+            other = np.where(words, 0, kind)
+            good = _within(other == 0, size) >= need
+            if k == 0:
+                plain = good
+            at = np.flatnonzero(good & (held >= least))
+            if len(at):
+                hashes.append(_hashed(_template(word, other), size)[at])
+                places.append(at)
+    return np.concatenate(hashes), np.concatenate(places), rich, plain
+
+
+class _Item:
+    """An item's words, and which of its windows are templates in either reading."""
+
+    def __init__(self, item_id: int, word: np.ndarray, kind: np.ndarray, rich: np.ndarray, plain: np.ndarray) -> None:
+        self.item_id, self.word, self.kind = item_id, word, kind
+        self.sets = [m for m in (rich, plain, np.ones(len(rich), bool)) if m.any()]
+
+    def covered(self, places: set[int]) -> tuple[int, float]:
+        """(windows hit, their share) for the set of windows with the largest share."""
+        at = np.fromiter(places, np.int64, len(places))
+        counts = [(int(m[at].sum()), int(m.sum())) for m in self.sets]
+        n, total = max(counts, key=lambda c: (c[0] / c[1], c[0]))
+        return n, n / total
 
 
 class Index:
@@ -120,19 +205,19 @@ class Index:
 
     def __init__(self, items: list[tuple[int, str | None]]) -> None:
         hashes, owner, place = [], [], []
-        self.items: list[tuple[int, int, np.ndarray, np.ndarray]] = []
+        self.items: list[_Item] = []
         self.sizes = set()
         for item_id, text in items:
-            t, word, kind = templates(text)
-            h, good = windows(t, kind)
-            if not good.any():
+            word, kind, either = readings(text)
+            if not len(word):
                 continue
-            at = np.flatnonzero(good)
-            self.sizes.add(min(WINDOW, len(t)))
-            hashes.append(h[at])
+            size = min(WINDOW, len(word))
+            h, at, rich, plain = windows(word, kind, either, size)
+            self.sizes.add(size)
+            hashes.append(h)
             owner.append(np.full(len(at), len(self.items)))
             place.append(at)
-            self.items.append((item_id, len(at), word, kind))
+            self.items.append(_Item(item_id, word, kind, rich, plain))
         none = np.zeros(0, np.int64)
         h = np.concatenate(hashes or [none.astype(np.uint64)])
         order = np.argsort(h, kind="stable")
@@ -143,34 +228,34 @@ class Index:
 
     def matches(self, text: str | None, coverage: float) -> list[tuple[int, int, float, int, bool]]:
         """(item_id, windows hit, coverage, slots, verbatim) of each item that the text holds."""
-        t, word, kind = templates(text)
+        word, kind, either = readings(text)
         found: list[tuple[int, int, float, int, bool]] = []
-        if not len(t) or not len(self):
+        if not len(word) or not len(self):
             return found
-        n = len(t)
-        hits: dict[int, list[tuple[int, int]]] = defaultdict(list)
+        n = len(word)
+        hits: dict[int, set[tuple[int, int]]] = defaultdict(set)
         for size in self.sizes:
             if size > n:
                 continue
-            h, good = windows(t, kind) if size == WINDOW or size == n else _short(t, kind, size)
+            h, at, _, _ = windows(word, kind, either, size)
             lo = np.searchsorted(self.hash, h)
-            ok = np.flatnonzero(good & (self.hash[np.minimum(lo, len(self.hash) - 1)] == h))
+            ok = np.flatnonzero(self.hash[np.minimum(lo, len(self.hash) - 1)] == h)
             for p in ok:
                 k = lo[p]
                 while k < len(self.hash) and self.hash[k] == h[p]:
-                    hits[int(self.owner[k])].append((int(p), int(self.place[k])))
+                    hits[int(self.owner[k])].add((int(at[p]), int(self.place[k])))
                     k += 1
         for who, pairs in hits.items():
-            item_id, total, item_word, item_kind = self.items[who]
-            if len({b for _, b in pairs}) < coverage * total:
+            item = self.items[who]
+            if item.covered({b for _, b in pairs})[1] < coverage:
                 continue
-            best = self._aligned(pairs, word, kind, item_word, item_kind)
-            if best and best[0] >= coverage * total:
-                found.append((item_id, best[0], best[0] / total, best[1], best[2]))
+            best = self._aligned(pairs, word, item)
+            if best and best[1] >= coverage:
+                found.append((item.item_id, *best))
         return found
 
     @staticmethod
-    def _aligned(pairs, word, kind, item_word, item_kind) -> tuple[int, int, bool] | None:
+    def _aligned(pairs: set[tuple[int, int]], word: np.ndarray, item: _Item) -> tuple[int, float, int, bool] | None:
         """The best run of hits whose alignments lie within two words, with slots that agree."""
         runs: list[list[tuple[int, int]]] = []
         for p, q in sorted(pairs, key=lambda x: (x[0] - x[1], x[0])):
@@ -180,15 +265,15 @@ class Index:
                 runs.append([(p, q)])
         best = None
         for run in runs:
-            size = min(WINDOW, len(item_word))
+            size = min(WINDOW, len(item.word))
             there: dict[tuple[int, int], int] = {}
             back: dict[tuple[int, int], int] = {}
             kept, slots, same = set(), set(), True
             for p, q in sorted(run, key=lambda x: (x[1], x[0])):
                 new = [
-                    (int(item_kind[q + k]), int(item_word[q + k]), int(word[p + k]), q + k)
+                    (int(item.kind[q + k]), int(item.word[q + k]), int(word[p + k]), q + k)
                     for k in range(size)
-                    if item_kind[q + k]
+                    if item.kind[q + k]
                 ]
                 if all(there.get((c, a), b) == b and back.get((c, b), a) == a for c, a, b, _ in new):
                     for c, a, b, at in new:
@@ -196,22 +281,13 @@ class Index:
                         slots.add(at)
                         same &= a == b
                     kept.add(q)
-            if kept and (best is None or len(kept) > best[0]):
-                best = (len(kept), len(slots), same)
+            if kept:
+                n, share = item.covered(kept)
+                if best is None or (share, n) > (best[1], best[0]):
+                    best = (n, share, len(slots), same)
         return best
 
 
-def _short(t: np.ndarray, kind: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-    count = len(t) - size + 1
-    h = np.full(count, np.uint64(size))
-    literal = np.zeros(count, np.int64)
-    for k in range(size):
-        h = (h ^ t[k : k + count]) * _HASH_STEP
-        h ^= h >> np.uint64(29)
-        literal += kind[k : k + count] == 0
-    return h, literal >= min(LITERALS, size)
-
-
 def item_blocks(benchmark: DataFrame, block_windows: int = BLOCK_WINDOWS) -> Iterator[Index]:
     """Indexes of the benchmark, one bounded block of items after another; always one at least."""
     rows = benchmark.select("item_id", "text").orderBy("item_id", F.xxhash64("text")).toLocalIterator()

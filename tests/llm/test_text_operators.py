@@ -440,6 +440,22 @@ def test_reparameterised_items_are_caught(spark):
     assert decontamination.drop_contaminated(clash.limit(0), bench).count() == 0
 
 
+def test_names_at_starts_and_glued_or_spelled_numbers_are_placeholders():
+    pairs = [
+        ("Alice buys 3 boxes of pencils. Alice pays 5 dollars for each box. Bob buys 2 boxes. Bob pays half as much. How much do they pay?",
+         "Clara buys 7 boxes of pencils. Clara pays 9 dollars for each box. David buys 4 boxes. David pays half as much. How much do they pay?"),
+        ("A train travels 60km in two hours. How far does it travel in five hours at 80km/h?",
+         "A train travels 90km in three hours. How far does it travel in seven hours at 70km/h?"),
+        ("Tom has 12 apples. Jane has 7 more apples than Tom. How many apples does Jane have?",
+         "Sven has 31 apples. Lucy has 9 more apples than Sven. How many apples does Lucy have?"),
+    ]
+    index = decontamination.Index([(k, item) for k, (item, _) in enumerate(pairs)])
+    for k, (item, other) in enumerate(pairs):
+        assert [m[0] for m in index.matches(f"Here it is. {other} And so on.", 0.5)] == [k]
+        assert [(m[0], m[4]) for m in index.matches(item, 0.5)] == [(k, True)]
+    assert index.matches("Trees grow in the wood. How far it is to them nobody knows.", 0.5) == []
+
+
 def test_slots_must_agree():
     # the same name stands for two different ones
     item = "when Anna gave Berta her old coat then Anna went home but Berta stayed and so Anna cried while Berta laughed"
