@@ -456,6 +456,18 @@ def test_names_at_starts_and_glued_or_spelled_numbers_are_placeholders():
     assert index.matches("Trees grow in the wood. How far it is to them nobody knows.", 0.5) == []
 
 
+def test_items_poor_in_literals_match_as_exact_copies():
+    items = ["Compute 12 * 14 + 9 / 3 - 5.", "3 5 8 13 21 34 55", "Anna Berta Clara 7 Doris Emma 12 Frida"]
+    index = decontamination.Index(list(enumerate(items)))
+    for k, item in enumerate(items):
+        assert [(m[0], m[4]) for m in index.matches(f"some words before {item} and after", 0.5)] == [(k, True)]
+    for other in ("Compute 13 * 15 + 8 / 2 - 6.", "4 6 9 14 22 35 56", "Gerda Hilde Ida 8 Jutta Karla 13 Lena"):
+        assert not index.matches(other, 0.5)
+    # a template's other figures still match where the rest of the item is poor
+    mixed = decontamination.Index([(1, "the farmer counts all sheep and 4 5 6 7 8 9 10 11 12 13 14 15")])
+    assert mixed.matches("the farmer counts all sheep and 9 8 7 6 5 4 3 2 1 0 7 8", 0.5)
+
+
 def test_slots_must_agree():
     # the same name stands for two different ones
     item = "when Anna gave Berta her old coat then Anna went home but Berta stayed and so Anna cried while Berta laughed"
