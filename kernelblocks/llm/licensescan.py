@@ -1,12 +1,14 @@
 """Licence scans with DataFrame functions only.
 
-A text's paragraphs (its lines) that hold a cue word of licensing are judged by multinomial logistic
-regression on sparse word n-grams (one and two words). The classifier is trained on the driver from
+A text's lines that hold a cue word of licensing, and the joined runs of up to WINDOW_LINES adjacent
+lines that do, are judged by multinomial logistic regression on sparse word n-grams (one and two words);
+no run goes over a blank line. So a notice is found whole where it is wrapped, at 30 columns or more. The classifier is trained on the driver from
 labelled samples; an unknown class takes the rest, and a temperature fitted on held-out samples
 calibrates all classes. A prediction counts once a template of the predicted family confirms it: the
 template's word pairs must lie in the paragraph to a given share. Every template holds a cue word, so a
 paragraph without one could not be confirmed and leaving it out loses nothing.
 
+Where confirmed findings overlap, the one with the larger share stays, then the one with fewer lines.
 Each different paragraph is judged once, however often it occurs. Defined results: null and empty
 texts have no paragraphs; repeated rows give their findings each.
 """
@@ -16,7 +18,7 @@ from __future__ import annotations
 from collections.abc import Iterable
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from kernelblocks.llm.runtime import cut, id_and_text
@@ -24,10 +26,11 @@ from kernelblocks.llm.runtime import cut, id_and_text
 UNKNOWN = "unknown"
 LEAST_PROBABILITY = 0.5
 LEAST_SHARE = 0.6
+WINDOW_LINES = 6
 #: What a paragraph must hold to be judged; every template below does.
 CUES = (
-    r"(?i:licen[sc]|copyright|copyleft|warrant|permission|redistribut|public domain|spdx|creative commons|"
-    r"\bcc[ -](?:by|0)|\bcc0|\bgpl|\blgpl|\bagpl|apache|mozilla|\bbsd\b)|\bMIT\b"
+    r"(?i:licen[sc]|copyright|copyleft|warrant|permission|redistribut|public[\s#*/;>-]+domain|spdx|creative[\s#*/;>-]+commons|"
+    r"\bcc[\s-](?:by|0)|\bcc0|\bgpl|\blgpl|\bagpl|apache|mozilla|\bbsd\b)|\bMIT\b"
 )
 WORDS = r"[a-z0-9][a-z0-9.+-]*[a-z0-9]|[a-z0-9]"
 
@@ -209,30 +212,41 @@ def _templates_sql() -> str:
     return f"array({rows})"
 
 
+def _ending(a: str, x: str) -> str:
+    """SQL for the runs of 1 to WINDOW_LINES lines that end with line x: those that ended before it, longer by x, and x."""
+    return f"""concat(
+        array(named_struct('paragraph', {a}.no, 'start', {a}.at, 'stop', {a}.at + length({x}), 'size', 1, 'body', {x})),
+        transform(filter({a}.near, n -> n.size < {WINDOW_LINES}), n -> named_struct('paragraph', n.paragraph, 'start', n.start,
+          'stop', {a}.at + length({x}), 'size', n.size + 1, 'body', concat(n.body, ' ', {x}))))"""
+
+
 def licences(
     docs: DataFrame, samples: Iterable[tuple[str, str]] | None = None, confirmed_only: bool = True
 ) -> DataFrame:
     """(doc_id, paragraph, start, stop, family, probability, share, confirmed): the findings in all texts.
 
-    paragraph counts from 0; start and stop are code points of the text, the end exclusive. A finding is
-    a paragraph whose best class is a family, at LEAST_PROBABILITY or more; confirmed says whether a
-    template of that family lies in it to LEAST_SHARE or more.
+    paragraph is the first line's number from 0; start and stop are code points of the text, the end
+    exclusive. A finding is a line, or a joined run of lines, whose best class is a family, at
+    LEAST_PROBABILITY or more; confirmed says whether a template of that family lies in it to LEAST_SHARE
+    or more. Runs of several lines are returned only confirmed.
     """
     spark = docs.sparkSession
     model = LicenceModel(built_in_samples() if samples is None else samples)
     # where each line begins: the lengths of the lines before it, found inside the row
+    piece = "struct<paragraph:int,start:int,stop:int,size:int,body:string>"
     lines = (
         id_and_text(docs)
         .where(F.col("text").rlike(CUES))
+        .withColumn("row", F.monotonically_increasing_id())
         .select(
             "doc_id",
+            "row",
             F.expr(
-                """inline(aggregate(split(text, '\\n', -1),
-                     named_struct('at', 0, 'no', 0, 'out', cast(array() AS array<struct<paragraph:int,start:int,body:string>>)),
-                     (a, x) -> named_struct('at', a.at + length(x) + 1, 'no', a.no + 1, 'out',
-                       CASE WHEN x RLIKE r'"""
-                + CUES
-                + """' THEN concat(a.out, array(named_struct('paragraph', a.no, 'start', a.at, 'body', x))) ELSE a.out END),
+                f"""inline(aggregate(split(text, '\\n', -1),
+                     named_struct('at', 0, 'no', 0, 'near', cast(array() AS array<{piece}>), 'out', cast(array() AS array<{piece}>)),
+                     (a, x) -> named_struct('at', a.at + length(x) + 1, 'no', a.no + 1,
+                       'near', CASE WHEN x RLIKE r'\\S' THEN {_ending("a", "x")} ELSE cast(array() AS array<{piece}>) END,
+                       'out', a.out || filter(CASE WHEN x RLIKE r'\\S' THEN {_ending("a", "x")} ELSE cast(array() AS array<{piece}>) END, w -> w.body RLIKE r'{CUES}')),
                      a -> a.out))"""
             ),
         )
@@ -263,13 +277,20 @@ def licences(
     )
     if confirmed_only:
         scored = scored.where(F.col("share") >= LEAST_SHARE)
-    return lines.join(scored, "body").select(
-        "doc_id",
-        "paragraph",
-        "start",
-        (F.col("start") + F.length("body")).alias("stop"),
-        "family",
-        "probability",
-        "share",
-        (F.col("share") >= LEAST_SHARE).alias("confirmed"),
+    found = lines.join(scored, "body").withColumn("confirmed", F.col("share") >= LEAST_SHARE).where("size = 1 OR confirmed")
+    # findings that touch no other are settled apart
+    place = Window.partitionBy("row").orderBy("start", "stop")
+    found = found.withColumn("far", F.max("stop").over(place.rowsBetween(Window.unboundedPreceding, -1)))
+    found = found.withColumn("island", F.sum(F.when(F.col("far") > F.col("start"), 0).otherwise(1)).over(place))
+    columns = "paragraph start stop family probability share confirmed".split()
+    ranked = F.struct((~F.col("confirmed")).alias("open"), (-F.col("share")).alias("less"), "size", *columns)
+    best = found.groupBy("row", "island", "doc_id").agg(F.array_sort(F.collect_list(ranked)).alias("all"))
+    best = best.withColumn(
+        "kept",
+        F.expr(
+            """aggregate(all, slice(all, 1, 0), (z, w) -> CASE
+                 WHEN w.confirmed AND exists(z, k -> k.start < w.stop AND w.start < k.stop) THEN z
+                 ELSE concat(z, array(w)) END)"""
+        ),
     )
+    return best.select("doc_id", F.inline("kept")).select("doc_id", *columns)

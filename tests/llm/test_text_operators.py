@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import textwrap
 import zlib
 
 import numpy as np
@@ -231,6 +232,30 @@ def test_licences_are_found_and_others_left(spark, docs):
     assert hits / len(test) > 0.9
 
 
+def test_wrapped_notices_are_found(spark):
+    notices = {
+        "GPL": "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.",
+        "BSD": "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:",
+        "Apache-2.0": 'Licensed under the Apache License, Version 2.0 (the "License"); you may not use this file except in compliance with the License.',
+        "MIT": "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction",
+    }
+    rows, want = [], []
+    for width in (36, 72):
+        for mark in ("", "# "):
+            for head in ("Some words on what it does.\nMore of them here.\n", "Some words.\n \n"):
+                for name, text in notices.items():
+                    body = "\n".join(mark + line for line in textwrap.wrap(text, width))
+                    rows.append((len(rows), f"{head}{body}\nimport of other things\nand the end of it"))
+                    want.append(name)
+    got = licensescan.licences(spark.createDataFrame(rows, DOC)).collect()
+    for i, name in enumerate(want):
+        own = [r for r in got if r["doc_id"] == i]
+        assert own and {r["family"] for r in own} == {name}, (rows[i], own)
+        assert all(r["confirmed"] and r["share"] >= 0.6 and rows[i][1][r["start"] : r["stop"]].strip() for r in own)
+    twice = [(1, rows[0][1]), (1, rows[0][1])]
+    assert len(licensescan.licences(spark.createDataFrame(twice, DOC)).collect()) == 2 * sum(r["doc_id"] == 0 for r in got)
+
+
 # --- packing
 
 
