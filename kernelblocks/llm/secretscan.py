@@ -3,8 +3,9 @@
 Fixed patterns find assignments, access keys and long hexadecimal strings; they are matched leftmost
 and without overlap for each kind, and matches that are too short fall away afterwards. Two character
 Markov models, of random strings and of ordinary identifiers, are trained from labelled samples; other
-long runs of key characters are reported where the log-likelihood ratio of the models favours
-randomness by a margin. Spans of the patterns always stay; the models only add spans that overlap none
+runs of key characters are reported where the log-likelihood ratio of the models favours randomness by
+a margin: whole, where the whole run does, else each stretch that does, out to the next of the signs
+/ _ - on both sides. So path words around a random part don't hide it. Spans of the patterns always stay; the models only add spans that overlap none
 of them.
 
 Offsets count code points and ends are exclusive. Defined results: null and empty texts have no
@@ -30,10 +31,14 @@ HEX = r"[0-9a-f]+"
 ASSIGN_LENGTH, ACCESS_LENGTH, HEX_LENGTH = 6, 20, 24
 KINDS = ("assign", "access", "hex", "markov")
 #: Runs that the models judge, and what a text must hold for the slower search to begin.
-CANDIDATE = r"[A-Za-z0-9+/_-]{20,}"
+CANDIDATE = r"[A-Za-z0-9+/_-]{10,}"
+#: From this length on sum and mean decide; shorter stretches need the sum and signs of several sorts.
+WHOLE_LENGTH = 20
 SIGNS = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-"
 #: Thousandths of a nat, in sum and for each character.
 LEAST_TOTAL, LEAST_MEAN = 9000, 450
+#: A stretch ends where its sum has fallen by so much from its highest.
+LEAST_DROP = 4500
 MASK = "[SECRET]"
 
 #: Words that ordinary identifiers are made of (fixed values).
@@ -132,6 +137,38 @@ def _spans(text: str, pattern: str, kind: str, keep: str = "true") -> str:
       ELSE cast(array() AS array<struct<start:int,stop:int,m:string,g:string>>) END"""
 
 
+def _stretches(r: str) -> str:
+    """SQL for array<struct<start,stop>>: the whole of run r where it is random, else its random stretches."""
+    total, size = f"aggregate({r}.steps, 0, (z, x) -> z + x)", f"length({r}.m)"
+    # sum of the stretch so far, where it begins, its highest sum and the end of that; i is the step's place
+    now = "(greatest(a.sum, 0) + x)"
+    top = f"greatest(a.peak, {now})"
+    over = f"({now} <= 0 OR {top} - {now} >= {LEAST_DROP})"
+    begin = "CASE WHEN a.sum <= 0 THEN a.i ELSE a.begin END"
+    end = f"CASE WHEN {now} > a.peak THEN a.i + 1 ELSE a.stop END"
+    found = f"""aggregate(concat({r}.steps, array(-1000000)),
+        named_struct('i', 1, 'sum', 0, 'begin', 1, 'peak', 0, 'stop', 1, 'out', cast(array() AS array<struct<begin:int,stop:int>>)),
+        (a, x) -> named_struct('i', a.i + 1, 'sum', CASE WHEN {over} THEN 0 ELSE {now} END, 'begin', {begin},
+          'peak', CASE WHEN {over} THEN 0 ELSE {top} END, 'stop', {end},
+          'out', CASE WHEN {over} AND {top} >= {LEAST_TOTAL} THEN concat(a.out, array(named_struct('begin', {begin}, 'stop', {end}))) ELSE a.out END),
+        a -> a.out)"""
+    # words of one case and numbers reach the sum by chance: short ones need letters and digits or a capital after a small letter
+    part = f"substring({r}.m, f.begin, f.stop - f.begin + 1)"
+    steps = f"aggregate(slice({r}.steps, f.begin, f.stop - f.begin), 0, (z, x) -> z + x)"
+    found = f"""filter({found}, f -> {part} RLIKE '[0-9].*[A-Za-z]|[A-Za-z].*[0-9]|[a-z].*[A-Z]' OR
+        (f.stop - f.begin + 1 >= {WHOLE_LENGTH} AND {steps} >= {LEAST_MEAN} * (f.stop - f.begin + 1)))"""
+    # out to the signs around it; what meets then is one
+    wide = f"""transform({found}, f -> named_struct(
+        'start', {r}.start + f.begin - 1 - length(regexp_extract(substring({r}.m, 1, f.begin - 1), '[A-Za-z0-9+]*$', 0)),
+        'stop', {r}.start + f.stop + length(regexp_extract(substring({r}.m, f.stop + 1), '^[A-Za-z0-9+]*', 0))))"""
+    joined = f"""aggregate({wide}, cast(array() AS array<struct<start:int,stop:int>>), (z, f) -> CASE
+        WHEN size(z) > 0 AND element_at(z, -1).stop >= f.start
+        THEN concat(slice(z, 1, size(z) - 1), array(named_struct('start', element_at(z, -1).start, 'stop', greatest(element_at(z, -1).stop, f.stop))))
+        ELSE concat(z, array(f)) END)"""
+    whole = f"array(named_struct('start', {r}.start, 'stop', {r}.start + {size}))"
+    return f"CASE WHEN {size} >= {WHOLE_LENGTH} AND {total} >= {LEAST_TOTAL} AND {total} >= {LEAST_MEAN} * {size} THEN {whole} ELSE {joined} END"
+
+
 def with_spans(docs: DataFrame, ratios: list[int], text: str = "text") -> DataFrame:
     """docs with _kb_base and _kb_all: arrays of (start, kind's rank, stop), in order."""
     names = "_kb_assign _kb_access _kb_hex".split()
@@ -150,8 +187,10 @@ def with_spans(docs: DataFrame, ratios: list[int], text: str = "text") -> DataFr
     table = f"from_json('{ratios}', 'array<int>')"
     spot = f"(CASE WHEN locate(substr(s.m, i + {{}}, 1), '{SIGNS}') = 0 THEN {n} ELSE locate(substr(s.m, i + {{}}, 1), '{SIGNS}') END)"
     at = [spot.format(k, k) for k in (0, 1)]
-    total = f"aggregate(sequence(1, length(s.m) - 1), 0, (z, i) -> z + element_at({table}, ({at[0]} - 1) * {n} + {at[1]}))"
-    judged = f"filter(transform({_spans(t, CANDIDATE, 'markov')}, s -> named_struct('start', s.start, 'stop', s.stop, 'total', {total}, 'size', length(s.m))), s -> s.total >= {LEAST_TOTAL} AND s.total >= {LEAST_MEAN} * s.size)"
+    steps = f"transform(sequence(1, length(s.m) - 1), i -> element_at({table}, ({at[0]} - 1) * {n} + {at[1]}))"
+    runs = f"transform({_spans(t, CANDIDATE, 'markov')}, s -> named_struct('start', s.start, 'm', s.m, 'steps', {steps}))"
+    hopeful = f"filter({runs}, r -> aggregate(r.steps, 0, (z, x) -> z + greatest(x, 0)) >= {LEAST_TOTAL})"
+    judged = f"flatten(transform({hopeful}, r -> {_stretches('r')}))"
     free = "filter({}, s -> NOT exists(_kb_base, b -> b.start < s.stop AND s.start < b.stop))"
     added = f"transform({free.format(judged)}, s -> named_struct('start', s.start, 'kind', {len(names)}, 'stop', s.stop))"
     return out.withColumn("_kb_all", F.expr(f"array_sort(concat(_kb_base, {added}))"))

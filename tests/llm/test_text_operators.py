@@ -192,6 +192,24 @@ def test_markov_models_part_random_from_ordinary():
         assert mean(s) < secretscan.LEAST_MEAN
 
 
+def test_random_parts_of_paths_and_short_keys_are_found(spark):
+    rng = random.Random(5)
+    words = [w for w in secretscan.IDENTIFIER_WORDS if len(w) > 3]
+    rows, keys = [], []
+    for n in (16, 24, 32):
+        for before in range(5):
+            for _ in range(20):
+                key = "".join(rng.choice(secretscan.SIGNS[:62]) for _ in range(n))
+                path = "/".join(rng.choice(words) for _ in range(before))
+                rows.append((len(rows), f"see /{path}/{key}/{rng.choice(words)} there"))
+                keys.append(key)
+    plain = [(-1 - k, "see " + "/_-"[k % 3].join(rng.choice(words) for _ in range(7))) for k in range(300)]
+    numbers = [(-1000, "numbers 4610568901970798 and 20240131 and understanding ofrehehely")]
+    got = local(secretscan.masked(spark.createDataFrame(rows + plain + numbers, DOC)))
+    assert sum(keys[i] not in got[i]["text"] for i in range(len(keys))) >= 0.98 * len(keys)
+    assert all(got[i]["text"] == t for i, t in plain + numbers)
+
+
 def test_secrets_stay_native_and_mask(spark):
     src = spark.createDataFrame([(1, SECRETS[1], "kept", 7), (2, "plain", "kept", 5), (3, None, None, None)], "doc_id long, text string, spans string, n_chars long")
     out = secretscan.masked(src)
