@@ -14,16 +14,18 @@ of n copies costs some n comparisons of sets, and the components are those of al
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kernelblocks.llm.components import connected_components
-from kernelblocks.llm.runtime import cut
+from kernelblocks.llm.runtime import cut, id_and_text
 from kernelblocks.llm.simhash import SLICE, _hashes
 
 SHINGLE = 5
@@ -76,22 +78,32 @@ def _may_reach(n: np.ndarray, m: np.ndarray, low: np.ndarray, high: np.ndarray)
 
 
 def _node(members: np.ndarray) -> int:
-    import xxhash
-
     return xxhash.xxh64_intdigest(members.tobytes(), seed=7) - (1 << 63)
 
 
-def _with_node(docs: DataFrame) -> DataFrame:
-    """docs with _kb_node, the name of the text's set."""
-    names = [*docs.columns, "_kb_node"]
-    at = names.index("text")
+def _packed(text: str | None) -> bytes:
+    return zlib.compress((text or "").encode("utf-8", "surrogatepass"), 1)
+
+
+def _packed_set(raw: bytes) -> np.ndarray:
+    return shingle_set(zlib.decompress(raw).decode("utf-8", "surrogatepass"))
+
+
+def _named(docs: DataFrame, with_text: bool) -> DataFrame:
+    """(doc_id, node) of every row, node being the name of the text's set, or (node, text), the text compressed."""
+    src = id_and_text(docs)
+    names = ["node", "text"] if with_text else ["doc_id", "node"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            nodes = [_node(shingle_set(t)) for t in b.column(at).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(nodes, pa.int64())], names=names)
+            texts = b.column(1).to_pylist()
+            nodes = pa.array([_node(shingle_set(t)) for t in texts], pa.int64())
+            cols = [nodes, pa.array(map(_packed, texts), pa.binary())] if with_text else [b.column(0), nodes]
+            yield pa.RecordBatch.from_arrays(cols, names=names)
 
-    return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField("_kb_node", T.LongType())]))
+    node = T.StructField("node", T.LongType())
+    other = T.StructField("text", T.BinaryType()) if with_text else T.StructField("doc_id", src.schema["doc_id"].dataType)
+    return src.mapInArrow(run, T.StructType([node, other] if with_text else [other, node]))
 
 
 def frequent_shingles(nodes: DataFrame) -> np.ndarray:
@@ -100,11 +112,11 @@ def frequent_shingles(nodes: DataFrame) -> np.ndarray:
     if not total:
         return np.zeros(0, np.uint64)
     part = min(1.0, SAMPLE_TEXTS / total)
-    few = nodes.where(F.pmod(F.xxhash64("_kb_node"), F.lit(1_000_000)) < int(1_000_000 * part) + 1).select("text")
+    few = nodes.where(F.pmod(F.xxhash64("node"), F.lit(1_000_000)) < int(1_000_000 * part) + 1).select("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            sets = [shingle_set(t) for t in b.column(0).to_pylist()]
+            sets = [_packed_set(t) for t in b.column(0).to_pylist()]
             h = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64))], names=["h"])
 
@@ -122,7 +134,7 @@ def _postings(nodes: DataFrame, frequent: np.ndarray) -> DataFrame:
         for b in batches:
             keys, rest, times = [], [], []
             for node, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                members = shingle_set(text)
+                members = _packed_set(text)
                 own = prefix(members, held.value) if len(members) else np.zeros(1, np.uint64)
                 keys.append(own.view(np.int64))
                 rest.append((node, len(members), *sketch(members)))
@@ -131,7 +143,7 @@ def _postings(nodes: DataFrame, frequent: np.ndarray) -> DataFrame:
                 cols = np.repeat(np.array(rest, np.int64), times, axis=0)
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), *map(pa.array, cols.T.copy())], names=names)
 
-    return nodes.select("_kb_node", "text").mapInArrow(run, ", ".join(f"{c} long" for c in names))
+    return nodes.select("node", "text").mapInArrow(run, ", ".join(f"{c} long" for c in names))
 
 
 def _lists(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
@@ -197,8 +209,7 @@ def other_pairs(rows: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
 
 def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
     """The pairs (a, b) whose sets reach the bound. A task holds one set of a at a time."""
-    texts = nodes.select(F.col("_kb_node").alias("node"), "text")
-    wanted = texts.join(pairs.select(F.col("b").alias("node")).union(pairs.select("a")).distinct(), "node", "left_semi")
+    wanted = nodes.join(pairs.select(F.col("b").alias("node")).union(pairs.select("a")).distinct(), "node", "left_semi")
     wanted = cut(wanted)
     second = pairs.join(wanted, pairs.b == wanted.node).select("a", "b", "text")
     first = wanted.join(pairs.select(F.col("a").alias("node")).distinct(), "node", "left_semi")
@@ -210,7 +221,7 @@ def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
         for batch in batches:
             out = []
             for a, b, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                members = shingle_set(text)
+                members = _packed_set(text)
                 if b is None:
                     own = members
                 elif alike(own, members):
@@ -222,24 +233,34 @@ def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
 
 
 def links(nodes: DataFrame) -> DataFrame:
-    """(node, root) of every node (of _kb_node, text: a row each) that has a near copy."""
-    dealt = cut(_postings(nodes, frequent_shingles(nodes)))
+    """(node, root) of every node (of node, text: a row each) that has a near copy."""
+    names = ["key", "node", "n", "low", "high"]
+    schema = ", ".join(f"{c} long" for c in names)
 
     def start(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # the pairs, under no key, and the long lists for the second step: the whole of the rows is dealt once
         for rows in _lists(batches):
-            yield _edge_batch(*first_pairs(rows))
+            a, b = first_pairs(rows)
+            if len(a):
+                a, b = np.unique(np.stack((a, b), axis=1), axis=0).T.copy()
+            none = pa.nulls(len(a), pa.int64())
+            yield pa.RecordBatch.from_arrays([none, pa.array(a), pa.array(b), none, none], names=names)
+            _, spot, sizes = np.unique(rows[:, 0], return_inverse=True, return_counts=True)
+            long_rows = rows[sizes[spot] > SHORT_LIST].T.copy()
+            yield pa.RecordBatch.from_arrays([*map(pa.array, long_rows)], names=names)
 
     def rest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows in _lists(batches):
             for a, b in other_pairs(rows):
                 yield _edge_batch(a, b)
 
-    lists = dealt.repartition("key").sortWithinPartitions("key", "n", "node")
-    edges = cut(verified(cut(lists.mapInArrow(start, "a long, b long").distinct()), nodes))
+    dealt = _postings(nodes, frequent_shingles(nodes)).repartition("key").sortWithinPartitions("key", "n", "node")
+    first = cut(dealt.mapInArrow(start, schema))
+    pairs = cut(first.where("key is null").select(F.col("node").alias("a"), F.col("n").alias("b")).distinct())
+    edges = cut(verified(pairs, nodes))
     roots = cut(connected_components(edges, "a", "b"))
-    long_lists = dealt.groupBy("key").count().where(F.col("count") > SHORT_LIST).select("key")
-    left = dealt.join(long_lists, "key", "left_semi").join(roots, "node", "left")
-    left = left.select("key", "node", "n", "low", "high", F.coalesce("root", "node").alias("root"))
+    left = first.where("key is not null").join(roots, "node", "left")
+    left = left.select(*names, F.coalesce("root", "node").alias("root"))
     left = left.repartition("key").sortWithinPartitions("key", "n", "node")
     more = cut(left.mapInArrow(rest, "a long, b long").distinct())
     if more.isEmpty():
@@ -249,10 +270,9 @@ def links(nodes: DataFrame) -> DataFrame:
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """The rows of docs whose id names its component, one row for each such id; rows without an id stay."""
-    tagged = cut(_with_node(docs))
-    nodes = cut(tagged.select("_kb_node", F.coalesce("text", F.lit("")).alias("text")).dropDuplicates(["_kb_node"]))
-    roots = links(nodes)
-    found = tagged.select("doc_id", "_kb_node").join(roots, F.col("_kb_node") == F.col("node"), "left")
-    kept = found.groupBy(F.coalesce("root", "_kb_node").alias("root")).agg(F.min("doc_id").alias("doc_id"))
-    named = tagged.where("doc_id is not null").join(kept.select("doc_id").distinct(), "doc_id", "left_semi")
-    return named.dropDuplicates(["doc_id"]).select(docs.columns).union(tagged.where("doc_id is null").select(docs.columns))
+    named = cut(_named(docs, False))
+    nodes = cut(_named(docs, True).dropDuplicates(["node"]))
+    found = named.join(links(nodes), "node", "left")
+    kept = found.groupBy(F.coalesce("root", "node")).agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
+    rows = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return rows.select(docs.columns).union(docs.where("doc_id is null"))
