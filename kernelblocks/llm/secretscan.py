@@ -5,11 +5,16 @@ and without overlap for each kind, and matches that are too short fall away afte
 Markov models, of random strings and of ordinary identifiers, are trained from labelled samples; other
 runs of key characters are reported where the log-likelihood ratio of the models favours randomness by
 a margin: whole, where the whole run does, else each stretch that does, out to the next of the signs
-/ _ - on both sides. So path words around a random part don't hide it. Spans of the patterns always stay; the models only add spans that overlap none
-of them.
+/ _ - on both sides. So path words around a random part don't hide it. Spans of the patterns always
+stay; the models only add spans that overlap none of them.
+
+A long text is worked off in parts, cut where no span can lie, and places are running sums over
+chunks, so the time grows with the length of the text whatever stands in it.
 
 Offsets count code points and ends are exclusive. Defined results: null and empty texts have no
-spans; repeated rows give a row each; columns of other names don't matter.
+spans; repeated rows give a row each; an empty table gives no row; columns of other names don't
+matter, nor does their order; spans that tie in where they begin come by kind. Texts of any length are
+scanned whole; a run of more than 512 signs is judged in pieces, and random pieces that meet are one span.
 """
 
 from __future__ import annotations
@@ -30,8 +35,8 @@ ACCESS = r"AKIA[A-Z0-9]+"
 HEX = r"[0-9a-f]+"
 ASSIGN_LENGTH, ACCESS_LENGTH, HEX_LENGTH = 6, 20, 24
 KINDS = ("assign", "access", "hex", "markov")
-#: Runs that the models judge, and what a text must hold for the slower search to begin.
-CANDIDATE = r"[A-Za-z0-9+/_-]{10,}"
+#: Runs that the models judge, a very long one in pieces of 512 signs, of which those that are random and meet are one.
+CANDIDATE = r"[A-Za-z0-9+/_-]{10,512}(?:[A-Za-z0-9+/_-]{1,9}(?![A-Za-z0-9+/_-]))?"
 #: From this length on sum and mean decide; shorter stretches need the sum and signs of several sorts.
 WHOLE_LENGTH = 20
 SIGNS = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_-"
@@ -40,6 +45,11 @@ LEAST_TOTAL, LEAST_MEAN = 9000, 450
 #: A stretch ends where its sum has fallen by so much from its highest.
 LEAST_DROP = 4500
 MASK = "[SECRET]"
+#: Longer texts are worked off in parts of about PART_SIGNS code points, cut behind a sign or at blanks that no span can hold.
+WHOLE_TEXT, PART_SIGNS = 8192, 4096
+PART = r"(?s).{%d}.*?(?:[^A-Za-z0-9+/_.=\x20\x22\x27:-]|(?<![:=\x20])\x20++(?![:=]))|.+" % PART_SIGNS
+#: Arrays grow by so many members at most before the next begins.
+CHUNK = 256
 
 #: Words that ordinary identifiers are made of (fixed values).
 IDENTIFIER_WORDS = (
@@ -116,25 +126,37 @@ def train(samples: Iterable[tuple[str, int]], smoothing: float = 2.0) -> list[in
     return out
 
 
-def _spans(text: str, pattern: str, kind: str, keep: str = "true") -> str:
-    """SQL for array<struct<start,stop,kind,whole>> of the matches; keep judges (m: the match, g: group two or the match)."""
-    quoted = "r'" + pattern.replace("'", "\\x27") + "'"
-    group = 2 if kind == "assign" else 0
-    return f"""
-      CASE WHEN {text} RLIKE {quoted} THEN
-        filter(
-          aggregate(
-            arrays_zip(split({text}, {quoted}, -1),
-                       regexp_extract_all({text}, {quoted}, 0),
-                       regexp_extract_all({text}, {quoted}, {group})),
-            named_struct('at', 0, 'out', cast(array() AS array<struct<start:int,stop:int,m:string,g:string>>)),
-            (a, x) -> named_struct(
-              'at', a.at + length(x.`0`) + coalesce(length(x.`1`), 0),
-              'out', CASE WHEN x.`1` IS NULL THEN a.out ELSE
-                concat(a.out, array(named_struct('start', a.at + length(x.`0`), 'stop', a.at + length(x.`0`) + length(x.`1`), 'm', x.`1`, 'g', x.`2`))) END),
-            a -> a.out),
-          s -> {keep})
-      ELSE cast(array() AS array<struct<start:int,stop:int,m:string,g:string>>) END"""
+def _running(values: str, combine: str) -> str:
+    """SQL for the running sums (combine +) or maxima (combine greatest) of an array of ints.
+
+    Arrays grow by copying, so they grow to CHUNK numbers only, and the chunks' ends are carried on.
+    """
+    least = "0" if combine == "+" else "-2147483647"
+    put = (lambda p, q: f"{p} + {q}") if combine == "+" else (lambda p, q: f"greatest({p}, {q})")
+    inner = f"""transform(sequence(0, greatest(size(rv) - 1, 0) div {CHUNK}), c ->
+        aggregate(slice(rv, c * {CHUNK} + 1, {CHUNK}), cast(array() AS array<int>), (z, q) ->
+          concat(z, array(CASE WHEN size(z) = 0 THEN q ELSE {put("element_at(z, -1)", "q")} END))))"""
+    carried = f"""aggregate(ri, array({least}), (z, v) -> concat(z, array(CASE WHEN size(v) = 0 THEN {least} ELSE
+        {put("element_at(z, -1)", "element_at(v, -1)")} END)))"""
+    added = f"flatten(zip_with(ri, slice({carried}, 1, size(ri)), (v, least) -> transform(v, q -> {put('least', 'q')})))"
+    return f"element_at(transform(transform(array({values}), rv -> {inner}), ri -> {added}), 1)"
+
+
+def _quoted(pattern: str) -> str:
+    return "r'" + pattern.replace("'", "\\x27") + "'"
+
+
+def _with_matches(df: DataFrame, name: str, pattern: str, group: int = 0) -> DataFrame:
+    """df with name: by part an array<struct<start,stop,m,g>> of the matches, g being the group of m."""
+    found, ends, p = f"{name}_m", f"{name}_e", _quoted(pattern)
+    lengths = f"zip_with(slice(split(part, {p}, -1), 1, size(found)), found, (x, y) -> length(x) + length(y))"
+    caught = f"regexp_extract(x, {p}, {group})" if group else "x"
+    return (
+        df.withColumn(found, F.expr(f"transform(_kb_parts, part -> regexp_extract_all(part, {p}, 0))"))
+        .withColumn(ends, F.expr(f"zip_with(_kb_parts, {found}, (part, found) -> CASE WHEN size(found) = 0 THEN cast(array() AS array<int>) ELSE {_running(lengths, '+')} END)"))
+        .withColumn(name, F.expr(f"zip_with({found}, {ends}, (found, ends) -> zip_with(found, ends, (x, e) -> named_struct('start', e - length(x), 'stop', e, 'm', x, 'g', {caught})))"))
+        .drop(found, ends)
+    )
 
 
 def _stretches(r: str) -> str:
@@ -157,54 +179,89 @@ def _stretches(r: str) -> str:
     steps = f"aggregate(slice({r}.steps, f.begin, f.stop - f.begin), 0, (z, x) -> z + x)"
     found = f"""filter({found}, f -> {part} RLIKE '[0-9].*[A-Za-z]|[A-Za-z].*[0-9]|[a-z].*[A-Z]' OR
         (f.stop - f.begin + 1 >= {WHOLE_LENGTH} AND {steps} >= {LEAST_MEAN} * (f.stop - f.begin + 1)))"""
-    # out to the signs around it; what meets then is one
+    # out to the signs around it
     wide = f"""transform({found}, f -> named_struct(
         'start', {r}.start + f.begin - 1 - length(regexp_extract(substring({r}.m, 1, f.begin - 1), '[A-Za-z0-9+]*$', 0)),
         'stop', {r}.start + f.stop + length(regexp_extract(substring({r}.m, f.stop + 1), '^[A-Za-z0-9+]*', 0))))"""
-    joined = f"""aggregate({wide}, cast(array() AS array<struct<start:int,stop:int>>), (z, f) -> CASE
-        WHEN size(z) > 0 AND element_at(z, -1).stop >= f.start
-        THEN concat(slice(z, 1, size(z) - 1), array(named_struct('start', element_at(z, -1).start, 'stop', greatest(element_at(z, -1).stop, f.stop))))
-        ELSE concat(z, array(f)) END)"""
     whole = f"array(named_struct('start', {r}.start, 'stop', {r}.start + {size}))"
-    return f"CASE WHEN {size} >= {WHOLE_LENGTH} AND {total} >= {LEAST_TOTAL} AND {total} >= {LEAST_MEAN} * {size} THEN {whole} ELSE {joined} END"
+    return f"CASE WHEN {size} >= {WHOLE_LENGTH} AND {total} >= {LEAST_TOTAL} AND {total} >= {LEAST_MEAN} * {size} THEN {whole} ELSE {wide} END"
+
+
+def _with_met(df: DataFrame, name: str) -> DataFrame:
+    """df with the spans of name, sorted and apart but for their ends, those that meet as one."""
+    reach = _running("transform(found, s -> s.stop)", "greatest")
+    # heads: the first of those that meet; each ends where the one before the next head does
+    heads = "filter(zip_with(transform(found, (s, i) -> named_struct('i', i, 'start', s.start)), concat(array(-1), slice(reach, 1, size(reach) - 1)), (h, r) -> named_struct('i', h.i, 'start', h.start, 'new', h.start > r)), h -> h.new)"
+    last = "concat(transform(slice(heads, 2, size(heads)), h -> h.i), array(size(reach)))"
+    return (
+        df.withColumn("_kb_reach", F.expr(f"transform({name}, found -> CASE WHEN size(found) = 0 THEN cast(array() AS array<int>) ELSE {reach} END)"))
+        .withColumn("_kb_heads", F.expr(f"zip_with({name}, _kb_reach, (found, reach) -> CASE WHEN size(found) = 0 THEN cast(array() AS array<struct<i:int,start:int,new:boolean>>) ELSE {heads} END)"))
+        .withColumn(name, F.expr(f"zip_with(_kb_reach, _kb_heads, (reach, heads) -> CASE WHEN size(heads) = 0 THEN cast(array() AS array<struct<start:int,stop:int>>) ELSE zip_with(heads, {last}, (h, e) -> named_struct('start', h.start, 'stop', reach[e - 1])) END)"))
+        .drop("_kb_reach", "_kb_heads")
+    )
+
+
+def _with_apart(df: DataFrame, name: str) -> DataFrame:
+    """df with the spans of name that overlap none of _kb_base; both are sorted by start."""
+    both = "array_sort(concat(transform(own, b -> named_struct('start', b.start, 'stop', b.stop, 'base', true)), transform(found, s -> named_struct('start', s.start, 'stop', s.stop, 'base', false))))"
+    reach = _running("transform(both, s -> CASE WHEN s.base THEN s.stop ELSE 0 END)", "greatest")
+    ahead = _running("transform(reverse(both), s -> CASE WHEN s.base THEN -s.start ELSE -2147483647 END)", "greatest")
+    free = "filter(zip_with(r._kb_both, zip_with(r._kb_reach, reverse(r._kb_ahead), (w, x) -> named_struct('reach', w, 'ahead', -x)), (s, e) -> named_struct('start', s.start, 'stop', s.stop, 'ok', NOT s.base AND e.reach <= s.start AND e.ahead >= s.stop)), s -> s.ok)"
+    # the furthest end of the base spans before a place, and the nearest start of those after it
+    return (
+        df.withColumn("_kb_both", F.expr(f"zip_with(_kb_base, {name}, (own, found) -> CASE WHEN size(found) = 0 THEN cast(array() AS array<struct<start:int,stop:int,base:boolean>>) ELSE {both} END)"))
+        .withColumn("_kb_reach", F.expr(f"transform(_kb_both, both -> CASE WHEN size(both) = 0 THEN cast(array() AS array<int>) ELSE {reach} END)"))
+        .withColumn("_kb_ahead", F.expr(f"transform(_kb_both, both -> CASE WHEN size(both) = 0 THEN cast(array() AS array<int>) ELSE {ahead} END)"))
+        .withColumn(name, F.expr(f"transform(arrays_zip(_kb_both, _kb_reach, _kb_ahead), r -> {free})"))
+        .drop("_kb_both", "_kb_reach", "_kb_ahead")
+    )
 
 
 def with_spans(docs: DataFrame, ratios: list[int], text: str = "text") -> DataFrame:
-    """docs with _kb_base and _kb_all: arrays of (start, kind's rank, stop), in order."""
-    names = "_kb_assign _kb_access _kb_hex".split()
-    n = len(SIGNS) + 1
+    """docs with _kb_parts, the text in parts, and by part _kb_at, where it begins, and _kb_base and _kb_all, its spans.
+
+    Spans are structs of (start, kind's rank, stop), in order, counted from the part's beginning.
+    """
     t = f"coalesce(`{text}`, '')"
-    out = docs.withColumns(
-        {
-            names[0]: F.expr(_spans(t, ASSIGN, "assign", f"length(s.g) >= {ASSIGN_LENGTH}")),
-            names[1]: F.expr(_spans(t, ACCESS, "access", f"length(s.m) >= {ACCESS_LENGTH}")),
-            # runs of these signs are taken whole, so the least length can stand in the pattern
-            names[2]: F.expr(_spans(t, HEX[:-1] + f"{{{HEX_LENGTH},}}", "hex")),
-        }
-    )
-    ranked = ", ".join(f"transform({c}, s -> named_struct('start', s.start, 'kind', {k}, 'stop', s.stop))" for k, c in enumerate(names))
-    out = out.withColumn("_kb_base", F.expr(f"array_sort(concat({ranked}))")).drop(*names)
+    out = docs.withColumn("_kb_parts", F.expr(f"CASE WHEN length({t}) <= {WHOLE_TEXT} THEN array({t}) ELSE regexp_extract_all({t}, r'{PART}', 0) END"))
+    lengths = _running("transform(_kb_parts, x -> length(x))", "+")
+    out = out.withColumn("_kb_at", F.expr(f"CASE WHEN size(_kb_parts) = 1 THEN array(0) ELSE concat(array(0), slice({lengths}, 1, size(_kb_parts) - 1)) END"))
+    out = _with_matches(out, "_kb_assign", ASSIGN, 2)
+    out = _with_matches(out, "_kb_access", ACCESS)
+    # runs of these signs are taken whole, so the least length can stand in the pattern
+    out = _with_matches(out, "_kb_hex", HEX[:-1] + f"{{{HEX_LENGTH},}}")
+    keep = {"_kb_assign": f"length(s.g) >= {ASSIGN_LENGTH}", "_kb_access": f"length(s.m) >= {ACCESS_LENGTH}", "_kb_hex": "true"}
+    ranked = ", ".join(f"transform(filter(r.{c}, s -> {w}), s -> named_struct('start', s.start, 'kind', {k}, 'stop', s.stop))" for k, (c, w) in enumerate(keep.items()))
+    out = out.withColumn("_kb_base", F.expr(f"transform(arrays_zip({', '.join(keep)}), r -> array_sort(concat({ranked})))")).drop(*keep)
+    out = _with_matches(out, "_kb_runs", CANDIDATE)
+    n = len(SIGNS) + 1
     table = f"from_json('{ratios}', 'array<int>')"
-    spot = f"(CASE WHEN locate(substr(s.m, i + {{}}, 1), '{SIGNS}') = 0 THEN {n} ELSE locate(substr(s.m, i + {{}}, 1), '{SIGNS}') END)"
-    at = [spot.format(k, k) for k in (0, 1)]
-    steps = f"transform(sequence(1, length(s.m) - 1), i -> element_at({table}, ({at[0]} - 1) * {n} + {at[1]}))"
-    runs = f"transform({_spans(t, CANDIDATE, 'markov')}, s -> named_struct('start', s.start, 'm', s.m, 'steps', {steps}))"
-    hopeful = f"filter({runs}, r -> aggregate(r.steps, 0, (z, x) -> z + greatest(x, 0)) >= {LEAST_TOTAL})"
-    judged = f"flatten(transform({hopeful}, r -> {_stretches('r')}))"
-    free = "filter({}, s -> NOT exists(_kb_base, b -> b.start < s.stop AND s.start < b.stop))"
-    added = f"transform({free.format(judged)}, s -> named_struct('start', s.start, 'kind', {len(names)}, 'stop', s.stop))"
-    return out.withColumn("_kb_all", F.expr(f"array_sort(concat(_kb_base, {added}))"))
+    places = f"transform(split(s.m, ''), c -> CASE WHEN locate(c, '{SIGNS}') = 0 THEN {n} ELSE locate(c, '{SIGNS}') END)"
+    steps = f"zip_with(slice(at, 1, size(at) - 1), slice(at, 2, size(at) - 1), (x, y) -> element_at({table}, (x - 1) * {n} + y))"
+    scored = f"transform(found, s -> named_struct('start', s.start, 'm', s.m, 'steps', element_at(transform(array({places}), at -> {steps}), 1)))"
+    hopeful = f"filter({scored}, r -> aggregate(r.steps, 0, (z, x) -> z + greatest(x, 0)) >= {LEAST_TOTAL})"
+    out = out.withColumn("_kb_runs", F.expr(f"transform(_kb_runs, found -> {hopeful})"))
+    out = out.withColumn("_kb_new", F.expr(f"transform(_kb_runs, found -> flatten(transform(found, r -> {_stretches('r')})))")).drop("_kb_runs")
+    out = _with_apart(_with_met(out, "_kb_new"), "_kb_new")
+    added = f"transform(found, s -> named_struct('start', s.start, 'kind', {len(KINDS) - 1}, 'stop', s.stop))"
+    return out.withColumn("_kb_all", F.expr(f"zip_with(_kb_base, _kb_new, (own, found) -> array_sort(concat(own, {added})))")).drop("_kb_new")
+
+
+def _whole(spans: str) -> str:
+    """SQL for the spans of all parts, counted from the text's beginning."""
+    return f"""flatten(zip_with({spans}, slice(_kb_at, 1, size({spans})), (own, z) ->
+        transform(own, s -> named_struct('start', s.start + z, 'kind', s.kind, 'stop', s.stop + z))))"""
 
 
 def _digest(spans: str) -> Column:
     kinds = ", ".join(f"'{k}'" for k in KINDS)
     return F.expr(
-        f"array_join(transform({spans}, s -> concat(element_at(array({kinds}), s.kind + 1), ':', s.start, ':', s.stop)), ',')"
+        f"array_join(transform({_whole(spans)}, s -> concat(element_at(array({kinds}), s.kind + 1), ':', s.start, ':', s.stop)), ',')"
     )
 
 
 def _number(kind: int) -> Column:
-    return F.expr(f"cast(size(filter(_kb_base, s -> s.kind = {kind})) AS bigint)")
+    return F.expr(f"cast(aggregate(_kb_all, 0, (z, own) -> z + size(filter(own, s -> s.kind = {kind}))) AS bigint)")
 
 
 def secrets(docs: DataFrame, samples: Iterable[tuple[str, int]] | None = None) -> DataFrame:
@@ -215,7 +272,7 @@ def secrets(docs: DataFrame, samples: Iterable[tuple[str, int]] | None = None) -
         *(_number(k).alias(f"n_{KINDS[k]}") for k in range(3)),
         F.sha2(_digest("_kb_base"), 256).alias("base_sha256"),
         _digest("_kb_all").alias("spans"),
-        F.expr("cast(size(_kb_all) - size(_kb_base) AS bigint)").alias("n_markov"),
+        _number(3).alias("n_markov"),
     )
 
 
@@ -225,18 +282,20 @@ def masked(docs: DataFrame, samples: Iterable[tuple[str, int]] | None = None, ma
     Spans that overlap are masked as one. Rows without a span stay as they are.
     """
     found = with_spans(docs, train(sample_strings() if samples is None else samples))
-    clean = F.expr(
-        f"""
-        CASE WHEN size(_kb_all) = 0 THEN text ELSE
-          aggregate(_kb_all, named_struct('at', 0, 'out', ''),
-            (a, s) -> named_struct(
-              'at', greatest(a.at, s.stop),
-              'out', CASE WHEN s.start < a.at THEN a.out ELSE concat(a.out, substring(text, a.at + 1, s.start - a.at), '{mask}') END),
-            a -> concat(a.out, substring(text, a.at + 1)))
-        END"""
-    )
+    reach = _running("transform(own, s -> s.stop)", "greatest")
+    found = found.withColumn("_kb_reach", F.expr(f"transform(_kb_all, own -> CASE WHEN size(own) = 0 THEN array(0) ELSE concat(array(0), {reach}) END)"))
+    # what lies between the end of all spans before and this one's start, then the mask; CHUNK spans at a time,
+    # since a place in a string is found from its beginning
+    pieces = f"""zip_with(slice(r._kb_all, c + 1, {CHUNK}), slice(r._kb_reach, c + 1, {CHUNK}), (s, z) -> CASE WHEN s.start < z THEN '' ELSE
+        concat(substring(sub, z - r._kb_reach[c] + 1, s.start - z), '{mask}') END)"""
+    sub = f"substring(r._kb_parts, r._kb_reach[c] + 1, r._kb_reach[least(c + {CHUNK}, size(r._kb_all))] - r._kb_reach[c])"
+    part = f"""CASE WHEN size(r._kb_all) = 0 THEN r._kb_parts ELSE
+        array_join(concat(transform(sequence(0, size(r._kb_all) - 1, {CHUNK}), c -> element_at(transform(array({sub}), sub -> array_join({pieces}, '')), 1)),
+          array(substring(r._kb_parts, element_at(r._kb_reach, -1) + 1))), '') END"""
+    hit = "exists(_kb_all, own -> size(own) > 0)"
+    clean = F.expr(f"CASE WHEN {hit} THEN array_join(transform(arrays_zip(_kb_parts, _kb_all, _kb_reach), r -> {part}), '') ELSE text END")
     changes = {"text": clean}
     if "n_chars" in docs.columns:
         kind = docs.schema["n_chars"].dataType
-        changes["n_chars"] = F.when(F.size("_kb_all") == 0, F.col("n_chars")).otherwise(F.length(clean).cast(kind))
+        changes["n_chars"] = F.when(~F.expr(hit), F.col("n_chars")).otherwise(F.length(clean).cast(kind))
     return found.withColumns(changes).select(docs.columns)

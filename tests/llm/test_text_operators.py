@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 import textwrap
+import time
 import zlib
 
 import numpy as np
@@ -179,6 +180,102 @@ def test_secret_spans_equal_the_patterns(spark, docs):
     assert added == "markov:4:34"
 
 
+def slow_added(text, ratios):
+    """The models' spans by plain loops over the text."""
+    place, n = {c: i for i, c in enumerate(secretscan.SIGNS)}, len(secretscan.SIGNS) + 1
+    spans = []
+    for m in re.finditer(secretscan.CANDIDATE, text):
+        run, at = m[0], m.start()
+        steps = [ratios[place[a] * n + place[b]] for a, b in zip(run, run[1:], strict=False)]
+        if len(run) >= secretscan.WHOLE_LENGTH and sum(steps) >= max(secretscan.LEAST_TOTAL, secretscan.LEAST_MEAN * len(run)):
+            spans.append((at, at + len(run)))
+            continue
+        total = peak = begin = stop = 0
+        for k, step in enumerate([*steps, -10**6]):
+            if total <= 0:
+                total, begin = 0, k
+            total += step
+            if total > peak:
+                peak, stop = total, k + 2
+            if total <= 0 or peak - total >= secretscan.LEAST_DROP:
+                part = run[begin:stop]
+                mixed = re.search("[0-9].*[A-Za-z]|[A-Za-z].*[0-9]|[a-z].*[A-Z]", part)
+                dense = len(part) >= secretscan.WHOLE_LENGTH and sum(steps[begin : stop - 1]) >= secretscan.LEAST_MEAN * len(part)
+                if peak >= secretscan.LEAST_TOTAL and (mixed or dense):
+                    left = begin - len(re.search("[A-Za-z0-9+]*$", run[:begin])[0])
+                    spans.append((at + left, at + stop + len(re.match("[A-Za-z0-9+]*", run[stop:])[0])))
+                total = peak = 0
+    met = []
+    for a, b in spans:
+        if met and a <= met[-1][1]:
+            met[-1][1] = max(met[-1][1], b)
+        else:
+            met.append([a, b])
+    return [(a, b) for a, b in met if not any(x < b and a < y for _, x, y in slow_base(text))]
+
+
+def test_added_spans_equal_plain_loops(spark, docs):
+    rng = random.Random(3)
+    signs = secretscan.SIGNS
+    texts = []
+    for _ in range(150):
+        parts = []
+        for _ in range(rng.randrange(1, 40)):
+            kind = rng.randrange(7)
+            size = rng.choice((8, 12, 20, 30, 60, 700))
+            parts.append(
+                rng.choice(secretscan.IDENTIFIER_WORDS) if kind < 2 else "".join(rng.choice(signs) for _ in range(size)) if kind < 4
+                else "".join(rng.choice("0123456789abcdef") for _ in range(size)) if kind == 4 else "x" * size if kind == 5 else "token"
+            )
+        texts.append("".join(p + rng.choice((" ", "/", "_", "\n", ", ", "é ", "=", ": ", '"')) for p in parts))
+    texts.append(" ".join(texts))  # longer than a part
+    texts.append("ü" * 9000 + texts[0] + "日本" * 5000 + texts[1])
+    src = spark.createDataFrame(list(enumerate(texts)), DOC)
+    ratios = secretscan.train(secretscan.sample_strings())
+    got = local(secretscan.secrets(src))
+    assert any(slow_added(t, ratios) for t in texts)
+    for k, t in enumerate(texts):
+        said = [s for s in got[k]["spans"].split(",") if s.startswith("markov")]
+        assert said == [f"markov:{a}:{b}" for a, b in slow_added(t, ratios)]
+        assert got[k]["n_markov"] == len(said)
+        base = ",".join(f"{n}:{a}:{b}" for n, a, b in slow_base(t))
+        assert got[k]["base_sha256"] == hashlib.sha256(base.encode()).hexdigest()
+
+
+def test_secrets_of_very_long_texts_take_time_in_proportion(spark):
+    rng = random.Random(4)
+
+    def seconds(text, mask=False):
+        src = spark.createDataFrame([(1, text)], DOC)
+        began = time.perf_counter()
+        row = (secretscan.masked(src) if mask else secretscan.secrets(src)).first()
+        return time.perf_counter() - began, row
+
+    def hexes(n, sep):
+        return sep.join(f"{rng.getrandbits(96):024x}" for _ in range(n))
+
+    seconds("warm up")
+    for sep in (" ", "-"):
+        for mask in (False, True):
+            one, _ = seconds(hexes(15_000, sep), mask)
+            two, row = seconds(hexes(30_000, sep), mask)
+            assert two < 3 * one + 2
+        assert set(row["text"].split(secretscan.MASK)) == {"", sep}
+    blob = "".join(rng.choice(secretscan.SIGNS[:62]) for _ in range(1_000_000))
+    sec, row = seconds(blob)
+    assert row["spans"] == "markov:0:1000000" and sec < 30
+    for c in " \na\u3000":
+        assert seconds(c * 1_000_000)[0] < 30
+
+
+def test_secrets_of_repeated_and_clashing_rows(spark):
+    rows = [(1, SECRETS[1], 3, "x")] * 3 + [(None, SECRETS[1], None, None)]
+    src = spark.createDataFrame(rows, "doc_id long, text string, n_hex int, kind string")
+    got = secretscan.secrets(src).collect()
+    assert len(got) == 4 and len({r["spans"] for r in got}) == 1
+    assert [r["n_hex"] for r in secretscan.masked(src).collect()] == [3, 3, 3, None]
+
+
 def test_markov_models_part_random_from_ordinary():
     ratios, place = secretscan.train(secretscan.sample_strings()), {c: i for i, c in enumerate(secretscan.SIGNS)}
     n, r = len(secretscan.SIGNS) + 1, random.Random(8)
