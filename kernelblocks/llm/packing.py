@@ -11,8 +11,10 @@ The row is cut block by block: the windows that begin in the last stretch of a b
 again with the next one, so memory is bounded by the longest document. Sequence ids are the
 partition's number and a count within it, so a task that runs again gives the same ones.
 
-Defined results: a null or empty text is the closing id alone; repeated rows are packed each; an
-empty table gives no piece.
+Defined results: a null or empty text is the closing id alone; repeated rows are packed each, in the
+order of the hash of their texts where ids tie; a text of any length is cut into as many pieces as it
+takes, runs of white space without bound among them; of plans that cost the same the one found first
+stays; an empty table gives no piece; other columns don't matter; any width of 1 or more will do.
 """
 
 from __future__ import annotations
@@ -88,17 +90,21 @@ def padding(length: int, width: int = WIDTH) -> int:
 
 
 def cut_places(
-    ends: np.ndarray, blank: np.ndarray, ids: np.ndarray, doc_ends: np.ndarray
+    ends: np.ndarray, blank: np.ndarray, ids: np.ndarray, doc_ends: np.ndarray, width: int = WIDTH
 ) -> tuple[np.ndarray, np.ndarray]:
-    """(places, penalties) where the row of ids may be cut; the first place is 0, the last its end."""
+    """(places, penalties) where the row of ids may be cut; the first place is 0, the last its end.
+
+    No two neighbours lie more than width apart, so that there always is a plan.
+    """
+    grid = max(1, min(GRID, width // 4))
     n = len(ids)
     inner = np.flatnonzero(ends[ids[:-1]] & blank[ids[1:]]) + 1 if n > 1 else np.zeros(0, np.int64)
     hard = np.unique(np.concatenate(([0], doc_ends, [n])))
     soft = np.setdiff1d(inner, hard, assume_unique=True)
     known = np.union1d(hard, soft)
     gaps = np.diff(known)
-    wide = np.flatnonzero(gaps > 4 * GRID)
-    extra = [np.arange(known[k] + GRID, known[k + 1], GRID) for k in wide]
+    wide = np.flatnonzero(gaps > min(4 * grid, width))
+    extra = [np.arange(known[k] + grid, known[k + 1], grid) for k in wide]
     forced = np.concatenate(extra) if extra else np.zeros(0, np.int64)
     places = np.concatenate((hard, soft, forced))
     costs = np.concatenate((np.zeros(len(hard)), np.full(len(soft), SENTENCE_PENALTY), np.full(len(forced), FORCED_PENALTY)))
@@ -165,7 +171,7 @@ class _Row:
             return
         ids = np.concatenate(self.parts).astype("<u4")
         doc_ends = np.array([b + n for _, b, n in self.docs]) - self.begins
-        places, costs = cut_places(self.ends, self.blank, ids, doc_ends)
+        places, costs = cut_places(self.ends, self.blank, ids, doc_ends, self.width)
         cuts = places[plan(places, costs, self.width)].tolist()
         if not last:
             cuts = [c for c in cuts if c <= max(len(ids) - LOOSE_TOKENS, cuts[1])]
