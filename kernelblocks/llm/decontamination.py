@@ -4,23 +4,32 @@ A text becomes a row of words in which numbers, names and units stand as typed p
 an exercise with other figures or other people keeps its template. Number words are numbers, and a unit
 glued to its number is a word of its own. A capitalised word that isn't a common one is a name; where it
 begins a sentence it may be an ordinary word too, and both readings are looked up. Windows of five
-template words are looked up by hash in a table of the benchmark's windows (a hash join inside the task;
-the table has a bound and a larger benchmark is taken in blocks). The hits of one item on one alignment
-count as contamination when they cover half of the item's windows or more and the placeholders agree:
-one value of the item always stands for one value of the document, and the other way round.
+template words are joined by hash. The hits of one item on one alignment count as contamination when they
+cover half of the item's windows or more and the placeholders agree: one value of the item always stands
+for one value of the document, and the other way round. A window whose slots disagree with the others'
+doesn't count, and where several slots and more than a fifth of them disagree the item is no match at all.
 
 A window is a template only if three of its words at least are no placeholders; windows poorer than
 that are looked up with all their words as they are, so that exact copies of them match. Half of the
 windows means half of the templates in either reading or half of all windows. Items with fewer words
-than a window are one window as they are. Defined results: null and empty texts match nothing; repeated
-documents and items give a row each.
+than a window are one window as they are.
+
+Half of an item's windows can't be hit without one of the rarer half of them: only those, its keys, look
+for documents, so windows that very many items share cost nothing where the items have others, and no
+match is lost. The pairs found are then compared whole. A benchmark of up to BLOCK_WINDOWS words is an index
+that every task holds. A larger one stays distributed: documents give the windows that pass a Bloom
+filter of bounded size, these meet the keys in a salted shuffle join, and each pair's texts meet in one task.
+
+Defined results: null and empty texts match nothing; repeated documents and items give a row each; of
+alignments that tie the first counts; texts of any length are read whole; an empty benchmark or table gives
+no row; other columns don't matter.
 """
 
 from __future__ import annotations
 
 import re
 import zlib
-from collections import defaultdict
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -29,13 +38,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from kernelblocks.llm.runtime import id_and_text
+from kernelblocks.llm.runtime import cut, id_and_text
 
 WINDOW = 5
 LITERALS = 3
 COVERAGE = 0.5
-#: Windows of the benchmark held at once in each task; a larger benchmark is taken in blocks of items.
+#: Slots that may disagree with the others where one item is compared: one, or this share of them.
+SLOT_DISAGREEMENT = 0.2
+#: Words of a benchmark that every task holds; a larger one is joined by a shuffle.
 BLOCK_WINDOWS = 400_000
+#: Bits of the filter of a larger benchmark's keys, and copies of each key.
+FILTER_BITS, SALTS = 1 << 27, 8
 CACHE_WORDS = 400_000
 #: Units of measure (fixed values).
 UNITS = frozenset(
@@ -186,165 +199,297 @@ def windows(
 
 
 class _Item:
-    """An item's words, and which of its windows are templates in either reading."""
-
-    def __init__(self, item_id: int, word: np.ndarray, kind: np.ndarray, rich: np.ndarray, plain: np.ndarray) -> None:
-        self.item_id, self.word, self.kind = item_id, word, kind
-        self.sets = [m for m in (rich, plain, np.ones(len(rich), bool)) if m.any()]
-
-    def covered(self, places: set[int]) -> tuple[int, float]:
+    """An item's words and windows, and which of its windows are templates in either reading."""
+
+    def __init__(self, item_id: int, text: str | None) -> None:
+        self.item_id = item_id
+        self.word, self.kind, either = readings(text)
+        self.size = min(WINDOW, len(self.word))
+        self.hash, self.place = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+        self.sets: list[np.ndarray] = []
+        if self.size:
+            self.hash, self.place, rich, plain = windows(self.word, self.kind, either, self.size)
+            self.sets = [m for m in (rich, plain, np.ones(len(rich), bool)) if m.any()]
+
+    def keys(self, owners: np.ndarray, coverage: float) -> np.ndarray:
+        """The hashes of the places one of which every match hits; owners says how many items hold each window."""
+        count = np.full(len(self.sets[-1]), np.iinfo(np.int64).max)
+        np.minimum.at(count, self.place, owners)
+        chosen = np.zeros(len(count), bool)
+        for m in self.sets:
+            at = np.flatnonzero(m)
+            # the most places of this set that a text can miss, and one more, the rarest first
+            miss = len(at) - max(1, int(np.ceil(coverage * len(at) - 1e-9)))
+            chosen[at[np.argsort(count[at], kind="stable")][: miss + 1]] = True
+        return np.unique(self.hash[chosen[self.place]])
+
+    def covered(self, places: np.ndarray) -> tuple[int, float]:
         """(windows hit, their share) for the set of windows with the largest share."""
-        at = np.fromiter(places, np.int64, len(places))
-        counts = [(int(m[at].sum()), int(m.sum())) for m in self.sets]
+        counts = [(int(m[places].sum()), int(m.sum())) for m in self.sets]
         n, total = max(counts, key=lambda c: (c[0] / c[1], c[0]))
         return n, n / total
 
+    def match(self, text: _Text, coverage: float) -> tuple[int, float, int, bool] | None:
+        """(windows hit, coverage, slots, verbatim) where the text holds the item, else None."""
+        hashes, at = text.windows(self.size)
+        lo, hi = np.searchsorted(hashes, self.hash), np.searchsorted(hashes, self.hash, side="right")
+        hit = hi - lo
+        if not hit.any() or self.covered(np.unique(self.place[hit > 0]))[1] < coverage:
+            return None
+        q = np.repeat(self.place, hit)
+        p = at[np.repeat(lo - (np.cumsum(hit) - hit), hit) + np.arange(len(q))]
+        pairs = np.unique(np.stack((p, q), axis=1), axis=0)
+        best = _aligned(pairs, text.word, self)
+        return best if best and best[1] >= coverage else None
+
+
+class _Text:
+    """A text's words, and its windows of each size sorted by hash."""
+
+    def __init__(self, text: str | None) -> None:
+        self.word, self.kind, self.either = readings(text)
+        self.made: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+    def raw(self, size: int) -> np.ndarray:
+        if not size or size > len(self.word):
+            return np.zeros(0, np.uint64)
+        return windows(self.word, self.kind, self.either, size)[0]
+
+    def windows(self, size: int) -> tuple[np.ndarray, np.ndarray]:
+        if size not in self.made:
+            if size > len(self.word):
+                self.made[size] = np.zeros(0, np.uint64), np.zeros(0, np.int64)
+            else:
+                h, at, _, _ = windows(self.word, self.kind, self.either, size)
+                order = np.argsort(h, kind="stable")
+                self.made[size] = h[order], at[order]
+        return self.made[size]
+
+
+def _aligned(pairs: np.ndarray, word: np.ndarray, item: _Item) -> tuple[int, float, int, bool] | None:
+    """The best run of hits (place in the text, place in the item) whose alignments lie within two words, with slots that agree."""
+    shift = pairs[:, 0] - pairs[:, 1]
+    pairs = pairs[np.lexsort((pairs[:, 0], shift))]
+    shift = np.sort(shift)
+    best = None
+    for run in np.split(pairs, np.flatnonzero(np.diff(shift) > 2) + 1):
+        # each slot of the item with what stands in its place; the most frequent partner of a value counts
+        at = (run[:, 1:] + np.arange(item.size)).ravel()
+        there = (run[:, :1] + np.arange(item.size)).ravel()
+        slot = item.kind[at] > 0
+        rows = list(zip(item.kind[at[slot]].tolist(), item.word[at[slot]].tolist(), word[there[slot]].tolist(), at[slot].tolist(), strict=True))
+        votes = Counter((k, a, b) for k, a, b, _ in dict.fromkeys(rows))
+        one: dict[tuple[int, int], int] = {}
+        other: dict[tuple[int, int], int] = {}
+        for (k, a, b), _ in sorted(votes.items(), key=lambda v: (-v[1], v[0])):
+            if (k, a) not in one and (k, b) not in other:
+                one[k, a], other[k, b] = b, a
+        wrong = {i for k, a, b, i in rows if one.get((k, a)) != b}
+        right = {i for k, a, b, i in rows if one.get((k, a)) == b}
+        if len(wrong) > 1 and len(wrong) > SLOT_DISAGREEMENT * len(wrong | right):
+            continue
+        agree = np.ones(len(at), bool)
+        agree[slot] = [one.get((k, a)) == b for k, a, b, _ in rows]
+        good = agree.reshape(-1, item.size).all(axis=1)
+        if not good.any():
+            continue
+        kept = np.unique(run[good, 1])
+        held = np.unique((kept[:, None] + np.arange(item.size)).ravel())
+        slots = int((item.kind[held] > 0).sum())
+        same = bool((item.word[at] == word[there])[np.repeat(good, item.size) & slot].all())
+        n, share = item.covered(kept)
+        if best is None or (share, n) > (best[1], best[0]):
+            best = (n, share, slots, same)
+    return best
+
+
+def _owners(hashes: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """(hash, number of rows that hold it), sorted."""
+    return np.unique(np.concatenate([np.zeros(0, np.uint64), *map(np.unique, hashes)]), return_counts=True)
+
 
 class Index:
-    """Windows of a block of items, sorted by hash, with the slots of each item."""
-
-    def __init__(self, items: list[tuple[int, str | None]]) -> None:
-        hashes, owner, place = [], [], []
-        self.items: list[_Item] = []
-        self.sizes = set()
-        for item_id, text in items:
-            word, kind, either = readings(text)
-            if not len(word):
-                continue
-            size = min(WINDOW, len(word))
-            h, at, rich, plain = windows(word, kind, either, size)
-            self.sizes.add(size)
-            hashes.append(h)
-            owner.append(np.full(len(at), len(self.items)))
-            place.append(at)
-            self.items.append(_Item(item_id, word, kind, rich, plain))
-        none = np.zeros(0, np.int64)
-        h = np.concatenate(hashes or [none.astype(np.uint64)])
-        order = np.argsort(h, kind="stable")
-        self.hash, self.owner, self.place = h[order], np.concatenate(owner or [none])[order], np.concatenate(place or [none])[order]
+    """The keys of a bounded benchmark, sorted by hash, and its items."""
+
+    def __init__(self, items: list[tuple[int, str | None]], coverage: float = COVERAGE) -> None:
+        self.items = [i for i in (_Item(*row) for row in items) if i.size]
+        self.sizes = {i.size for i in self.items}
+        known, count = _owners([i.hash for i in self.items])
+        keys = [i.keys(count[np.searchsorted(known, i.hash)], coverage) for i in self.items]
+        hashes = np.concatenate([np.zeros(0, np.uint64), *keys])
+        order = np.argsort(hashes, kind="stable")
+        self.hash = hashes[order]
+        self.owner = np.repeat(np.arange(len(keys)), [len(k) for k in keys])[order]
 
     def __len__(self) -> int:
         return len(self.hash)
 
     def matches(self, text: str | None, coverage: float) -> list[tuple[int, int, float, int, bool]]:
         """(item_id, windows hit, coverage, slots, verbatim) of each item that the text holds."""
-        word, kind, either = readings(text)
-        found: list[tuple[int, int, float, int, bool]] = []
-        if not len(word) or not len(self):
-            return found
-        n = len(word)
-        hits: dict[int, set[tuple[int, int]]] = defaultdict(set)
+        own = _Text(text)
+        if not len(own.word) or not len(self):
+            return []
+        who: list[np.ndarray] = []
         for size in self.sizes:
-            if size > n:
-                continue
-            h, at, _, _ = windows(word, kind, either, size)
+            h = own.raw(size)
             lo = np.searchsorted(self.hash, h)
-            ok = np.flatnonzero(self.hash[np.minimum(lo, len(self.hash) - 1)] == h)
-            for p in ok:
-                k = lo[p]
-                while k < len(self.hash) and self.hash[k] == h[p]:
-                    hits[int(self.owner[k])].add((int(at[p]), int(self.place[k])))
-                    k += 1
-        for who, pairs in hits.items():
-            item = self.items[who]
-            if item.covered({b for _, b in pairs})[1] < coverage:
-                continue
-            best = self._aligned(pairs, word, item)
-            if best and best[1] >= coverage:
-                found.append((item.item_id, *best))
+            hit = np.unique(h[self.hash[np.minimum(lo, len(self.hash) - 1)] == h])
+            lo, hi = np.searchsorted(self.hash, hit), np.searchsorted(self.hash, hit, side="right")
+            who += [self.owner[a:b] for a, b in zip(lo, hi, strict=True)]
+        found = []
+        for k in np.unique(np.concatenate(who)) if who else ():
+            best = self.items[k].match(own, coverage)
+            if best:
+                found.append((self.items[k].item_id, *best))
         return found
 
-    @staticmethod
-    def _aligned(pairs: set[tuple[int, int]], word: np.ndarray, item: _Item) -> tuple[int, float, int, bool] | None:
-        """The best run of hits whose alignments lie within two words, with slots that agree."""
-        runs: list[list[tuple[int, int]]] = []
-        for p, q in sorted(pairs, key=lambda x: (x[0] - x[1], x[0])):
-            if runs and (p - q) - (runs[-1][-1][0] - runs[-1][-1][1]) <= 2:
-                runs[-1].append((p, q))
-            else:
-                runs.append([(p, q)])
-        best = None
-        for run in runs:
-            size = min(WINDOW, len(item.word))
-            there: dict[tuple[int, int], int] = {}
-            back: dict[tuple[int, int], int] = {}
-            kept, slots, same = set(), set(), True
-            for p, q in sorted(run, key=lambda x: (x[1], x[0])):
-                new = [
-                    (int(item.kind[q + k]), int(item.word[q + k]), int(word[p + k]), q + k)
-                    for k in range(size)
-                    if item.kind[q + k]
-                ]
-                if all(there.get((c, a), b) == b and back.get((c, b), a) == a for c, a, b, _ in new):
-                    for c, a, b, at in new:
-                        there[c, a], back[c, b] = b, a
-                        slots.add(at)
-                        same &= a == b
-                    kept.add(q)
-            if kept:
-                n, share = item.covered(kept)
-                if best is None or (share, n) > (best[1], best[0]):
-                    best = (n, share, len(slots), same)
-        return best
-
-
-def item_blocks(benchmark: DataFrame, block_windows: int = BLOCK_WINDOWS) -> Iterator[Index]:
-    """Indexes of the benchmark, one bounded block of items after another; always one at least."""
-    rows = benchmark.select("item_id", "text").orderBy("item_id", F.xxhash64("text")).toLocalIterator()
-    held: list[tuple[int, str | None]] = []
-    size, any_yet = 0, False
-    for r in rows:
-        held.append((r["item_id"], r["text"]))
-        size += len((r["text"] or "").split())
-        if size >= block_windows:
-            yield Index(held)
-            held, size, any_yet = [], 0, True
-    if held or not any_yet:
-        yield Index(held)
+
+def small_index(benchmark: DataFrame, coverage: float = COVERAGE) -> Index | None:
+    """The index of a benchmark of up to BLOCK_WINDOWS words, else None."""
+    words = benchmark.agg(F.sum(F.size(F.split("text", r"\s+"))), F.count("*")).first()
+    if (words[0] or 0) + words[1] > BLOCK_WINDOWS:
+        return None
+    rows = benchmark.select("item_id", "text").orderBy("item_id", F.xxhash64("text")).collect()
+    return Index([(r["item_id"], r["text"]) for r in rows], coverage)
+
+
+FOUND = ["item_id", "windows", "coverage", "slots", "verbatim"]
+FOUND_KINDS = (pa.int64(), pa.int32(), pa.float64(), pa.int32(), pa.bool_())
+_FOUND_FIELDS = [T.StructField(n, k()) for n, k in zip(FOUND, (T.LongType, T.IntegerType, T.DoubleType, T.IntegerType, T.BooleanType), strict=True)]
+
+
+def _found_batch(lead: pa.Array, lead_name: str, rows: list[tuple]) -> pa.RecordBatch:
+    cols = list(zip(*rows, strict=True)) or [()] * len(FOUND)
+    return pa.RecordBatch.from_arrays([lead, *(pa.array(c, k) for c, k in zip(cols, FOUND_KINDS, strict=True))], names=[lead_name, *FOUND])
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE) -> DataFrame:
     """(doc_id, item_id, windows, coverage, slots, verbatim): the documents that hold an item, by item."""
     src = id_and_text(docs)
-    fields = [
-        T.StructField("doc_id", src.schema["doc_id"].dataType),
-        T.StructField("item_id", T.LongType()),
-        T.StructField("windows", T.IntegerType()),
-        T.StructField("coverage", T.DoubleType()),
-        T.StructField("slots", T.IntegerType()),
-        T.StructField("verbatim", T.BooleanType()),
-    ]
-    out: DataFrame | None = None
-    for index in item_blocks(benchmark):
-        held = docs.sparkSession.sparkContext.broadcast(index)
-
-        def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                rows = [m for t in b.column(1).to_pylist() for m in [held.value.matches(t, coverage)]]
-                take = [i for i, m in enumerate(rows) for _ in m]
-                if not take:
-                    continue
-                cols = list(zip(*(x for m in rows for x in m), strict=True))
-                kinds = (pa.int64(), pa.int32(), pa.float64(), pa.int32(), pa.bool_())
-                yield pa.RecordBatch.from_arrays(
-                    [b.column(0).take(pa.array(take)), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))],
-                    names=["doc_id", "item_id", "windows", "coverage", "slots", "verbatim"],
-                )
-
-        part = src.mapInArrow(run, T.StructType(fields))
-        out = part if out is None else out.union(part)
-    return out
+    index = small_index(benchmark, coverage)
+    if index is None:
+        keyed = src.select("doc_id", F.xxhash64("text").alias("key"))
+        return keyed.join(_joined(src, benchmark, coverage), "key").drop("key")
+    held = docs.sparkSession.sparkContext.broadcast(index)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = [held.value.matches(t, coverage) for t in b.column(1).to_pylist()]
+            take = [i for i, m in enumerate(rows) for _ in m]
+            if take:
+                yield _found_batch(b.column(0).take(pa.array(take)), "doc_id", [x for m in rows for x in m])
+
+    return src.mapInArrow(run, T.StructType([T.StructField("doc_id", src.schema["doc_id"].dataType), *_FOUND_FIELDS]))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERAGE) -> DataFrame:
     """The rows of docs, all columns as they are, that hold no item of the benchmark."""
+    index = small_index(benchmark, coverage)
+    if index is None:
+        bad = cut(_joined(id_and_text(docs), benchmark, coverage).select(F.col("key").alias("_kb_key")).distinct())
+        return docs.join(bad, F.xxhash64(F.coalesce(docs["text"], F.lit(""))) == bad["_kb_key"], "left_anti")
     at = docs.columns.index("text")
-    for index in item_blocks(benchmark):
-        held = docs.sparkSession.sparkContext.broadcast(index)
+    held = docs.sparkSession.sparkContext.broadcast(index)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield b.filter(pa.array([not held.value.matches(t, coverage) for t in b.column(at).to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
+def _bits(hashes: np.ndarray, bits: int) -> np.ndarray:
+    """Two places in the filter for each hash."""
+    mask = np.uint64(bits - 1)
+    return np.concatenate((hashes & mask, (hashes >> np.uint64(32)) & mask)).astype(np.int64)
 
-        def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                yield b.filter(pa.array([not held.value.matches(t, coverage) for t in b.column(at).to_pylist()], pa.bool_()))
 
-        docs = docs.mapInArrow(run, docs.schema)
-    return docs
+def _filter_of(keys: DataFrame, bits: int) -> np.ndarray:
+    """The Bloom filter of all keys: words that hold a bit, added up on the executors, come to the driver."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = np.unique(_bits(b.column(0).to_numpy().view(np.uint64), bits))
+            word, start = np.unique(at >> 6, return_index=True)
+            value = np.bitwise_or.reduceat(np.uint64(1) << (at & 63).astype(np.uint64), start) if len(at) else np.zeros(0, np.uint64)
+            yield pa.RecordBatch.from_arrays([pa.array(word), pa.array(value.view(np.int64))], names=["word", "value"])
+
+    rows = keys.select("hash").mapInArrow(run, "word long, value long").groupBy("word").agg(F.bit_or("value").alias("value")).toArrow()
+    out = np.zeros(bits // 64, np.uint64)
+    out[rows.column("word").to_numpy()] = rows.column("value").to_numpy().view(np.uint64)
+    return out
+
+
+def _joined(src: DataFrame, benchmark: DataFrame, coverage: float) -> DataFrame:
+    """(key, item_id, ...): what each different text of src (doc_id, text) holds, key being its hash."""
+    bench = benchmark.select("item_id", "text").withColumn("item", F.xxhash64("item_id", "text")).dropDuplicates(["item"])
+
+    def of_items(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for item, text in zip(b.column(2).to_pylist(), b.column(1).to_pylist(), strict=True):
+                h = np.unique(_Item(0, text).hash).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(np.full(len(h), item))], names=["hash", "item"])
+
+    every = cut(bench.mapInArrow(of_items, "hash long, item long"))
+    owners = every.groupBy("hash").agg(F.count("*").alias("owners"))
+    counted = every.join(owners, "hash").groupBy("item").agg(F.sort_array(F.collect_list(F.struct("hash", "owners"))).alias("counts"))
+
+    def keys_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for item, text, counts in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                own = _Item(0, text)
+                known = np.array([c["hash"] for c in counts], np.int64)
+                order = np.argsort(known.view(np.uint64))
+                count = np.array([c["owners"] for c in counts], np.int64)[order]
+                h = own.keys(count[np.searchsorted(known.view(np.uint64)[order], own.hash)], coverage).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(np.full(len(h), item)), pa.array(np.full(len(h), own.size))], names=["hash", "item", "size"])
+
+    keys = cut(bench.join(counted, "item").select("item", "text", "counts").mapInArrow(keys_of, "hash long, item long, size long"))
+    sizes = sorted(r["size"] for r in keys.select("size").distinct().collect())
+    spark = src.sparkSession
+    passed = spark.sparkContext.broadcast(_filter_of(keys, FILTER_BITS))
+    texts = src.select("text").withColumn("key", F.xxhash64("text"))
+
+    def of_texts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = passed.value
+        seen: set[int] = set()
+        for b in batches:
+            for text, key in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                if key in seen:
+                    continue
+                seen.add(key)
+                own = _Text(text)
+                h = np.unique(np.concatenate([np.zeros(0, np.uint64), *(own.raw(s) for s in sizes)]))
+                at = _bits(h, FILTER_BITS)
+                in_filter = (held[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)
+                h = h[(in_filter[: len(h)] & in_filter[len(h) :]) > 0].view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(np.full(len(h), key))], names=["hash", "key"])
+
+    hits = texts.mapInArrow(of_texts, "hash long, key long").withColumn("salt", F.pmod("key", F.lit(SALTS)).cast("int"))
+    salted = keys.select("hash", "item", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    pairs = cut(hits.join(salted, ["hash", "salt"]).select("key", "item").distinct())
+    # one text and the items that may lie in it meet in one task: the text comes first, then the items one by one
+    wanted = texts.join(pairs.select("key").distinct(), "key", "left_semi").dropDuplicates(["key"])
+    items = pairs.join(bench.select("item", "item_id", F.col("text").alias("body")), "item").select("key", F.lit(1).alias("turn"), "item", "item_id", "body")
+    lead = wanted.select("key", F.lit(0).alias("turn"), F.lit(0).cast("long").alias("item"), F.lit(0).cast("long").alias("item_id"), F.col("text").alias("body"))
+    met = lead.union(items.select("key", "turn", "item", F.col("item_id").cast("long"), "body")).repartition("key").sortWithinPartitions("key", "turn", "item_id")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, at = None, None
+        for b in batches:
+            who, rows = [], []
+            for key, turn, item, item_id, body in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if not turn:
+                    own, at = _Text(body), key
+                elif at == key and (best := _Item(item_id, body).match(own, coverage)):
+                    who.append((key, item))
+                    rows.append((item_id, *best))
+            if rows:
+                found = _found_batch(pa.array([k for k, _ in who], pa.int64()), "key", rows)
+                yield pa.RecordBatch.from_arrays([*found.columns, pa.array([i for _, i in who], pa.int64())], names=[*found.schema.names, "item"])
+
+    fields = [T.StructField("key", T.LongType()), *_FOUND_FIELDS, T.StructField("item", T.LongType())]
+    found = met.mapInArrow(compare, T.StructType(fields))
+    # items that repeat give a row each
+    times = benchmark.select(F.xxhash64("item_id", "text").alias("item")).groupBy("item").agg(F.count("*").alias("times"))
+    return found.join(times, "item").withColumn("_n", F.explode(F.sequence(F.lit(1), F.col("times")))).select("key", *FOUND)
