@@ -2,25 +2,33 @@
 
 A text's lines that hold a cue word of licensing, and the joined runs of up to WINDOW_LINES adjacent
 lines that do, are judged by multinomial logistic regression on sparse word n-grams (one and two words);
-no run goes over a blank line. So a notice is found whole where it is wrapped, at 30 columns or more. The classifier is trained on the driver from
-labelled samples; an unknown class takes the rest, and a temperature fitted on held-out samples
-calibrates all classes. A prediction counts once a template of the predicted family confirms it: the
-template's word pairs must lie in the paragraph to a given share. Every template holds a cue word, so a
-paragraph without one could not be confirmed and leaving it out loses nothing.
+no run goes over a blank line. So a notice is found whole where it is wrapped, at 30 columns or more. The
+classifier is trained on the driver from labelled samples; an unknown class takes the rest, and a temperature
+calibrates all classes on notices that the fit hasn't seen in any form. A prediction counts once a template
+of the predicted family, none of which is a sample, confirms it: the template's word pairs must lie in the
+paragraph to a given share. Every template holds a cue word, so a paragraph without one could not be
+confirmed and leaving it out loses nothing.
 
-Where confirmed findings overlap, the one with the larger share stays, then the one with fewer lines.
-Each different paragraph is judged once, however often it occurs. Defined results: null and empty
-texts have no paragraphs; repeated rows give their findings each.
+Weights and templates are one small broadcast table by gram, so a paragraph costs its grams alone. Each
+different paragraph is judged once, however often it occurs, and the findings go back to the lines by a
+broadcast where they are small, else with salt. Where confirmed findings overlap, the one with the larger
+share stays, then the one with fewer lines.
+
+Defined results: null and empty texts have no paragraphs; repeated rows give their findings each; of classes
+that tie the first by name wins, unknown last; texts of any length are read whole, line by line, in time that
+grows with their lines; an empty table gives no row; other columns don't matter.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterable
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from kernelblocks.llm.arrays import running
 from kernelblocks.llm.runtime import cut, id_and_text
 
 UNKNOWN = "unknown"
@@ -32,9 +40,13 @@ CUES = (
     r"(?i:licen[sc]|copyright|copyleft|warrant|permission|redistribut|public[\s#*/;>-]+domain|spdx|creative[\s#*/;>-]+commons|"
     r"\bcc[\s-](?:by|0)|\bcc0|\bgpl|\blgpl|\bagpl|apache|mozilla|\bbsd\b)|\bMIT\b"
 )
+#: The first part of a cue that can go on in the next line.
+BROKEN_CUES = r"(?i)(?:public|creative)[\s#*/;>-]*$|\bcc\s*$"
+#: Findings of different paragraphs are broadcast up to so many bytes of text; beyond, the join is salted.
+BROADCAST_BYTES, SALTS = 8 << 20, 32
 WORDS = r"[a-z0-9][a-z0-9.+-]*[a-z0-9]|[a-z0-9]"
 
-#: Short notices of each family (fixed values); the classifier's samples and the templates that confirm.
+#: Short notices of each family (fixed values): the templates that confirm. None of them trains the classifier.
 TEMPLATES: dict[str, tuple[str, ...]] = {
     "MIT": (
         "Released under the MIT License.",
@@ -102,6 +114,105 @@ TEMPLATES: dict[str, tuple[str, ...]] = {
         "All rights reserved. No part of this publication may be reproduced without permission of the copyright holder.",
     ),
 }
+#: Notices in other words (fixed values): what the classifier learns from.
+NOTICES: dict[str, tuple[str, ...]] = {
+    "MIT": (
+        "This software is distributed under the MIT License, see the file LICENSE.",
+        "The code is MIT licensed.",
+        "License: MIT",
+        "Use of this source code is governed by an MIT-style license.",
+        "Permission is granted, free of charge, to any person obtaining a copy of this software and its documentation files, to deal in the software without restriction",
+        "Available under the MIT license, copyright the contributors.",
+    ),
+    "Apache-2.0": (
+        "This library is distributed under the terms of the Apache License, Version 2.0.",
+        "License: Apache 2.0",
+        "You may not use this file except in compliance with the Apache License, Version 2.0.",
+        "The project is Apache-2.0 licensed.",
+        "You may obtain a copy of the License at www.apache.org/licenses/LICENSE-2.0",
+        "All code here is covered by the Apache License, Version 2.0.",
+    ),
+    "GPL": (
+        "This package is distributed under the GNU General Public License, version 2 or any later version.",
+        "It is free software; redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation",
+        "License: GPL-3.0",
+        "The program is covered by the GNU GPL version 3.",
+        "You should have received a copy of the GNU General Public License along with this program",
+        "The sources are licensed under GPLv2 or GPLv3.",
+    ),
+    "LGPL": (
+        "The library is distributed under the GNU Lesser General Public License, version 3.",
+        "License: LGPL-2.1",
+        "It may be redistributed under the terms of the GNU Lesser General Public License.",
+        "You should have received a copy of the GNU Lesser General Public License along with this library",
+        "The bindings are LGPL licensed.",
+        "Covered by the GNU LGPL version 2.1 or later.",
+    ),
+    "AGPL": (
+        "The server is distributed under the GNU Affero General Public License, version 3.",
+        "License: AGPL-3.0",
+        "It may be redistributed under the terms of the GNU Affero General Public License.",
+        "You should have received a copy of the GNU Affero General Public License along with this program",
+        "The service is AGPL licensed.",
+        "Covered by the GNU AGPL version 3 or later.",
+    ),
+    "BSD": (
+        "This software is distributed under the 3-clause BSD License.",
+        "License: BSD-2-Clause",
+        "Use of this source code is governed by a BSD-style license.",
+        "Redistribution in source and binary forms is permitted provided that the following conditions are met",
+        "The code is BSD licensed.",
+        "Available under the BSD license, copyright the contributors.",
+    ),
+    "MPL": (
+        "The file is distributed under the Mozilla Public License, version 2.0.",
+        "License: MPL-2.0",
+        "This source code is subject to the Mozilla Public License, v. 2.0.",
+        "You can obtain a copy of the Mozilla Public License at mozilla.org/MPL/2.0",
+        "The add-on is MPL licensed.",
+        "Covered by the Mozilla Public License 2.0.",
+    ),
+    "CC-BY": (
+        "The text is published under CC BY 4.0.",
+        "License: CC-BY-4.0",
+        "Distributed under the Creative Commons Attribution 4.0 International License.",
+        "This is an open access article under the CC BY license.",
+        "Available under a Creative Commons Attribution License, which permits reuse with credit.",
+        "The figures are licensed CC-BY 4.0.",
+    ),
+    "CC-BY-SA": (
+        "The text is published under CC BY-SA 4.0.",
+        "License: CC-BY-SA-4.0",
+        "Distributed under the Creative Commons Attribution-ShareAlike 4.0 International License.",
+        "This page may be shared under the CC BY-SA license.",
+        "Content is available under a Creative Commons Attribution-ShareAlike License.",
+        "The maps are licensed CC-BY-SA 3.0.",
+    ),
+    "CC-BY-NC": (
+        "The text is published under CC BY-NC 4.0.",
+        "License: CC-BY-NC-4.0",
+        "Distributed under the Creative Commons Attribution-NonCommercial 4.0 International License.",
+        "This is an open access article under the CC BY-NC license for non-commercial use.",
+        "Available under a Creative Commons Attribution-NonCommercial License.",
+        "The figures are licensed CC-BY-NC-SA 4.0.",
+    ),
+    "CC0": (
+        "The data are published under CC0 1.0.",
+        "License: CC0-1.0",
+        "The author has waived all copyright under the CC0 public domain dedication, to the extent possible under law.",
+        "This work is in the public domain under CC0.",
+        "Free and unencumbered, released into the public domain.",
+        "The records are dedicated to the public domain with CC0 1.0.",
+    ),
+    "ALL-RIGHTS": (
+        "Copyright (c) 2018 the publisher. All rights reserved.",
+        "All rights reserved by the copyright holder.",
+        "No part of this book may be reproduced in any form without written permission of the publisher. All rights reserved.",
+        "Copyright 2021 by the authors, all rights reserved.",
+        "(c) the company. All rights reserved worldwide.",
+        "No part of this publication may be copied or reproduced without the permission of the copyright holder.",
+    ),
+}
 #: Paragraphs with a cue word that grant no licence (fixed values).
 UNLICENSED: tuple[str, ...] = (
     "She renewed her driving licence before the journey.",
@@ -132,20 +243,24 @@ DRESSING: tuple[tuple[str, str], ...] = (
 
 def grams(text: str) -> list[str]:
     """Single words and word pairs, each once, as the query below makes them."""
-    import re
-
     words = re.findall(WORDS, text.lower())
     return list(dict.fromkeys(words + [f"{a} {b}" for a, b in zip(words, words[1:], strict=False)]))
 
 
 def built_in_samples() -> list[tuple[str, str]]:
-    """(paragraph, family) for training, the same at every call."""
-    out = [(f"{a}{t}{b}", name) for name, texts in TEMPLATES.items() for t in texts for a, b in DRESSING]
+    """(paragraph, family) for training, the same at every call: each notice in all its dressings, one after the other."""
+    out = [(f"{a}{t}{b}", name) for name, texts in NOTICES.items() for t in texts for a, b in DRESSING]
     return out + [(f"{a}{t}{b}", UNKNOWN) for t in UNLICENSED for a, b in DRESSING]
 
 
 class LicenceModel:
-    """Weights of each gram for each class, bias and temperature."""
+    """Weights of each gram for each class, bias and temperature.
+
+    The temperature is fitted on samples of which no sample that shares most words trains that fit: samples are
+    held out by what they have in common, not one by one.
+    """
+
+    TEMPERATURES = np.geomspace(0.02, 8, 61)
 
     def __init__(self, samples: Iterable[tuple[str, str]], rounds: int = 300, rate: float = 2.0, l2: float = 1e-3) -> None:
         rows = [(grams(t), name) for t, name in samples]
@@ -156,14 +271,33 @@ class LicenceModel:
         for i, (gs, _) in enumerate(rows):
             x[i, [spot[g] for g in gs]] = 1.0
         y = np.array([self.classes.index(n) for _, n in rows])
-        held = np.arange(len(rows)) % 5 == 4
-        w, b = self._fit(x[~held], y[~held], rounds, rate, l2)
-        z = x[held] @ w + b
-        self.temperature = min(
-            np.geomspace(0.25, 4, 25), key=lambda t: -self._log_softmax(z / t)[np.arange(held.sum()), y[held]].mean()
-        ) if held.any() else 1.0
+        part = self._parts(x, y)
+        z = np.zeros((len(rows), len(self.classes)))
+        for k in range(3):
+            held = part % 3 == k
+            if held.any() and not held.all():
+                w, b = self._fit(x[~held], y[~held], rounds, rate, l2)
+                z[held] = x[held] @ w + b
+        at = np.arange(len(rows))
+        self.held_out_accuracy = float((z.argmax(axis=1) == y).mean())
+        self.temperature = min(self.TEMPERATURES, key=lambda t: -self._log_softmax(z / t)[at, y].mean()) if z.any() else 1.0
+        self.held_out_unknown = float((self._log_softmax(z[y < len(self.classes) - 1] / self.temperature).max(axis=1) < np.log(LEAST_PROBABILITY)).mean()) if z.any() else 0.0
         self.weights, self.bias = self._fit(x, y, rounds, rate, l2)
 
+    @staticmethod
+    def _parts(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """A number for each sample, the same for samples of a class that share half of their grams."""
+        part, count = np.full(len(x), -1), {}
+        for i in range(len(x)):
+            same = np.flatnonzero((part[:i] >= 0) & (y[:i] == y[i]))
+            both = x[same] @ x[i]
+            near = same[both >= 0.5 * np.minimum(x[same].sum(axis=1), x[i].sum())] if len(same) else same
+            if len(near):
+                part[i] = part[near[0]]
+            else:
+                part[i] = count[y[i]] = count.get(y[i], -1) + 1
+        return part
+
     def _fit(self, x: np.ndarray, y: np.ndarray, rounds: int, rate: float, l2: float) -> tuple[np.ndarray, np.ndarray]:
         k = len(self.classes)
         w, b = np.zeros((x.shape[1], k)), np.zeros(k)
@@ -180,18 +314,17 @@ class LicenceModel:
         z = z - z.max(axis=1, keepdims=True)
         return z - np.log(np.exp(z).sum(axis=1, keepdims=True))
 
-    def weight_table(self, spark: SparkSession) -> DataFrame:
-        """(gram, class, weight): as many rows as the samples have different grams and classes."""
+    def gram_table(self, spark: SparkSession, templates: list[list[str]]) -> DataFrame:
+        """(gram, w0.., t0..): a gram's weight for each class, and whether it lies in each template."""
+        spot = {g: i for i, g in enumerate(self.vocabulary)}
+        sets = [set(t) for t in templates]
+        zero = [0.0] * len(self.classes)
         rows = [
-            (g, c, float(self.weights[i, j] / self.temperature))
-            for i, g in enumerate(self.vocabulary)
-            for j, c in enumerate(self.classes)
+            (g, *((self.weights[spot[g]] / self.temperature).tolist() if g in spot else zero), *(int(g in t) for t in sets))
+            for g in sorted(spot.keys() | {g for t in templates for g in t})
         ]
-        return spark.createDataFrame(rows, "gram string, class string, weight double")
-
-    def bias_sql(self) -> str:
-        kinds = ", ".join(f"named_struct('class', '{c}', 'bias', {b / self.temperature:.17g}D)" for c, b in zip(self.classes, self.bias, strict=True))
-        return f"array({kinds})"
+        kinds = [f"w{j} double" for j in range(len(self.classes))] + [f"t{k} int" for k in range(len(templates))]
+        return spark.createDataFrame(rows, ", ".join(["gram string", *kinds]))
 
 
 def _grams_sql(text: str) -> str:
@@ -202,82 +335,94 @@ def _grams_sql(text: str) -> str:
     return f"array_distinct(aggregate(array({words}), cast(array() AS array<string>), (z, w) -> concat(w, CASE WHEN size(w) > 1 THEN {pairs} ELSE cast(array() AS array<string>) END)))"
 
 
-def _templates_sql() -> str:
-    rows = ", ".join(
-        f"named_struct('family', '{name}', 'grams', array({', '.join(repr(g) for g in pairs)}))"
-        for name, texts in TEMPLATES.items()
-        for t in texts
-        if (pairs := [g for g in grams(t) if " " in g] or grams(t))
-    )
-    return f"array({rows})"
-
-
-def _ending(a: str, x: str) -> str:
-    """SQL for the runs of 1 to WINDOW_LINES lines that end with line x: those that ended before it, longer by x, and x."""
-    return f"""concat(
-        array(named_struct('paragraph', {a}.no, 'start', {a}.at, 'stop', {a}.at + length({x}), 'size', 1, 'body', {x})),
-        transform(filter({a}.near, n -> n.size < {WINDOW_LINES}), n -> named_struct('paragraph', n.paragraph, 'start', n.start,
-          'stop', {a}.at + length({x}), 'size', n.size + 1, 'body', concat(n.body, ' ', {x}))))"""
+def _paragraphs(docs: DataFrame, cues: str) -> DataFrame:
+    """(doc_id, row, paragraph, start, stop, size, body): the lines with a cue and the joined runs of lines that hold one."""
+    src = id_and_text(docs).where(F.col("text").rlike(cues)).withColumn("row", F.monotonically_increasing_id())
+    src = src.withColumn("lines", F.split("text", "\n", -1)).drop("text")
+    starts = running("transform(lines, x -> length(x) + 1)", "+")
+    blanks = running("transform(lines, (x, i) -> CASE WHEN x RLIKE r'\\S' THEN -1 ELSE i END)", "greatest")
+    src = src.withColumn("stops", F.expr(starts)).withColumn("blank", F.expr(blanks))
+    # a run holds a cue only where one of its lines does, or the beginning of one
+    hot = f"filter(transform(lines, (x, i) -> CASE WHEN x RLIKE r'{cues}' OR x RLIKE r'{BROKEN_CUES}' THEN i END), i -> i IS NOT NULL)"
+    src = src.withColumn("hot", F.expr(hot))
+    ends = f"array_distinct(flatten(transform(hot, i -> sequence(i, least(i + {WINDOW_LINES - 1}, size(lines) - 1)))))"
+    src = src.withColumn("z", F.arrays_zip("lines", "stops", "blank")).withColumn("ends", F.expr(ends)).select("doc_id", "row", "lines", "z", "ends")
+    # the runs of 1 to WINDOW_LINES lines that end with line i and begin after the last blank one
+    begin = "CASE WHEN i - k < 0 THEN 0 ELSE z[i - k].stops END"
+    run = f"""named_struct('paragraph', i - k + 1, 'start', {begin}, 'stop', z[i].stops - 1, 'size', k, 'body', array_join(slice(lines, i - k + 2, k), ' '))"""
+    most = f"least({WINDOW_LINES}, i - z[i].blank)"
+    runs = f"CASE WHEN i > z[i].blank THEN filter(transform(sequence(1, {most}), k -> {run}), w -> w.body RLIKE r'{cues}') END"
+    return src.select("doc_id", "row", F.expr(f"inline(flatten(filter(transform(ends, i -> {runs}), w -> w IS NOT NULL)))"))
 
 
 def licences(
-    docs: DataFrame, samples: Iterable[tuple[str, str]] | None = None, confirmed_only: bool = True
+    docs: DataFrame,
+    samples: Iterable[tuple[str, str]] | None = None,
+    confirmed_only: bool = True,
+    templates: dict[str, tuple[str, ...]] | None = None,
+    cues: str = CUES,
 ) -> DataFrame:
     """(doc_id, paragraph, start, stop, family, probability, share, confirmed): the findings in all texts.
 
     paragraph is the first line's number from 0; start and stop are code points of the text, the end
     exclusive. A finding is a line, or a joined run of lines, whose best class is a family, at
     LEAST_PROBABILITY or more; confirmed says whether a template of that family lies in it to LEAST_SHARE
-    or more. Runs of several lines are returned only confirmed.
+    or more. Runs of several lines are returned only confirmed. templates replaces the built-in ones; a
+    family of samples without a template is confirmed by its samples. cues is what a paragraph must hold
+    to be read; a template or sample without one is an error, since its family could not be found.
     """
     spark = docs.sparkSession
-    model = LicenceModel(built_in_samples() if samples is None else samples)
-    # where each line begins: the lengths of the lines before it, found inside the row
-    piece = "struct<paragraph:int,start:int,stop:int,size:int,body:string>"
-    lines = (
-        id_and_text(docs)
-        .where(F.col("text").rlike(CUES))
-        .withColumn("row", F.monotonically_increasing_id())
-        .select(
-            "doc_id",
-            "row",
-            F.expr(
-                f"""inline(aggregate(split(text, '\\n', -1),
-                     named_struct('at', 0, 'no', 0, 'near', cast(array() AS array<{piece}>), 'out', cast(array() AS array<{piece}>)),
-                     (a, x) -> named_struct('at', a.at + length(x) + 1, 'no', a.no + 1,
-                       'near', CASE WHEN x RLIKE r'\\S' THEN {_ending("a", "x")} ELSE cast(array() AS array<{piece}>) END,
-                       'out', a.out || filter(CASE WHEN x RLIKE r'\\S' THEN {_ending("a", "x")} ELSE cast(array() AS array<{piece}>) END, w -> w.body RLIKE r'{CUES}')),
-                     a -> a.out))"""
-            ),
-        )
-    )
-    lines = cut(lines)  # the few lines that hold a cue, so that the texts are searched once
-    kinds = lines.select("body").distinct().withColumn("grams", F.expr(_grams_sql("body")))
+    rows = built_in_samples() if samples is None else list(samples)
+    model = LicenceModel(rows)
+    known = dict(TEMPLATES if templates is None else templates)
+    for family in set(model.classes) - {UNKNOWN} - known.keys():
+        known[family] = tuple(t for t, name in rows if name == family)
+    texts = [(c, t) for c in model.classes[:-1] for t in known[c]]
+    for family, t in texts:
+        if not re.search(cues, t):
+            raise ValueError(f"a template of {family} holds no cue: {t[:60]!r}; pass cues that it holds")
+    sets = [[g for g in grams(t) if " " in g] or grams(t) for _, t in texts]
+    lines = cut(_paragraphs(docs, cues))  # the few lines that hold a cue, so that the texts are searched once
+    width = len(model.classes)
+    weights = [F.sum(f"w{j}").alias(f"w{j}") for j in range(width)]
+    counts = [F.sum(f"t{k}").alias(f"t{k}") for k in range(len(texts))]
     sums = (
-        kinds.select("body", F.explode("grams").alias("gram"))
-        .join(F.broadcast(model.weight_table(spark)), "gram")
-        .groupBy("body", "class")
-        .agg(F.sum("weight").alias("weight"))
+        lines.select("body")
+        .distinct()
+        .select("body", F.explode(F.expr(_grams_sql("body"))).alias("gram"))
+        .join(F.broadcast(model.gram_table(spark, sets)), "gram")
         .groupBy("body")
-        .agg(F.map_from_entries(F.collect_list(F.struct("class", "weight"))).alias("weights"))
+        .agg(*weights, *counts)
     )
+    z = F.array(*(F.col(f"w{j}") + float(b / model.temperature) for j, b in enumerate(model.bias)))
+    of_class = {c: [F.col(f"t{k}") / float(len(sets[k])) for k, (name, _) in enumerate(texts) if name == c] for c in model.classes[:-1]}
+    shares = F.array(*(F.greatest(F.lit(0.0), *of_class[c]) for c in model.classes[:-1]), F.lit(0.0))
     scored = (
-        kinds.join(sums, "body", "left")
-        .withColumn("z", F.expr(f"transform({model.bias_sql()}, k -> named_struct('class', k.class, 'z', k.bias + coalesce(element_at(weights, k.class), 0D)))"))
-        .withColumn("top", F.expr("aggregate(z, element_at(z, 1), (a, k) -> CASE WHEN k.z > a.z THEN k ELSE a END)"))
-        .withColumn("probability", F.expr("1D / aggregate(z, 0D, (a, k) -> a + exp(k.z - top.z))"))
-        .where(f"top.class <> '{UNKNOWN}' AND probability >= {LEAST_PROBABILITY}")
-        .withColumn(
-            "share",
-            F.expr(
-                f"array_max(transform(filter({_templates_sql()}, t -> t.family = top.class), t -> size(array_intersect(t.grams, grams)) / size(t.grams)))"
-            ),
-        )
-        .select("body", F.col("top.class").alias("family"), F.round("probability", 9).alias("probability"), F.coalesce("share", F.lit(0.0)).alias("share"))
+        sums.withColumn("z", z)
+        .withColumn("best", F.array_max("z"))
+        .withColumn("at", F.array_position("z", F.col("best")).cast("int"))
+        .withColumn("probability", F.expr("1D / aggregate(z, 0D, (a, k) -> a + exp(k - best))"))
+        .withColumn("share", F.element_at(shares, F.col("at")))
+        .where((F.col("at") < width) & (F.col("probability") >= LEAST_PROBABILITY))
+        .select("body", F.element_at(F.array(*map(F.lit, model.classes)), F.col("at")).alias("family"), F.round("probability", 9).alias("probability"), "share")
     )
     if confirmed_only:
         scored = scored.where(F.col("share") >= LEAST_SHARE)
-    found = lines.join(scored, "body").withColumn("confirmed", F.col("share") >= LEAST_SHARE).where("size = 1 OR confirmed")
+    scored = cut(scored)
+    size = scored.agg(F.sum(F.length("body") * 4 + 64)).first()[0] or 0
+    if size <= BROADCAST_BYTES:
+        found = lines.join(F.broadcast(scored), "body")
+    else:  # a line that very many texts hold is dealt by salt
+        salted = scored.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        found = lines.withColumn("salt", F.pmod(F.xxhash64("row", "start"), F.lit(SALTS)).cast("int")).join(salted, ["body", "salt"])
+    found = found.withColumn("confirmed", F.col("share") >= LEAST_SHARE).where("size = 1 OR confirmed")
+    # a run in which a shorter one confirms as well never stays: what would take that one's place overlaps the run too
+    ahead = Window.partitionBy("row").orderBy("paragraph").rangeBetween(0, WINDOW_LINES - 1)
+    inner = F.collect_list(F.when(F.col("confirmed"), F.struct("paragraph", "size", "share"))).over(ahead)
+    found = found.withColumn("inner", inner).where(
+        """NOT confirmed OR NOT exists(inner, v -> v.size < size AND v.paragraph >= paragraph
+             AND v.paragraph + v.size <= paragraph + size AND v.share >= share)"""
+    )
     # findings that touch no other are settled apart
     place = Window.partitionBy("row").orderBy("start", "stop")
     found = found.withColumn("far", F.max("stop").over(place.rowsBetween(Window.unboundedPreceding, -1)))

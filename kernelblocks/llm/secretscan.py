@@ -27,6 +27,7 @@ from collections.abc import Iterable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kernelblocks.llm.arrays import CHUNK, running
 from kernelblocks.llm.runtime import id_and_text
 
 # What the base patterns look like and how long a match must be.
@@ -48,8 +49,6 @@ MASK = "[SECRET]"
 #: Longer texts are worked off in parts of about PART_SIGNS code points, cut behind a sign or at blanks that no span can hold.
 WHOLE_TEXT, PART_SIGNS = 8192, 4096
 PART = r"(?s).{%d}.*?(?:[^A-Za-z0-9+/_.=\x20\x22\x27:-]|(?<![:=\x20])\x20++(?![:=]))|.+" % PART_SIGNS
-#: Arrays grow by so many members at most before the next begins.
-CHUNK = 256
 
 #: Words that ordinary identifiers are made of (fixed values).
 IDENTIFIER_WORDS = (
@@ -126,22 +125,6 @@ def train(samples: Iterable[tuple[str, int]], smoothing: float = 2.0) -> list[in
     return out
 
 
-def _running(values: str, combine: str) -> str:
-    """SQL for the running sums (combine +) or maxima (combine greatest) of an array of ints.
-
-    Arrays grow by copying, so they grow to CHUNK numbers only, and the chunks' ends are carried on.
-    """
-    least = "0" if combine == "+" else "-2147483647"
-    put = (lambda p, q: f"{p} + {q}") if combine == "+" else (lambda p, q: f"greatest({p}, {q})")
-    inner = f"""transform(sequence(0, greatest(size(rv) - 1, 0) div {CHUNK}), c ->
-        aggregate(slice(rv, c * {CHUNK} + 1, {CHUNK}), cast(array() AS array<int>), (z, q) ->
-          concat(z, array(CASE WHEN size(z) = 0 THEN q ELSE {put("element_at(z, -1)", "q")} END))))"""
-    carried = f"""aggregate(ri, array({least}), (z, v) -> concat(z, array(CASE WHEN size(v) = 0 THEN {least} ELSE
-        {put("element_at(z, -1)", "element_at(v, -1)")} END)))"""
-    added = f"flatten(zip_with(ri, slice({carried}, 1, size(ri)), (v, least) -> transform(v, q -> {put('least', 'q')})))"
-    return f"element_at(transform(transform(array({values}), rv -> {inner}), ri -> {added}), 1)"
-
-
 def _quoted(pattern: str) -> str:
     return "r'" + pattern.replace("'", "\\x27") + "'"
 
@@ -153,7 +136,7 @@ def _with_matches(df: DataFrame, name: str, pattern: str, group: int = 0) -> Dat
     caught = f"regexp_extract(x, {p}, {group})" if group else "x"
     return (
         df.withColumn(found, F.expr(f"transform(_kb_parts, part -> regexp_extract_all(part, {p}, 0))"))
-        .withColumn(ends, F.expr(f"zip_with(_kb_parts, {found}, (part, found) -> CASE WHEN size(found) = 0 THEN cast(array() AS array<int>) ELSE {_running(lengths, '+')} END)"))
+        .withColumn(ends, F.expr(f"zip_with(_kb_parts, {found}, (part, found) -> CASE WHEN size(found) = 0 THEN cast(array() AS array<int>) ELSE {running(lengths, '+')} END)"))
         .withColumn(name, F.expr(f"zip_with({found}, {ends}, (found, ends) -> zip_with(found, ends, (x, e) -> named_struct('start', e - length(x), 'stop', e, 'm', x, 'g', {caught})))"))
         .drop(found, ends)
     )
@@ -189,7 +172,7 @@ def _stretches(r: str) -> str:
 
 def _with_met(df: DataFrame, name: str) -> DataFrame:
     """df with the spans of name, sorted and apart but for their ends, those that meet as one."""
-    reach = _running("transform(found, s -> s.stop)", "greatest")
+    reach = running("transform(found, s -> s.stop)", "greatest")
     # heads: the first of those that meet; each ends where the one before the next head does
     heads = "filter(zip_with(transform(found, (s, i) -> named_struct('i', i, 'start', s.start)), concat(array(-1), slice(reach, 1, size(reach) - 1)), (h, r) -> named_struct('i', h.i, 'start', h.start, 'new', h.start > r)), h -> h.new)"
     last = "concat(transform(slice(heads, 2, size(heads)), h -> h.i), array(size(reach)))"
@@ -204,8 +187,8 @@ def _with_met(df: DataFrame, name: str) -> DataFrame:
 def _with_apart(df: DataFrame, name: str) -> DataFrame:
     """df with the spans of name that overlap none of _kb_base; both are sorted by start."""
     both = "array_sort(concat(transform(own, b -> named_struct('start', b.start, 'stop', b.stop, 'base', true)), transform(found, s -> named_struct('start', s.start, 'stop', s.stop, 'base', false))))"
-    reach = _running("transform(both, s -> CASE WHEN s.base THEN s.stop ELSE 0 END)", "greatest")
-    ahead = _running("transform(reverse(both), s -> CASE WHEN s.base THEN -s.start ELSE -2147483647 END)", "greatest")
+    reach = running("transform(both, s -> CASE WHEN s.base THEN s.stop ELSE 0 END)", "greatest")
+    ahead = running("transform(reverse(both), s -> CASE WHEN s.base THEN -s.start ELSE -2147483647 END)", "greatest")
     free = "filter(zip_with(r._kb_both, zip_with(r._kb_reach, reverse(r._kb_ahead), (w, x) -> named_struct('reach', w, 'ahead', -x)), (s, e) -> named_struct('start', s.start, 'stop', s.stop, 'ok', NOT s.base AND e.reach <= s.start AND e.ahead >= s.stop)), s -> s.ok)"
     # the furthest end of the base spans before a place, and the nearest start of those after it
     return (
@@ -224,7 +207,7 @@ def with_spans(docs: DataFrame, ratios: list[int], text: str = "text") -> DataFr
     """
     t = f"coalesce(`{text}`, '')"
     out = docs.withColumn("_kb_parts", F.expr(f"CASE WHEN length({t}) <= {WHOLE_TEXT} THEN array({t}) ELSE regexp_extract_all({t}, r'{PART}', 0) END"))
-    lengths = _running("transform(_kb_parts, x -> length(x))", "+")
+    lengths = running("transform(_kb_parts, x -> length(x))", "+")
     out = out.withColumn("_kb_at", F.expr(f"CASE WHEN size(_kb_parts) = 1 THEN array(0) ELSE concat(array(0), slice({lengths}, 1, size(_kb_parts) - 1)) END"))
     out = _with_matches(out, "_kb_assign", ASSIGN, 2)
     out = _with_matches(out, "_kb_access", ACCESS)
@@ -282,7 +265,7 @@ def masked(docs: DataFrame, samples: Iterable[tuple[str, int]] | None = None, ma
     Spans that overlap are masked as one. Rows without a span stay as they are.
     """
     found = with_spans(docs, train(sample_strings() if samples is None else samples))
-    reach = _running("transform(own, s -> s.stop)", "greatest")
+    reach = running("transform(own, s -> s.stop)", "greatest")
     found = found.withColumn("_kb_reach", F.expr(f"transform(_kb_all, own -> CASE WHEN size(own) = 0 THEN array(0) ELSE concat(array(0), {reach}) END)"))
     # what lies between the end of all spans before and this one's start, then the mask; CHUNK spans at a time,
     # since a place in a string is found from its beginning
