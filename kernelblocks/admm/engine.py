@@ -1,11 +1,13 @@
 """The block-splitting solver on Spark.
 
-A row block is one row: its packed inputs and, beside them, its state as a binary. A round is one narrow
-Arrow stage over those rows (copying the inputs through costs 1/s of making their features), a sum of the
-local models (keyed and in two levels where they are large together), and a root step on the driver over
-s x m numbers. Every few rounds the state alone goes to the checkpoint folder and is joined to the packed
-inputs again, so lineage stays short and a lost executor costs those rounds at most; random parameters
-come from (seed, block), so a task that runs again repeats itself bit by bit.
+A row block is one row of packed inputs, kept where it is together with its factors, which the first round makes.
+A round joins the blocks' states to them, in one stage behind an exchange of the states alone, and gives the new
+states, the local models and the times; inputs and factors never leave. A sum of the local models (keyed and in two
+levels where they are large together) and a root step on the driver over s x m numbers follow. Every few rounds the
+states go to the checkpoint folder, so lineage stays short and a lost executor costs those rounds at most; random
+parameters come from (seed, block), so a task that runs again repeats itself bit by bit.
+
+A row block that is too large for a task is spread over many (spread_rows, tiled.py).
 """
 
 from __future__ import annotations
@@ -21,10 +23,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kernelblocks.admm.step import BlockState, Root, SolverConfig, root_prox, root_reduce, row_block_step
+from kernelblocks.admm.step import BlockState, Root, SolverConfig, complete_factors, root_prox, root_reduce, row_block_step
 from kernelblocks.functions.featuremaps import FeatureMap
 from kernelblocks.functions.prox import loss_of, reg_of
-from kernelblocks.plans.blocks import is_sparse, pack, unpack_batch, unpack_rows
+from kernelblocks.plans.blocks import even_blocks, is_sparse, pack, unpack_batch, unpack_rows
 from kernelblocks.storage import ensure_checkpoint_dir, kept_flat
 
 #: Above so many bytes the model is not collected on the driver in one piece.
@@ -32,8 +34,8 @@ MAX_MODEL_BYTES = 2 << 30
 MAX_ROW_BYTES = 1_800_000_000
 #: Local models that are this small together come to the driver as they are; beyond, the keyed sum spreads them.
 DIRECT_BYTES = 64 << 20
-CARRIED = ["row_block", "n", "d", "x", "y", "payload"]
-STEP_OUT = "kind string, block int, step string, value double, row_block int, n long, d long, x binary, y binary, payload binary"
+BASE = ["row_block", "n", "d", "x", "y", "factors"]
+STEP_OUT = "kind string, row_block int, block int, step string, value double, payload binary"
 
 
 @dataclass
@@ -109,6 +111,8 @@ def solve(
     keep_trajectory: bool = False,
     tile_rows: int = 0,
     consensus: str = "broadcast",
+    spread_rows: int = 0,
+    even: bool = False,
 ) -> Run:
     """Fits W for mean loss + lam * reg on example(row_id, x, y[, label]).
 
@@ -117,12 +121,19 @@ def solve(
     resume and save_state name a folder that holds a run's whole state. tile_rows bounds the features that a
     task holds at once to so many rows of one column block, for twice the transforms.
     consensus "broadcast" takes the root's step on the driver; "join" takes it by column block on the executors
-    (a fixed number of rounds, no history) and the driver gets the weights at the end alone.
+    (a fixed number of rounds, no history) and the driver gets the weights at the end alone. spread_rows spreads each
+    row block over tasks, in tiles of about so many rows whose features a task holds whole (a fixed number of rounds,
+    accuracies as history). even makes the blocks' sizes differ by one row at most, for one more exchange.
     """
     spark = examples.sparkSession
     ensure_checkpoint_dir(spark)
     began = time.perf_counter()
     rows = rows or max(1, spark.sparkContext.defaultParallelism)
+    if even:
+        examples = even_blocks(examples, rows)
+    if spread_rows:
+        return _spread(examples, fmap, (loss, reg, lam, rho), rows, iters, cache, block_fraction, checkpoint_every, eval_df, eval_every, seed, coding, classes, spread_rows, keep_trajectory)
+    _check_row(examples, rows)
     packed = pack(examples, rows).repartition(rows, "row_block").persist()
     shape = packed.agg(F.sum("n"), F.count("*"), F.max(F.length("y") / F.col("n"))).first()
     if not shape[0]:
@@ -141,25 +152,30 @@ def solve(
         raise ValueError("the model is too large for the driver; use fewer outputs or features")
     per_block = 8 * (3 * fmap.s * m + 3 * n * m / full + (fmap.s * max(fmap.width(0), 1) if cache != "none" else 0))
     if per_block > MAX_ROW_BYTES:
-        raise ValueError(f"a row block's state would take {per_block:.3g} bytes; use more column blocks or cache='none'")
-    root, first = Root.zero(cfg), 1
-    fresh = packed.select("row_block", "n", "d", "x", "y", F.lit(None).cast("binary").alias("payload"))
-    carried = fresh
+        raise ValueError(f"a row block's state would take {per_block:.3g} bytes; use more column blocks, cache='none' or spread_rows")
+    root, first, state = Root.zero(cfg), 1, None
+    base = packed.select(*BASE[:-1], F.lit(None).cast("binary").alias("factors"))
     if resume:
         root, first = pickle.loads(bytes(spark.read.parquet(f"{resume}/root").first()["payload"]))
-        carried = _rejoined(packed, spark.read.parquet(f"{resume}/state"))
+        state = spark.read.parquet(f"{resume}/state")
     run = Run(Model(fmap, root.w_bar, coding, classes), config=cfg)
     best, stale, last = -1.0, 0, None
     for it in range(first, first + iters):
         old = [w.copy() for w in root.w_bar] if tol is not None else None
         root_prox(root, it, cfg)
-        out, let_go = kept_flat(_round(carried, root.w_bar, it, cfg))
+        round_began = time.perf_counter()
+        out, let_go = kept_flat(_round(base, state, root.w_bar, it, cfg, it == first))
         sums, times, gap = _reduce(out, cfg, it)
         run.profile += [(it, r, step, sec) for r, step, sec in times]
         root_reduce(root, sums, it, cfg)
-        carried = out.where("kind = 'state'").select(CARRIED)
+        state = out.where("kind = 'state'").select("row_block", "payload")
+        if it == first and cache != "none" and iters > 1:
+            made = out.where("kind = 'factor'").select("row_block", F.col("payload").alias("factors")).checkpoint(eager=True)
+            base = packed.join(made, "row_block").select(BASE).persist()
+            base.count()  # a plan knows how rows lie once they do
         if it % checkpoint_every == 0 and it < first + iters - 1:
-            carried = _rejoined(packed, carried.select("row_block", "payload").checkpoint(eager=True))
+            state = state.checkpoint(eager=True)
+        run.profile.append((it, -1, "wall", time.perf_counter() - round_began))
         if last is not None:
             last()
         last = let_go
@@ -187,61 +203,87 @@ def solve(
             if stale >= patience:
                 break
     if save_state:
-        carried.select("row_block", "payload").write.mode("overwrite").parquet(f"{save_state}/state")
+        state.write.mode("overwrite").parquet(f"{save_state}/state")
         spark.createDataFrame([(bytearray(pickle.dumps((root, run.rounds + 1))),)], "payload binary").write.mode("overwrite").parquet(f"{save_state}/root")
     if last is not None:
         last()
+    base.unpersist()
     packed.unpersist()
     run.model = Model(fmap, [w.copy() for w in root.w_bar], coding, classes)
     run.seconds = time.perf_counter() - began
     return run
 
 
-def _rejoined(packed: DataFrame, state: DataFrame) -> DataFrame:
-    return packed.join(state, "row_block").select(CARRIED)
+def _check_row(examples: DataFrame, rows: int) -> None:
+    """A row block must fit in one row: its inputs are measured before they are packed."""
+    x = F.size("x.idx") * 16 + 8 if is_sparse(examples) else F.size("x") * 8
+    size = (examples.agg(F.sum(x + F.size("y") * 8)).first()[0] or 0) / rows
+    if size > MAX_ROW_BYTES:
+        raise ValueError(f"a row block's inputs would take {size:.3g} bytes in one row; use more row blocks or spread_rows")
 
 
-def _round(carried: DataFrame, w_bar: list[np.ndarray], it: int, cfg: SolverConfig) -> DataFrame:
-    """State rows with the packed inputs, and beside them rows of local models, times and residuals."""
-    sent = carried.sparkSession.sparkContext.broadcast([w.copy() for w in w_bar])
+def _spread(examples, fmap, problem, rows, iters, cache, block_fraction, checkpoint_every, eval_df, eval_every, seed, coding, classes, spread_rows, keep_trajectory) -> Run:
+    from kernelblocks.admm.tiled import solve_tiled
+    from kernelblocks.measures import accuracy
+
+    began = time.perf_counter()
+    shape = examples.agg(F.count("*"), F.max(F.size("y"))).first()
+    if not shape[0]:
+        raise ValueError("there are no examples")
+    loss, reg, lam, rho = problem
+    n, m = int(shape[0]), int(shape[1])
+    run = Run(Model(fmap, [], coding, classes))
+
+    def watch(it: int, root: Root) -> None:
+        run.rounds = it
+        if keep_trajectory:
+            run.trajectory.append(np.vstack(root.w_bar))
+        if eval_df is not None and eval_every and it % eval_every == 0:
+            run.history.append({"iter": it, "accuracy": accuracy(predict(eval_df, Model(fmap, root.w_bar, coding, classes)))})
+
+    cfg = SolverConfig(fmap, loss, reg, lam, rho or 1.0 / n, n, m, rows, "reorganized", cache, False, block_fraction, 1, seed)
+    root, run.profile, run.config = solve_tiled(examples, cfg, iters, checkpoint_every, spread_rows, watch)
+    run.model = Model(fmap, [w.copy() for w in root.w_bar], coding, classes)
+    run.seconds = time.perf_counter() - began
+    return run
+
+
+def _round(base: DataFrame, state: DataFrame | None, w_bar: list[np.ndarray], it: int, cfg: SolverConfig, make: bool = False) -> DataFrame:
+    """Rows of states, local models, times and residuals, and with make of the factors."""
+    sent = base.sparkSession.sparkContext.broadcast([w.copy() for w in w_bar])
+    joined = base.withColumn("payload", F.lit(None).cast("binary")) if state is None else base.join(state, "row_block")
+    names = [f.split()[0] for f in STEP_OUT.split(", ")]
 
     def step(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         w = sent.value
         for b in batches:
             for row in range(b.num_rows):
-                who, n, d, raw_x, raw_y, payload = (b.column(k)[row].as_py() for k in range(6))
+                who, n, d, raw_x, raw_y, factors, payload = (b.column(k)[row].as_py() for k in range(7))
                 x = unpack_batch(raw_x, d)
                 y = np.frombuffer(raw_y, "<f8").reshape(n, -1)
                 st = pickle.loads(payload) if payload is not None else BlockState.zero(n, cfg)
+                if factors is not None:
+                    st.q, st.gram = pickle.loads(factors)
                 began = time.perf_counter()
                 st = row_block_step(st, x, y, w, it, cfg)
+                if make and cfg.cache != "none":
+                    complete_factors(st, x, cfg)
                 st.seconds["round"] = time.perf_counter() - began
                 seconds, st.seconds = st.seconds, {}
+                held, (st.q, st.gram) = (st.q, st.gram), ([None] * cfg.cols, [None] * cfg.cols)
                 active = [int(j) for j in cfg.active(it)]
                 gap = sum(float(((st.w[j] - w[j]) ** 2).sum()) for j in active) + float((st.gap**2).sum())
-                sums, times = len(active), len(seconds)
-                count = 2 + sums + times
-
-                def first(v, kind, count=count):
-                    return pa.array([v] + [None] * (count - 1), kind)
-
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(["state"] + ["sum"] * sums + ["time"] * times + ["gap"]),
-                        pa.array([None, *active, *([None] * (times + 1))], pa.int32()),
-                        pa.array([None] * (1 + sums) + list(seconds) + [None], pa.string()),
-                        pa.array([None] * (1 + sums) + list(seconds.values()) + [gap], pa.float64()),
-                        pa.array([who] * count, pa.int32()),
-                        first(n, pa.int64()),
-                        first(d, pa.int64()),
-                        first(raw_x, pa.binary()),
-                        first(raw_y, pa.binary()),
-                        pa.array([pickle.dumps(st), *(st.w[j].tobytes() for j in active), *([None] * (times + 1))], pa.binary()),
-                    ],
-                    names=[f.split()[0] for f in STEP_OUT.split(", ")],
-                )
+                rows = [("state", None, None, None, pickle.dumps(st))]
+                rows += [("factor", None, None, None, pickle.dumps(held))] * (make and cfg.cache != "none")
+                rows += [("sum", j, None, None, st.w[j].tobytes()) for j in active]
+                rows += [("time", None, k, v, None) for k, v in seconds.items()]
+                rows.append(("gap", None, None, gap, None))
+                kind, block, name, value, sent_out = zip(*rows, strict=True)
+                cols = (kind, [who] * len(rows), block, name, value, sent_out)
+                kinds = (pa.string(), pa.int32(), pa.int32(), pa.string(), pa.float64(), pa.binary())
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], names=names)
 
-    return carried.mapInArrow(step, STEP_OUT)
+    return joined.select(*BASE, "payload").mapInArrow(step, STEP_OUT)
 
 
 def add_payloads(df: DataFrame, keys: list[str], like: str) -> DataFrame:
@@ -264,7 +306,7 @@ def add_payloads(df: DataFrame, keys: list[str], like: str) -> DataFrame:
 def _reduce(out: DataFrame, cfg: SolverConfig, it: int) -> tuple[dict[int, np.ndarray], list[tuple[int, str, float]], float]:
     """(sums of the local models by column block, times of steps, squared residual)."""
     if cfg.rows * cfg.fmap.s * cfg.m * 8 <= DIRECT_BYTES:
-        rows = sorted(out.where("kind <> 'state'").select("kind", "row_block", "block", "step", "value", "payload").collect(), key=lambda r: (r["row_block"], r["block"] or 0))
+        rows = sorted(out.where("kind in ('sum', 'time', 'gap')").select("kind", "row_block", "block", "step", "value", "payload").collect(), key=lambda r: (r["row_block"], r["block"] or 0))
         got = {}
         for r in rows:
             if r["kind"] == "sum":

@@ -115,6 +115,21 @@ def _made(st: BlockState, x: Batch, j: int, cfg: SolverConfig, clock: _Clock) ->
     return z, q
 
 
+def complete_factors(st: BlockState, x: Batch, cfg: SolverConfig) -> None:
+    """Makes the factors of the column blocks that haven't moved yet, so that all can be kept apart from the state."""
+    kind = "cholesky" if cfg.cache == "cholesky" else "inverse"
+    for j in range(cfg.cols):
+        if st.q[j] is None:
+            if cfg.tile_rows:
+                g = sum(z.T @ z for z in (cfg.fmap.block(tile, j) for tile, _ in _tiles(x, cfg.tile_rows)))
+                st.gram[j], st.q[j] = g, factor_of_gram(g, "tall", kind)
+            else:
+                z = cfg.fmap.block(x, j)
+                st.q[j] = factor(z, kind=kind)
+                if cfg.gram_shortcut:
+                    st.gram[j] = z.T @ z
+
+
 def _tiles(x: Batch, size: int):
     for k in range(0, x.shape[0], size):
         rows = slice(k, min(k + size, x.shape[0]))

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -28,17 +28,50 @@ def checked(df: DataFrame) -> DataFrame:
     return df.withColumn("x", F.when(F.coalesce(bad, F.lit(True)), F.raise_error(F.lit("an input or target is null or not a number")).cast(df.schema["x"].dataType)).otherwise(F.col("x")))
 
 
+#: Rows are counted by so many hash buckets where blocks are to be even.
+EVEN_BUCKETS = 4096
+
+
+def even_blocks(examples: DataFrame, rows: int) -> DataFrame:
+    """examples with row_block, blocks of sizes that differ by one row at most.
+
+    Rows are numbered by hash bucket and, within one, by id; only the buckets' counts come to the driver.
+    """
+    dealt = examples.withColumn("_bucket", F.pmod(F.xxhash64("row_id"), F.lit(EVEN_BUCKETS)).cast("int"))
+    counts = {r["_bucket"]: r["n"] for r in dealt.groupBy("_bucket").agg(F.count("*").alias("n")).collect()}
+    before = np.concatenate(([0], np.cumsum([counts.get(k, 0) for k in range(EVEN_BUCKETS)])))
+    order = Window.partitionBy("_bucket").orderBy("row_id", F.xxhash64("x", "y"))
+    starts = F.array(*(F.lit(int(v)) for v in before[:-1]))
+    size, more = divmod(int(before[-1]), rows)
+    at = F.element_at(starts, F.col("_bucket") + 1) + F.row_number().over(order) - 1
+    numbered = dealt.withColumn("_at", at)
+    # the first blocks hold one row more
+    block = F.when(F.col("_at") < more * (size + 1), F.floor(F.col("_at") / (size + 1))).otherwise(more + F.floor((F.col("_at") - more * (size + 1)) / max(size, 1)))
+    return numbered.withColumn("row_block", block.cast("int")).drop("_bucket", "_at")
+
+
 def pack(examples: DataFrame, rows: int) -> DataFrame:
     """One packed row for each row block; the block of a row is a hash of its id, the same in every run.
 
     A column row_block, where examples has one, decides instead.
     """
+    return _packed(examples, rows, None)
+
+
+def pack_tiles(examples: DataFrame, rows: int, tiles: int) -> DataFrame:
+    """One packed row for each tile; the rows of a block are dealt to its tiles by another hash of their ids."""
+    return _packed(examples, rows, tiles)
+
+
+def _packed(examples: DataFrame, rows: int, tiles: int | None) -> DataFrame:
     sparse = is_sparse(examples)
     block = F.col("row_block") if "row_block" in examples.columns else F.pmod(F.xxhash64("row_id"), F.lit(rows))
     x = F.col("x") if sparse else F.col("x").cast("array<double>")
     dealt = checked(examples).select(
         block.cast("int").alias("row_block"), "row_id", x.alias("x"), F.col("y").cast("array<double>").alias("y")
     )
+    if tiles is not None:
+        dealt = dealt.withColumn("tile", F.pmod(F.xxhash64("row_id", F.lit("tile")), F.lit(tiles)).cast("int"))
 
     def gather(table: pa.Table) -> pa.Table:
         order = np.argsort(table.column("row_id").to_numpy(), kind="stable")
@@ -66,9 +99,12 @@ def pack(examples: DataFrame, rows: int) -> DataFrame:
                 "y": pa.array([y.tobytes()], pa.binary()),
                 "ids": pa.array([table.column("row_id").to_numpy().astype("<i8").tobytes()], pa.binary()),
             }
+            | ({} if tiles is None else {"tile": pa.array([table.column("tile")[0].as_py()], pa.int32())})
         )
 
-    return dealt.groupBy("row_block").applyInArrow(gather, PACKED)
+    if tiles is None:
+        return dealt.groupBy("row_block").applyInArrow(gather, PACKED)
+    return dealt.groupBy("row_block", "tile").applyInArrow(gather, PACKED + ", tile int")
 
 
 def pack_batch(x: Batch) -> bytes:

@@ -71,11 +71,69 @@ def test_stops_by_tolerance_and_by_patience(spark, xor):
     assert run.rounds < 40
 
 
-def test_a_round_has_no_exchange(spark, xor):
-    packed = pack(xor, 2).select("row_block", "n", "d", "x", "y", F.lit(None).cast("binary").alias("payload")).persist()
+def test_inputs_and_factors_stay_where_they_are(spark, xor):
+    packed = pack(xor, 2).select("row_block", "n", "d", "x", "y", F.lit(None).cast("binary").alias("factors")).repartition(2, "row_block").persist()
+    packed.count()
     cfg = SolverConfig(FMAP, "hinge", n=100, m=1, rows=2)
-    plan = _round(packed, Root.zero(cfg).w_bar, 1, cfg)._jdf.queryExecution().executedPlan().toString()
-    assert plan.split("InMemoryTableScan")[0].count("Exchange") == 0
+    first = _round(packed, None, Root.zero(cfg).w_bar, 1, cfg, True).persist()
+    assert first.columns == ["kind", "row_block", "block", "step", "value", "payload"]
+    state = first.where("kind = 'state'").select("row_block", "payload")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = _round(packed, state, Root.zero(cfg).w_bar, 2, cfg)._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    # what lies in memory is not made again; of the rest one exchange moves the states
+    open_, hidden = [], None
+    for line in plan.splitlines():
+        depth = len(line) - len(line.lstrip(" :+-"))
+        if hidden is not None and depth > hidden:
+            continue
+        hidden = depth if "InMemoryRelation" in line else None
+        open_.append(line)
+    moves = [k for k, line in enumerate(open_) if "Exchange" in line]
+    assert len(moves) == 1 and not any("x#" in line for line in open_[moves[0] :])
+    payload = max(len(bytes(r["payload"])) for r in state.collect())
+    factors = max(len(bytes(r["payload"])) for r in first.where("kind = 'factor'").collect())
+    assert factors > 4 * 16 * 16 * 8 and payload < factors + 30 * xor.count()
+
+
+@pytest.mark.parametrize("options", [{}, {"loss": "logistic"}, {"block_fraction": 0.5}, {"cache": "cholesky", "reg": "lasso"}])
+@pytest.mark.parametrize("direct", [True, False])
+def test_a_block_spread_over_tasks_takes_the_same_path(spark, xor, options, direct, monkeypatch):
+    from kernelblocks.admm import tiled
+
+    if not direct:
+        monkeypatch.setattr(tiled, "DIRECT_BYTES", 0)
+        if options:
+            return
+    kw = {"rows": 3, "iters": 6, "checkpoint_every": 2} | options
+    ex = xor if options.get("loss") != "logistic" else xor.withColumn("y", F.array((F.col("label") > 0).cast("double") * 2 - 1, (F.col("label") < 0).cast("double") * 2 - 1))
+    a = solve(ex, FMAP, tile_rows=16, **kw)
+    b = solve(ex, FMAP, spread_rows=20, keep_trajectory=True, eval_df=xor if not options else None, eval_every=3, **kw)
+    assert np.abs(a.model.matrix - b.model.matrix).max() < 1e-10 and len(b.trajectory) == 6
+    if not options:
+        assert [h["iter"] for h in b.history] == [3, 6]
+        assert {r for _, r, step, _ in b.profile if step == "tiles"} == {0, 1, 2}
+
+
+def test_even_blocks_differ_by_one_row(spark, xor):
+    from kernelblocks.plans.blocks import even_blocks
+
+    for rows in (3, 7):
+        sizes = sorted(r["count"] for r in even_blocks(xor.union(xor.limit(5)), rows).groupBy("row_block").count().collect())
+        assert len(sizes) == rows and sizes[-1] - sizes[0] <= 1 and sum(sizes) == xor.count() + 5
+    few = even_blocks(xor.limit(2), 5)
+    assert few.select("row_block").distinct().count() == 2
+    assert solve(xor, FMAP, rows=3, iters=2, even=True).config.rows == 3
+
+
+def test_a_block_too_large_for_a_row_is_refused(spark, xor, monkeypatch):
+    from kernelblocks.admm import engine
+
+    monkeypatch.setattr(engine, "MAX_ROW_BYTES", 1000)
+    with pytest.raises(ValueError, match="spread_rows"):
+        solve(xor, FMAP, rows=1, iters=1)
 
 
 def test_prediction_passes_columns_and_does_not_shuffle(spark, xor):
