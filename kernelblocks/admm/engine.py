@@ -16,6 +16,7 @@ import json
 import pickle
 import time
 from collections.abc import Iterator
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -84,6 +85,26 @@ class Run:
 
 
 
+@dataclass
+class SharedBlocks:
+    """Packed row blocks, kept, and beside them the factors that runs on them have made."""
+
+    packed: DataFrame
+    factors: dict = field(default_factory=dict)
+
+
+@contextmanager
+def shared(examples: DataFrame, rows: int) -> Iterator[SharedBlocks]:
+    """Row blocks for several runs on the same examples."""
+    _check_row(examples, rows)
+    held = SharedBlocks(pack(examples, rows).repartition(rows, "row_block").persist())
+    try:
+        yield held
+    finally:
+        for f in (*held.factors.values(), held.packed):
+            f.unpersist()
+
+
 def solve(
     examples: DataFrame,
     fmap: FeatureMap,
@@ -113,6 +134,7 @@ def solve(
     consensus: str = "broadcast",
     spread_rows: int = 0,
     even: bool = False,
+    blocks: SharedBlocks | None = None,
 ) -> Run:
     """Fits W for mean loss + lam * reg on example(row_id, x, y[, label]).
 
@@ -124,6 +146,7 @@ def solve(
     (a fixed number of rounds, no history) and the driver gets the weights at the end alone. spread_rows spreads each
     row block over tasks, in tiles of about so many rows whose features a task holds whole (a fixed number of rounds,
     accuracies as history). even makes the blocks' sizes differ by one row at most, for one more exchange.
+    blocks gives row blocks that several runs share (shared).
     """
     spark = examples.sparkSession
     ensure_checkpoint_dir(spark)
@@ -133,8 +156,9 @@ def solve(
         examples = even_blocks(examples, rows)
     if spread_rows:
         return _spread(examples, fmap, (loss, reg, lam, rho), rows, iters, cache, block_fraction, checkpoint_every, eval_df, eval_every, seed, coding, classes, spread_rows, keep_trajectory)
-    _check_row(examples, rows)
-    packed = pack(examples, rows).repartition(rows, "row_block").persist()
+    if blocks is None:
+        _check_row(examples, rows)
+    packed = blocks.packed if blocks is not None else pack(examples, rows).repartition(rows, "row_block").persist()
     shape = packed.agg(F.sum("n"), F.count("*"), F.max(F.length("y") / F.col("n"))).first()
     if not shape[0]:
         packed.unpersist()
@@ -154,7 +178,8 @@ def solve(
     if per_block > MAX_ROW_BYTES:
         raise ValueError(f"a row block's state would take {per_block:.3g} bytes; use more column blocks, cache='none' or spread_rows")
     root, first, state = Root.zero(cfg), 1, None
-    base = packed.select(*BASE[:-1], F.lit(None).cast("binary").alias("factors"))
+    known = None if blocks is None or cache == "none" else blocks.factors.get((fmap, cache, gram_shortcut, bool(tile_rows)))
+    base = known if known is not None else packed.select(*BASE[:-1], F.lit(None).cast("binary").alias("factors"))
     if resume:
         root, first = pickle.loads(bytes(spark.read.parquet(f"{resume}/root").first()["payload"]))
         state = spark.read.parquet(f"{resume}/state")
@@ -164,15 +189,18 @@ def solve(
         old = [w.copy() for w in root.w_bar] if tol is not None else None
         root_prox(root, it, cfg)
         round_began = time.perf_counter()
-        out, let_go = kept_flat(_round(base, state, root.w_bar, it, cfg, it == first))
+        make = it == first and known is None
+        out, let_go = kept_flat(_round(base, state, root.w_bar, it, cfg, make))
         sums, times, gap = _reduce(out, cfg, it)
         run.profile += [(it, r, step, sec) for r, step, sec in times]
         root_reduce(root, sums, it, cfg)
         state = out.where("kind = 'state'").select("row_block", "payload")
-        if it == first and cache != "none" and iters > 1:
+        if make and cache != "none" and (iters > 1 or blocks is not None):
             made = out.where("kind = 'factor'").select("row_block", F.col("payload").alias("factors")).checkpoint(eager=True)
             base = packed.join(made, "row_block").select(BASE).persist()
             base.count()  # a plan knows how rows lie once they do
+            if blocks is not None:
+                blocks.factors[fmap, cache, gram_shortcut, bool(tile_rows)] = base
         if it % checkpoint_every == 0 and it < first + iters - 1:
             state = state.checkpoint(eager=True)
         run.profile.append((it, -1, "wall", time.perf_counter() - round_began))
@@ -207,8 +235,9 @@ def solve(
         spark.createDataFrame([(bytearray(pickle.dumps((root, run.rounds + 1))),)], "payload binary").write.mode("overwrite").parquet(f"{save_state}/root")
     if last is not None:
         last()
-    base.unpersist()
-    packed.unpersist()
+    if blocks is None:
+        base.unpersist()
+        packed.unpersist()
     run.model = Model(fmap, [w.copy() for w in root.w_bar], coding, classes)
     run.seconds = time.perf_counter() - began
     return run

@@ -17,10 +17,11 @@ from pyspark.sql import functions as F
 from kernelblocks.baselines.ridge import DualModel, local_rows
 from kernelblocks.functions.kernels import Kernel
 from kernelblocks.plans.blocks import pack, unpack_batch
-from kernelblocks.storage import ensure_checkpoint_dir
+from kernelblocks.storage import ensure_checkpoint_dir, kept_flat
 
 MAX_SMO_ROWS = 20_000
-MAX_FACTOR_BYTES = 1 << 30
+#: A factor of up to so many bytes comes to the driver; the steps of a larger one are taken where its rows lie.
+DRIVER_FACTOR_BYTES = 8 << 20
 
 
 class _KernelRows:
@@ -205,17 +206,144 @@ def interior_point_svm(h: np.ndarray, y: np.ndarray, cost: float, tol: float = 1
     return a
 
 
+def _interior_terms(a, low, high, g, v, mu, cost):
+    """(slope's residual, weights' inverses, right side) at a point whose g'a is v."""
+    slope, aim = g @ v - 1.0, 0.1 * mu
+    inv = 1.0 / (low / a + high / (cost - a))
+    return slope - low + high, inv, -slope + aim / a - aim / (cost - a), aim
+
+
+def _room(v: np.ndarray, dv: np.ndarray) -> float:
+    neg = dv < 0
+    return min(1.0, float(0.99 * (-v[neg] / dv[neg]).min())) if neg.any() else 1.0
+
+
+INNER = "row_block int, kind string, payload binary"
+
+
+def interior_point_blocks(packed: DataFrame, cost: float, tol: float = 1e-8, max_steps: int = 60) -> tuple[np.ndarray, int]:
+    """(H'(alpha y), number of support vectors) for packed row blocks (row_block, n, y, h), which stay where they are.
+
+    The steps of interior_point_svm: a first pass gives each block's p x p and p sums, which are added up, a second
+    the step of its rows and how far it may go. Only sums come to the driver.
+    """
+    spark = packed.sparkSession
+    base = packed.select("row_block", "n", "y", "h").repartition(max(1, packed.count()), "row_block").persist()
+    n, packed_rows = base.agg(F.sum("n"), F.count("*")).first()
+    p = base.select((F.length("h") / F.col("n") / 8).cast("int")).first()[0]
+
+    def one_pass(state: DataFrame | None, work) -> tuple[DataFrame, DataFrame, object]:
+        joined = base.withColumn("state", F.lit(None).cast("binary")) if state is None else base.join(state, "row_block")
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                for r in range(b.num_rows):
+                    block, count, raw_y, raw_h, held = (b.column(k)[r].as_py() for k in range(5))
+                    y = np.frombuffer(raw_y, "<f8")
+                    g = np.frombuffer(raw_h, "<f8").reshape(count, -1) * y[:, None]
+                    rows = np.frombuffer(held, "<f8").reshape(-1, count) if held is not None else np.vstack((np.full(count, cost / 2), np.ones((2, count))))
+                    new, sums = work(rows, g)
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array([block, block], pa.int32()), pa.array(["state", "sums"]), pa.array([new.tobytes(), sums.tobytes()], pa.binary())],
+                        names=["row_block", "kind", "payload"],
+                    )
+
+        out, let_go = kept_flat(joined.select("row_block", "n", "y", "h", "state").mapInArrow(run, INNER))
+        return out, out.where("kind = 'sums'").select("row_block", "payload"), let_go
+
+    def added(sums: DataFrame) -> np.ndarray:
+        """The sums of all blocks, in two levels where they are large."""
+
+        def add(table: pa.Table) -> pa.Table:
+            order = np.argsort(table.column("row_block").to_numpy(), kind="stable")
+            total = sum(np.frombuffer(table.column("payload")[int(i)].as_py(), "<f8") for i in order)
+            return pa.table({"row_block": table.column("row_block").slice(0, 1), "payload": pa.array([total.tobytes()], pa.binary())})
+
+        width = max(1, int(packed_rows ** 0.5)) if p > 512 else 0
+        if width:
+            sums = sums.withColumn("part", (F.col("row_block") / width).cast("int")).groupBy("part").applyInArrow(lambda _, t: add(t), "row_block int, payload binary")
+        rows = sorted(sums.collect(), key=lambda r: r["row_block"])
+        return sum(np.frombuffer(bytes(r["payload"]), "<f8") for r in rows)
+
+    v, mu, moved = None, None, (0.0, 0.0)
+    state, drop, support = None, [], 0
+    threshold = 1e-6 * cost
+
+    def start(rows, g):
+        a, low, high = rows[:3]
+        return rows[:3], np.concatenate((g.T @ a, [low @ a + high @ (cost - a)]))
+
+    out, sums, let_go = one_pass(None, start)
+    total = added(sums)
+    v, mu = total[:p], total[p] / (2 * n)
+    state = out.where("kind = 'state'").select("row_block", F.col("payload").alias("state"))
+    drop.append(let_go)
+    for it in range(max_steps):
+        t, s = moved
+        at = spark.sparkContext.broadcast((v, mu))
+
+        def first(rows, g, t=t, s=s, at=at):
+            v, mu = at.value
+            now = rows if len(rows) == 3 else np.vstack((rows[0] + t * rows[3], rows[1] + s * rows[4], rows[2] + s * rows[5]))
+            gap, inv, r, _ = _interior_terms(*now, g, v, mu, cost)
+            core = (g * inv[:, None]).T @ g
+            # the largest gap travels as a high power of it, so that it adds up like the rest
+            return now, np.concatenate((core.ravel(), g.T @ (inv * r), [np.abs(gap).max() ** 16, (now[0] > threshold).sum()]))
+
+        out, sums, let_go = one_pass(state, first)
+        drop.append(let_go)
+        total = added(sums)
+        support = int(total[-1])
+        state = out.where("kind = 'state'").select("row_block", F.col("payload").alias("state"))
+        if mu < tol * cost and total[-2] < 1e-96:
+            break
+        q = np.linalg.solve(np.eye(p) + total[: p * p].reshape(p, p), total[p * p : p * p + p])
+        sent = spark.sparkContext.broadcast((v, mu, q))
+
+        def second(rows, g, sent=sent):
+            v, mu, q = sent.value
+            a, low, high = rows
+            _, inv, r, aim = _interior_terms(a, low, high, g, v, mu, cost)
+            step = inv * (r - g @ q)
+            d_low = aim / a - low - low / a * step
+            d_high = aim / (cost - a) - high + high / (cost - a) * step
+            rooms = [min(_room(a, step), _room(cost - a, -step)), min(_room(low, d_low), _room(high, d_high))]
+            pairs = [low @ a + high @ (cost - a), (low - high) @ step, d_low @ a + d_high @ (cost - a), (d_low - d_high) @ step]
+            return np.vstack((rows, step, d_low, d_high)), np.concatenate((rooms, pairs, g.T @ step))
+
+        out, sums, let_go = one_pass(state, second)
+        drop.append(let_go)
+        parts = [np.frombuffer(bytes(r["payload"]), "<f8") for r in sorted(sums.collect(), key=lambda r: r["row_block"])]
+        t, s = (min(x[k] for x in parts) for k in (0, 1))
+        total = sum(parts)
+        state = out.where("kind = 'state'").select("row_block", F.col("payload").alias("state"))
+        if it % 5 == 4:
+            state = state.checkpoint(eager=True)
+        v = v + t * total[6:]
+        mu = (total[2] + t * total[3] + s * total[4] + s * t * total[5]) / (2 * n)
+        moved = (t, s)
+        for f in drop[:-2]:
+            f()
+        drop = drop[-2:]
+    for f in drop:
+        f()
+    base.unpersist()
+    return v, support
+
+
 def lowrank_svm(df: DataFrame, kernel: Kernel, lam: float, rank: int | None = None, pivots_per_pass: int = 8) -> DualModel:
     """Parallel low-rank kernel machine; the rank defaults to the root of the number of rows."""
     n = df.count()
     rank = rank or max(1, round(n**0.5))
-    if n * rank * 8 > MAX_FACTOR_BYTES:
-        raise ValueError("the factor is too large for the interior point step on the driver; use a lower rank")
     packed, px, tri = incomplete_cholesky(df, kernel, rank, pivots_per_pass)
-    got = packed.select("n", "y", "h").collect()
-    h = np.vstack([np.frombuffer(bytes(r["h"]), "<f8").reshape(r["n"], -1) for r in got])
-    y = np.concatenate([np.frombuffer(bytes(r["y"]), "<f8") for r in got])
-    alpha = interior_point_svm(h, y, 1.0 / (2 * n * lam))
+    cost = 1.0 / (2 * n * lam)
     # f(x) = h(x)' H'(alpha y) with h(x) = tri^-1 k(pivots, x): a function of the pivots alone
-    coef = np.linalg.solve(tri.T, h.T @ (alpha * y))
-    return DualModel(px, coef[:, None], kernel, int((alpha > 1e-6 / (2 * n * lam)).sum()))
+    if n * rank * 8 > DRIVER_FACTOR_BYTES:
+        v, support = interior_point_blocks(packed, cost)
+    else:
+        got = packed.select("n", "y", "h").collect()
+        h = np.vstack([np.frombuffer(bytes(r["h"]), "<f8").reshape(r["n"], -1) for r in got])
+        y = np.concatenate([np.frombuffer(bytes(r["y"]), "<f8") for r in got])
+        alpha = interior_point_svm(h, y, cost)
+        v, support = h.T @ (alpha * y), int((alpha > 1e-6 * cost).sum())
+    return DualModel(px, np.linalg.solve(tri.T, v)[:, None], kernel, support)

@@ -218,6 +218,26 @@ def test_support_vector_machines_agree(spark, xor):
     assert min(acc) > 0.9 and abs(acc[0] - acc[1]) < 0.03
 
 
+def test_interior_point_where_the_rows_lie(spark, xor, monkeypatch):
+    from kernelblocks.baselines import svm
+
+    k = kernels.make("gaussian", sigma=1.0)
+    a = svm.lowrank_svm(xor, k, 1e-3, 12)
+    monkeypatch.setattr(svm, "DRIVER_FACTOR_BYTES", 0)
+    b = svm.lowrank_svm(xor, k, 1e-3, 12)
+    assert np.abs(a.alpha - b.alpha).max() < 1e-5 * np.abs(a.alpha).max() and abs(a.n_support - b.n_support) <= 2
+
+
+def test_runs_share_blocks_and_factors(spark, xor):
+    from kernelblocks.admm.engine import shared
+
+    with shared(xor, 3) as blocks:
+        for lam, rho in ((1e-3, 0.01), (1e-2, 0.01), (1e-2, 0.002)):
+            a = solve(xor, FMAP, "hinge", lam=lam, rho=rho, rows=3, iters=4, blocks=blocks).model.matrix
+            assert np.abs(a - solve(xor, FMAP, "hinge", lam=lam, rho=rho, rows=3, iters=4).model.matrix).max() < 1e-12
+        assert len(blocks.factors) == 1
+
+
 def test_incomplete_cholesky_nears_the_kernel(spark, xor):
     k = kernels.make("gaussian", sigma=1.0)
     packed, px, tri = incomplete_cholesky(xor, k, 120, 20, rows=2)
