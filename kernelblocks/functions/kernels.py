@@ -82,35 +82,65 @@ def gaussian_col(a: Column, b: Column, sigma: float) -> Column:
 MAX_GRAM_ROWS = 20_000
 
 
-def gram(df: DataFrame, kernel: Kernel, block_rows: int = 512, max_rows: int = MAX_GRAM_ROWS) -> DataFrame:
-    """(i, j, k) for all pairs i <= j of row_id of a small sample: pairs of packed blocks, each block with its partners.
-
-    A baseline only. The number of rows is checked first.
-    """
+def _tiles_of(df: DataFrame, block_rows: int, max_rows: int) -> DataFrame:
+    """(lo, hi, b, rows): packed blocks of rows, each sent once to the key of every pair that it is in."""
     n = df.count()
     if n > max_rows:
-        raise ValueError(f"{n} rows; an exact Gram matrix takes {max_rows} at most")
+        raise ValueError(f"{n} rows; exact kernel work takes {max_rows} at most")
     blocks = max(1, -(-n // block_rows))
     rows = df.select("row_id", F.col("x").cast("array<double>").alias("x")).withColumn(
         "b", F.pmod(F.xxhash64("row_id"), F.lit(blocks)).cast("int")
     )
     packed = rows.groupBy("b").agg(F.sort_array(F.collect_list(F.struct("row_id", "x"))).alias("rows"))
     # a block goes to each partner once; the pair's key brings the two together without a cross join
-    sent = packed.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select(
+    return packed.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))).select(
         F.least("b", "other").alias("lo"), F.greatest("b", "other").alias("hi"), "b", "rows"
     )
 
+
+def _sides(pdf) -> tuple:
+    """(ids, x) of the two blocks of a tile, the same block twice on the diagonal."""
+    parts = [p for _, p in sorted(zip(pdf["b"], pdf["rows"], strict=True), key=lambda t: t[0])]
+    return [(np.array([r["row_id"] for r in p]), np.array([r["x"] for r in p])) for p in (parts[0], parts[-1])], len(parts) == 1
+
+
+def gram(df: DataFrame, kernel: Kernel, block_rows: int = 512, max_rows: int = MAX_GRAM_ROWS) -> DataFrame:
+    """(i, j, k) for all pairs i <= j of row_id of a small sample, tile by tile.
+
+    A baseline only. The number of rows is checked first.
+    """
+
     def tile(pdf):
         import pandas as pd
 
-        parts = [p for _, p in sorted(zip(pdf["b"], pdf["rows"], strict=True), key=lambda t: t[0])]
-        one, two = parts[0], parts[-1]
-        xi, xj = (np.array([r["x"] for r in p]) for p in (one, two))
-        i, j = (np.array([r["row_id"] for r in p]) for p in (one, two))
+        ((i, xi), (j, xj)), alone = _sides(pdf)
         k = kernel(xi, xj)
         a, b = np.meshgrid(i, j, indexing="ij")
-        use = a <= b if len(parts) == 1 else np.ones_like(k, bool)
+        use = a <= b if alone else np.ones_like(k, bool)
         lo, hi = np.minimum(a, b)[use], np.maximum(a, b)[use]
         return pd.DataFrame({"i": lo, "j": hi, "k": k[use]})
 
-    return sent.groupBy("lo", "hi").applyInPandas(tile, "i long, j long, k double")
+    return _tiles_of(df, block_rows, max_rows).groupBy("lo", "hi").applyInPandas(tile, "i long, j long, k double")
+
+
+def nearest(df: DataFrame, kernel: Kernel, count: int, digits: int = 6, block_rows: int = 512, max_rows: int = MAX_GRAM_ROWS) -> DataFrame:
+    """(i, j, k): candidates for the count largest kernel values of each row with another, k rounded, ties by j.
+
+    A tile gives its own best for each row alone, so rows x blocks x count candidates are left of rows squared.
+    """
+
+    def tile(pdf):
+        import pandas as pd
+
+        ((i, xi), (j, xj)), alone = _sides(pdf)
+        k = kernel(xi, xj)
+        out = []
+        for ids, others, values in ((i, j, k),) if alone else ((i, j, k), (j, i, k.T)):
+            shown = np.where(ids[:, None] == others[None, :], -np.inf, np.round(values, digits))
+            order = np.lexsort((np.broadcast_to(others, shown.shape), -shown), axis=1)[:, : count + 1]
+            at = np.repeat(np.arange(len(ids)), order.shape[1])
+            best = pd.DataFrame({"i": ids[at], "j": others[order.ravel()], "k": values[at, order.ravel()]})
+            out.append(best[best["i"] != best["j"]])
+        return pd.concat(out)
+
+    return _tiles_of(df, block_rows, max_rows).groupBy("lo", "hi").applyInPandas(tile, "i long, j long, k double")

@@ -114,26 +114,11 @@ def lineitem_task(lineitem: DataFrame, task: str) -> DataFrame:
 def trigram_totals(docs: DataFrame, by: str, text: str) -> DataFrame:
     """(by, gram, n): how often each character trigram stands in the lower-case texts of a group.
 
-    Each batch is counted before the shuffle; one pass over a text, however long.
+    Signs are code points; a text is cut in them once, however long, and counts are added up before the shuffle.
     """
-    from collections import Counter
-    from collections.abc import Iterator
-
-    import pyarrow as pa
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            totals: dict = {}
-            for g, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                totals.setdefault(g, Counter()).update(map("".join, zip(t, t[1:], t[2:], strict=False)))
-            rows = [(g, k, n) for g, c in totals.items() for k, n in c.items()]
-            if rows:
-                cols = list(zip(*rows, strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(cols[0], b.schema.field(0).type), pa.array(cols[1]), pa.array(cols[2], pa.int64())], names=[by, "gram", "n"])
-
-    src = docs.select(by, F.lower(F.coalesce(text, F.lit(""))))
-    counted = src.mapInArrow(run, f"{by} {docs.schema[by].dataType.simpleString()}, gram string, n long")
-    return counted.groupBy(by, "gram").agg(F.sum("n").alias("n"))
+    signs = docs.select(by, F.expr(f"regexp_extract_all(lower(coalesce(`{text}`, '')), '(?s).', 0)").alias("c"))
+    grams = F.expr("transform(slice(c, 1, greatest(size(c) - 2, 0)), (x, i) -> concat(x, c[i + 1], c[i + 2]))")
+    return signs.select(by, F.explode(grams).alias("gram")).groupBy(by, "gram").agg(F.count("*").alias("n"))
 
 
 def text_task(docs: DataFrame, key: str, text: str, target: str, classes: list, buckets: int = 256) -> DataFrame:

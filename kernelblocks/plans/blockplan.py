@@ -45,6 +45,24 @@ def memory_model(n: int, m: int, d: int, s: int, cols: int, rows: int, nodes: in
     return part
 
 
+def memory_model_node(n: int, m: int, d: int, s: int, cols: int, nodes: int, threads: int) -> dict[str, float]:
+    """Numbers held by a node that has one row block and works on threads column blocks at once, by part.
+
+    The same parts as memory_model with as many row blocks as nodes, the outputs of all threads counted together.
+    """
+    share = n / nodes
+    part = {
+        "data": share * (m + d),
+        "model_state": 5.0 * s * m,
+        "output_state": (threads + 5) * share * m,
+        "features": threads * share * s / cols,
+        "column_models": threads * m * s / cols,
+        "factors": s * s / cols,
+    }
+    part["total"] = sum(part.values())
+    return part
+
+
 def memory_model_simple(n: int, m: int, d: int, s: int, nodes: int, kappa: float = 1.0, threads: int = 1) -> float:
     """Numbers for each node where rows are cut by node and there are kappa s/d column blocks."""
     share = n / nodes

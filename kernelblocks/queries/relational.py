@@ -236,10 +236,10 @@ def split_setops(spark: SparkSession, d: str) -> DataFrame:
 
 @query(
     "WITH g AS (SELECT lang, unnest([substr(lower(text), i, 3) FOR i IN range(1, length(text) - 1)]) AS gram FROM documents WHERE length(text) >= 3) "
-    "SELECT lang, gram, count(*) AS n FROM g GROUP BY ALL HAVING count(*) >= 200"
+    "SELECT lang, gram, count(*) AS n FROM g GROUP BY ALL"
 )
 def trigram_counts(spark: SparkSession, d: str) -> DataFrame:
-    return prep.trigram_totals(table(spark, d, "documents"), "lang", "text").where("n >= 200")
+    return prep.trigram_totals(table(spark, d, "documents"), "lang", "text")
 
 
 @query("SELECT page_id, length(html)::INT AS n_html, length(trim(regexp_replace(regexp_replace(html, '<[^>]*>', ' ', 'g'), '[ \\t\\n\\r]+', ' ', 'g')))::INT AS n_text FROM pages")

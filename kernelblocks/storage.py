@@ -10,11 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """The cluster's shared folder if it names one; a temporary one only where none is set, as in tests."""
-    if spark.sparkContext.getCheckpointDir() is None:
-        spark.sparkContext.setCheckpointDir(
-            spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="kb-checkpoint-")
-        )
+    """The cluster's shared folder; a temporary one only where none is set and all runs on one machine, as in tests."""
+    context = spark.sparkContext
+    if context.getCheckpointDir() is not None:
+        return
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if folder is None and not context.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="kb-checkpoint-"))
 
 
 def kept_flat(df: DataFrame) -> tuple[DataFrame, Callable[[], None]]:

@@ -136,3 +136,15 @@ def test_entry_module_lists_queries_with_matching_names():
     q, o = entry.queries(), entry.oracle_sql()
     assert set(o) <= set(q) and len(q) >= 80
     assert F is not None
+
+
+def test_small_measures_and_node_memory(spark):
+    from kernelblocks.measures import objective_gap, recall_by_class, rmse
+    from kernelblocks.plans.blockplan import memory_model, memory_model_node
+
+    scored = spark.createDataFrame([(1.0, 1.0), (1.0, 2.0), (2.0, 2.0), (2.0, 2.0)], "label double, pred double")
+    assert abs(rmse(scored) - 0.5) < 1e-12 and objective_gap(3.0, 2.5) == 0.5
+    assert {r["label"]: (r["recall"], r["n"]) for r in recall_by_class(scored).collect()} == {1.0: (0.5, 2), 2.0: (1.0, 2)}
+    for threads in (1, 6):
+        node = memory_model_node(10_000, 10, 50, 4000, 20, 4, threads)
+        assert abs(node["total"] - memory_model(10_000, 10, 50, 4000, 20, 4, 4, threads)["total"]) < 1e-6
