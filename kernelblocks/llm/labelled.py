@@ -24,7 +24,8 @@ def labelled_rows(
 ) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray]:
     """(sparse rows, grades) of a bounded sample, in an order that depends on ids alone.
 
-    labels without an id or a grade don't count; of several labels of one id the least grade does.
+    labels without an id or a grade don't count; of several labels of one id the least grade does, of several texts of
+    one id the least, so that never more than sample_rows rows come to the driver.
     """
     chosen = (
         labels.select("doc_id", grade.cast("int").alias("grade"))
@@ -34,7 +35,7 @@ def labelled_rows(
         .orderBy(F.xxhash64("doc_id"), "doc_id")
         .limit(sample_rows)
     )
-    picked = id_and_text(docs).join(F.broadcast(chosen), "doc_id").select("doc_id", "grade", "text")
+    picked = id_and_text(docs).join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "grade").agg(F.min("text").alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
