@@ -8,12 +8,16 @@ precision. A link that several cells or tables find counts in the first of them
 vectors' cells tell without any exchange; so no list of pairs is made, only counts and edges that span
 the groups found.
 
+Names of cells travel first, without vectors; vectors go to the cells where several classes meet.
 Equal vectors are one class with a multiplicity and are compared once. Cells with more than
-BLOCK_ROWS members are split in blocks, and pairs of blocks go to different tasks.
+BLOCK_ROWS members are split in blocks, and pairs of blocks go to different tasks, which count what they
+find tile by tile.
 
 Defined results: vectors that are null, empty, zero or hold null or non-finite numbers link with
 nothing, and so do vectors of different lengths; they keep a row each with n_links 0. Rows that share
-a vec_id count as one vector where components are named.
+a vec_id keep a row each and count as vectors each, and as one where components are named; of equal
+vectors the least id names the class, and rows without an id take its component; a cosine of exactly
+the threshold links; vectors may be of any length; an empty table gives no row; other columns don't matter.
 """
 
 from __future__ import annotations
@@ -28,6 +32,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kernelblocks.llm.components import connected_components
+from kernelblocks.llm.hotkeys import in_blocks
 from kernelblocks.llm.runtime import cut
 
 COSINE = 0.95
@@ -36,8 +41,6 @@ HALVES = 2
 CELL = 1.5
 PROBES = 1 << HALVES
 BLOCK_ROWS = 4096
-#: Split cells are few; beyond so many their list is joined by a shuffle and not broadcast.
-BROADCAST_ROWS = 200_000
 TILE = 1024
 CHUNK_ROWS = 1 << 14
 
@@ -119,9 +122,9 @@ def cells(unit: np.ndarray) -> np.ndarray:
     return out
 
 
-def span(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
-    """For the edges a-b between places under n: the least place that each place reaches."""
-    label = np.arange(n)
+def span(a: np.ndarray, b: np.ndarray, label: np.ndarray) -> np.ndarray:
+    """For the edges a-b between places, and those that label stands for: the least place that each place reaches."""
+    label = label.copy()
     while True:
         x, y = label[a], label[b]
         open_ = x != y
@@ -133,9 +136,8 @@ def span(a: np.ndarray, b: np.ndarray, n: int) -> np.ndarray:
             label = label[label]
 
 
-def unit_rows(raw: list[bytes], kind: str) -> np.ndarray:
-    """Rows of length one, in double precision; kind is the type of the stored numbers."""
-    v = np.stack([np.frombuffer(r, kind) for r in raw]).astype(np.float64)
+def unit_rows(v: np.ndarray) -> np.ndarray:
+    """Rows of length one, in double precision."""
     v = v / np.abs(v).max(axis=1, keepdims=True)  # so that squares neither overflow nor vanish
     return v / np.sqrt((v * v).sum(axis=1, keepdims=True))
 
@@ -174,26 +176,42 @@ def _compare(rows: dict[str, np.ndarray], cosine: float) -> Iterator[tuple[np.nd
 
 
 def _links(rows: dict[str, np.ndarray], cosine: float) -> list[np.ndarray]:
-    """[kind, a, b]: (0, class, links) and (1, class, least class reached) of a run of whole cells."""
-    found = list(_compare(rows, cosine))
-    none = np.zeros(0, np.int64)
-    if not found:
-        return [none] * 3
-    a, b, s = (np.concatenate(x) for x in zip(*found, strict=True))
-    used, place = np.unique(np.concatenate((a, b)), return_inverse=True)
-    pa_, pb_ = place[: len(a)], place[len(a) :]
-    c = cells(rows["unit"][used])
-    rep, count = rows["rep"], rows["n"]
-    keep = np.concatenate(
-        [
-            _first_here(c[pa_[k : k + CHUNK_ROWS]], c[pb_[k : k + CHUNK_ROWS]], rows["table"][s[k : k + CHUNK_ROWS]], rows["cell"][s[k : k + CHUNK_ROWS]])
-            for k in range(0, len(a), CHUNK_ROWS)
-        ]
-    )
+    """[kind, a, b]: (0, class, links) and (1, class, least class reached) of a run of whole cells.
+
+    Meetings are counted some tiles at a time and never held together.
+    """
+    rep, count, unit = rows["rep"], rows["n"], rows["unit"]
     who, at = np.unique(rep, return_inverse=True)
-    links = np.bincount(at[a[keep]], weights=count[b[keep]], minlength=len(who)) + np.bincount(at[b[keep]], weights=count[a[keep]], minlength=len(who))
+    links, label = np.zeros(len(who)), np.arange(len(who))
+    known, named = np.zeros(len(rep), bool), None
+    held: list[tuple[np.ndarray, ...]] = []
+    waiting = 0
+
+    def count_held() -> None:
+        nonlocal links, label, named, held, waiting
+        a, b, s = (np.concatenate(x) for x in zip(*held, strict=True))
+        held, waiting = [], 0
+        if named is None:
+            named = np.empty((len(rep), TABLES, PROBES), np.int64)
+        new = np.unique(np.concatenate((a, b)))
+        new = new[~known[new]]
+        if len(new):
+            named[new], known[new] = cells(unit[new]), True
+        for k in range(0, len(a), CHUNK_ROWS):
+            x, y, z = a[k : k + CHUNK_ROWS], b[k : k + CHUNK_ROWS], s[k : k + CHUNK_ROWS]
+            keep = _first_here(named[x], named[y], rows["table"][z], rows["cell"][z])
+            links += np.bincount(at[x[keep]], weights=count[y[keep]], minlength=len(who))
+            links += np.bincount(at[y[keep]], weights=count[x[keep]], minlength=len(who))
+        label = span(at[a], at[b], label)
+
+    for found in _compare(rows, cosine):
+        held.append(found)
+        waiting += len(found[0])
+        if waiting >= CHUNK_ROWS:
+            count_held()
+    if held:
+        count_held()
     linked = np.flatnonzero(links)
-    label = span(at[a], at[b], len(who))
     moved = np.flatnonzero(label != np.arange(len(who)))
     return [
         np.concatenate((np.zeros(len(linked), np.int64), np.ones(len(moved), np.int64))),
@@ -202,125 +220,123 @@ def _links(rows: dict[str, np.ndarray], cosine: float) -> list[np.ndarray]:
     ]
 
 
-def _hashed(classes: DataFrame, with_vectors: bool, stored: str) -> DataFrame:
-    """A row for each class and cell of it: (cell[, table, home, rep, n, raw])."""
+def _cells_of(classes: DataFrame) -> DataFrame:
+    """(cell, rep, at): a row for each class and cell of it; at is the table, doubled, and one more where it is the home."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            rep, n = batch.column(0).to_numpy(), batch.column(1).to_numpy()
-            lists = batch.column(2)
+            rep = batch.column(0).to_numpy()
+            lists = batch.column(1)
             width = np.diff(lists.offsets.to_numpy())
             flat = lists.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
             starts = np.cumsum(width) - width
             for w in np.unique(width):
                 rows = np.flatnonzero(width == w)
-                v = flat[starts[rows][:, None] + np.arange(w)]
                 for k in range(0, len(rows), 1024):
-                    part, own = v[k : k + 1024], rows[k : k + 1024]
-                    raw = [r.astype(stored).tobytes() for r in part]
-                    c = cells(unit_rows(raw, stored)).reshape(len(own), -1)
-                    # the same cell can be reached twice only by chance; each counts once, the home first
-                    cols = [pa.array(c.reshape(-1))]
-                    if with_vectors:
-                        each = TABLES * PROBES
-                        spot = np.tile(np.arange(each), len(own))
-                        cols += [
-                            pa.array((spot // PROBES).astype(np.int32)),
-                            pa.array(spot % PROBES == 0),
-                            pa.array(np.repeat(rep[own], each)),
-                            pa.array(np.repeat(n[own], each)),
-                            pa.array(raw, pa.binary()).take(pa.array(np.repeat(np.arange(len(own)), each))),
-                        ]
-                    yield pa.RecordBatch.from_arrays(cols, names=["cell", "table", "home", "rep", "n", "raw"][: len(cols)])
-
-    schema = "cell long, table int, home boolean, rep long, n long, raw binary" if with_vectors else "cell long"
-    return classes.select("rep", "n", "embedding").mapInArrow(run, schema)
-
-
-def in_blocks(rows: DataFrame, sizes: DataFrame, key: str, block_rows: int) -> DataFrame:
-    """rows with (lo, hi, block): keys of more than block_rows rows are dealt in blocks, one task for each pair of blocks."""
-    large = sizes.where(F.col("n_rows") > block_rows).select(
-        key, F.ceil(F.col("n_rows") / block_rows).cast("int").alias("blocks")
-    )
-    large = cut(large)
-    if large.count() <= BROADCAST_ROWS:
-        large = F.broadcast(large)
-    dealt = rows.join(large, key, "left").withColumn(
-        "block", F.when(F.col("blocks").isNull(), 0).otherwise(F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    )
-    others = F.when(F.col("blocks").isNull(), F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.col("blocks") - 1))
-    return dealt.withColumn("_kb_other", F.explode(others)).select(
-        *rows.columns,
-        "block",
-        F.least("block", "_kb_other").alias("lo"),
-        F.greatest("block", "_kb_other").alias("hi"),
-    )
+                    own = rows[k : k + 1024]
+                    c = cells(unit_rows(flat[starts[own][:, None] + np.arange(w)])).reshape(len(own), -1)
+                    spot = np.tile(np.arange(TABLES * PROBES), len(own))
+                    at = (spot // PROBES * 2 + (spot % PROBES == 0)).astype(np.int32)
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(c.reshape(-1)), pa.array(np.repeat(rep[own], TABLES * PROBES)), pa.array(at)], names=["cell", "rep", "at"]
+                    )
+
+    return classes.select("rep", "embedding").mapInArrow(run, "cell long, rep long, at int")
+
+
+def _whole_groups(batches: Iterator[pa.RecordBatch], keys: list[str], rows: int) -> Iterator[pa.Table]:
+    """Tables of some rows each, sorted by keys, none of which cuts a group of equal keys."""
+    held: list[pa.RecordBatch] = []
+    size = 0
+    for b in batches:
+        held.append(b)
+        size += b.num_rows
+        if size >= rows:
+            table = pa.Table.from_batches(held)
+            last = np.stack([table.column(k).to_numpy() for k in keys])
+            other = np.flatnonzero(np.any(last != last[:, -1:], axis=0))
+            end = int(other[-1]) + 1 if len(other) else 0
+            if end:
+                yield table.slice(0, end)
+            held = table.slice(end).to_batches()
+            size = table.num_rows - end
+    if size:
+        yield pa.Table.from_batches(held)
+
+
+def _shared(postings: DataFrame) -> DataFrame:
+    """The postings, sorted by cell, of cells with several rows; they pass as they come, however many a cell has."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        back, passed = None, False  # the last row, and whether it has been given
+        for b in batches:
+            if not b.num_rows:
+                continue
+            t = pa.Table.from_batches([back, b] if back is not None else [b]).combine_chunks()
+            cell = t.column("cell").to_numpy()
+            same = cell[1:] == cell[:-1]
+            several = np.concatenate((same, [False])) | np.concatenate(([False], same))
+            out = several.copy()
+            out[0] &= not (back is not None and passed)
+            yield from t.filter(pa.array(out)).to_batches()
+            passed = bool(several[-1]) or (len(cell) == 1 and passed)
+            back = t.slice(t.num_rows - 1).to_batches()[0]
+
+    return postings.mapInArrow(run, "cell long, rep long, at int")
 
 
 def near_vectors(vectors: DataFrame, cosine: float = COSINE, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row of vectors."""
     # single-precision numbers travel as they are; the cosine is computed in double precision either way
     single = isinstance(vectors.schema["embedding"].dataType.elementType, T.FloatType)
-    stored = "<f4" if single else "<f8"
-    src = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("embedding"))
+    number = "float" if single else "double"
+    src = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast(f"array<{number}>").alias("embedding"))
     sound = (
-        "coalesce(size(embedding), 0) > 0 AND forall(embedding, x -> x IS NOT NULL AND NOT isnan(x) AND abs(x) < double('infinity'))"
+        f"coalesce(size(embedding), 0) > 0 AND forall(embedding, x -> x IS NOT NULL AND NOT isnan(x) AND abs(x) < {number}('infinity'))"
         " AND exists(embedding, x -> x <> 0)"
     )
     marked = src.withColumn("ok", F.coalesce(F.expr(sound), F.lit(False)))
-    good = marked.where("ok").select("vec_id", "embedding")
-    classes = cut(good.groupBy("embedding").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n")).where("rep is not null"))
-    sizes = _hashed(classes, False, stored).groupBy("cell").agg(F.count("*").alias("n_rows")).where("n_rows > 1")
-    rows = in_blocks(_hashed(classes, True, stored), sizes, "cell", block_rows)
+    # 128 bits name a vector
+    named = [F.xxhash64("embedding").alias("h1"), F.xxhash64(F.lit("second"), "embedding").alias("h2")]
+    good = marked.where("ok").select("vec_id", *named, "embedding")
+    classes = good.groupBy("h1", "h2").agg(F.min("vec_id").alias("rep"), F.count("*").alias("n"), F.first("embedding").alias("embedding"))
+    classes = cut(classes.where("rep is not null"))
+    # numbers alone are dealt by cell; vectors go where classes meet
+    meets = cut(_shared(_cells_of(classes).repartition("cell").sortWithinPartitions("cell")))
+    sizes = meets.groupBy("cell").agg(F.count("*").alias("n_rows"))
+    raw = classes.select("rep", "n", "embedding")
+    rows = in_blocks(meets, sizes, ["cell"], "rep", block_rows).join(raw, "rep")
     order = ["cell", "lo", "hi"]
-    names = [*order, "table", "home", "rep", "n", "block", "raw"]
-    dealt = rows.select(names).repartition(*order).sortWithinPartitions(*order)
+    dealt = rows.select(*order, "at", "rep", "n", "block", "embedding").repartition(*order).sortWithinPartitions(*order)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-        size = 0
-
-        def flush(table: pa.Table) -> Iterator[pa.RecordBatch]:
-            cols = {k: table.column(k).to_numpy() for k in names if k != "raw"}
-            keys = np.stack([cols[k] for k in order])
-            same = np.all(keys[:, 1:] == keys[:, :-1], axis=0)
-            pair = np.concatenate((same, [False])) | np.concatenate(([False], same))
-            if not pair.any():
-                return
-            cols = {k: v[pair] for k, v in cols.items()}
-            raw = table.column("raw").filter(pa.array(pair)).to_pylist()
-            width = np.array([len(r) for r in raw])
+        for table in _whole_groups(batches, order, CHUNK_ROWS):
+            cols = {k: table.column(k).to_numpy() for k in (*order, "rep", "n", "block")}
+            at = table.column("at").to_numpy()
+            cols |= {"table": at // 2, "home": at % 2 == 1}
+            lists = table.column("embedding").combine_chunks()
+            width = np.diff(lists.offsets.to_numpy())
+            flat = lists.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
+            starts = np.cumsum(width) - width
             for w in np.unique(width):
                 own = np.flatnonzero(width == w)
                 part = {k: v[own] for k, v in cols.items()}
-                part["unit"] = unit_rows([raw[i] for i in own], stored)
+                part["unit"] = unit_rows(flat[starts[own][:, None] + np.arange(w)])
                 out = _links(part, cosine)
                 if len(out[0]):
                     yield pa.RecordBatch.from_arrays([pa.array(x) for x in out], names=["kind", "a", "b"])
 
-        for b in batches:
-            held.append(b)
-            size += b.num_rows
-            if size >= CHUNK_ROWS:
-                table = pa.Table.from_batches(held)
-                keys = np.stack([table.column(k).to_numpy() for k in order])
-                other = np.flatnonzero(np.any(keys != keys[:, -1:], axis=0))
-                end = int(other[-1]) + 1 if len(other) else 0
-                if end:
-                    yield from flush(table.slice(0, end))
-                held = table.slice(end).to_batches()
-                size = table.num_rows - end
-        if size:
-            yield from flush(pa.Table.from_batches(held))
-
-    found = cut(dealt.mapInArrow(run, "kind long, a long, b long").groupBy("kind", "a", F.when(F.col("kind") == 1, F.col("b")).alias("to")).agg(F.sum("b").alias("s")))
+    found = dealt.mapInArrow(run, "kind long, a long, b long").groupBy("kind", "a", F.when(F.col("kind") == 1, F.col("b")).alias("to")).agg(F.sum("b").alias("s"))
+    found = cut(found)
     links = found.where("kind = 0").select(F.col("a").alias("rep"), F.col("s").alias("more"))
     roots = connected_components(found.where("kind = 1").select("a", F.col("to").alias("b")), "a", "b")
     named = cut(
-        classes.join(links, "rep", "left")
+        classes.select("h1", "h2", "rep", "n")
+        .join(links, "rep", "left")
         .join(roots.withColumnRenamed("node", "rep"), "rep", "left")
-        .select("embedding", (F.coalesce("more", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("root", "rep").alias("component_id"))
+        .select("h1", "h2", (F.coalesce("more", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("root", "rep").alias("component_id"))
     )
-    out = good.join(named, "embedding", "left").select("vec_id", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
+    out = good.select("vec_id", "h1", "h2").join(named, ["h1", "h2"], "left")
+    out = out.select("vec_id", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("component_id", "vec_id").alias("component_id"))
     alone = marked.where("NOT ok").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
     return out.union(alone).withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(True)))
