@@ -1,15 +1,25 @@
-"""Near copies by word shingles: every pair of texts whose sets of shingles have Jaccard 0.8 or more.
-
-A text is its set of hashed shingles of five words (words and hash as in simhash.py); texts with equal
-sets are one node. Candidates come from prefixes: with the members of all sets in one common order, two
-sets as alike as that share a member among the first n - ceil(0.8 n) + 1 of each, so no pair is lost.
-The order puts shingles that a sample shows to be frequent last; the choice of the sample changes the
-work, never the result. Sizes and 128-bit parity sketches rule out pairs that cannot reach the bound;
-all others are decided by the sets themselves.
-
-Long lists of a shingle are compared in two steps: first each member with its neighbour and with the
-first, then, once those links have made components, the pairs of different components alone. A group
-of n copies costs some n comparisons of sets, and the components are those of all pairs.
+"""Near copies by SimHash with keys that lose none: texts whose sets of word shingles have Jaccard 0.8 or more.
+
+A text is its set of hashed shingles of five words (words and hash as in simhash.py) and a fingerprint of
+256 bits of it; texts with equal sets are one node. The keys come from prefixes: with the members
+of all sets in one common order, two sets as alike as that share a member among the first
+n - ceil(0.8 n) + 1 of each, so no pair is lost. The order puts shingles that a sample shows to be
+frequent last; the choice of the sample changes the work, never the result.
+
+Nodes that share a key are compared bit-sliced (simhash.near_places): pairs whose fingerprints differ in more
+than RADIUS bits are left. At Jaccard 0.8 some 39 bits of 256 differ, 6 more or less; the chance that a pair
+lies past the radius is under 3e-8 at every size (from the exact probability that a majority bit differs). Sets
+decide all others, in two steps: first a pair for each node, with the least node near it; then, once those links
+have made components, the near pairs of different components, in tasks that hold the sets of some nodes and give
+edges that span what they find. No step gives more rows than it has nodes and short lists; a group of n copies
+costs some n comparisons of sets, and the components are those of all pairs.
+
+Texts don't move before: postings hold numbers, and only the texts that must be compared are fetched.
+
+Defined results: null and empty texts are near copies of each other; a text shorter than a shingle is one
+shingle; of each component the row of the least (doc_id, hash of the text) stays, a null id last; rows
+that repeat id and text are copies, rows that share an id alone aren't; texts of any length are read
+whole; an empty table gives no row; other columns pass through as they are.
 """
 
 from __future__ import annotations
@@ -25,16 +35,25 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kernelblocks.llm.components import connected_components
+from kernelblocks.llm.hotkeys import in_blocks
 from kernelblocks.llm.runtime import cut, id_and_text
-from kernelblocks.llm.simhash import SLICE, _hashes
+from kernelblocks.llm.simhash import BLOCK_WORDS, SLICE, _hashes, _slide, bit_planes, near_places, wide_print
 
 SHINGLE = 5
 #: The least Jaccard similarity as a fraction, so that comparisons are exact.
 ABOVE, BELOW = 4, 5
+#: Bits of 256 in which the fingerprints of a pair may differ.
+RADIUS = 84
 #: Lists up to this length are compared pair by pair at once.
 SHORT_LIST = 8
+#: Longer lists and groups are compared in pairs of blocks of so many.
+BLOCK_ROWS = 4096
 #: The sample that says which shingles are frequent: texts, and how many of them must hold one.
 SAMPLE_TEXTS, FREQUENT = 20_000, 4
+#: Texts that a task turns into sets at once.
+TEXTS_AT_ONCE = 512
+#: A task remembers so many nodes whose keys it has given.
+SEEN_NODES = 1_000_000
 
 
 def shingle_set(text: str | None, size: int = SHINGLE) -> np.ndarray:
@@ -60,23 +79,6 @@ def prefix(members: np.ndarray, frequent: np.ndarray) -> np.ndarray:
     return members[: n - -(-ABOVE * n // BELOW) + 1]
 
 
-def sketch(members: np.ndarray) -> tuple[int, int]:
-    """The parity of the members in each of 128 places, as two signed longs."""
-    odd = np.bincount((members >> np.uint64(57)).astype(np.int64), minlength=128) & 1
-    words = np.packbits(odd.astype(np.uint8), bitorder="little").view(np.int64)
-    return int(words[0]), int(words[1])
-
-
-def _may_reach(n: np.ndarray, m: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
-    """Where sets of n and m members whose sketches differ by low and high could reach the bound.
-
-    Each place of different parity holds a member of one set alone, so there are as many such members.
-    """
-    apart = np.bitwise_count(low.view(np.uint64)).astype(np.int64) + np.bitwise_count(high.view(np.uint64))
-    fits = ABOVE * np.maximum(n, m) <= BELOW * np.minimum(n, m)
-    return fits & ((ABOVE + BELOW) * apart <= (BELOW - ABOVE) * (n + m))
-
-
 def _node(members: np.ndarray) -> int:
     return xxhash.xxh64_intdigest(members.tobytes(), seed=7) - (1 << 63)
 
@@ -89,34 +91,48 @@ def _packed_set(raw: bytes) -> np.ndarray:
     return shingle_set(zlib.decompress(raw).decode("utf-8", "surrogatepass"))
 
 
-def _named(docs: DataFrame, with_text: bool) -> DataFrame:
-    """(doc_id, node) of every row, node being the name of the text's set, or (node, text), the text compressed."""
-    src = id_and_text(docs)
-    names = ["node", "text"] if with_text else ["doc_id", "node"]
+def _hashed(docs: DataFrame) -> DataFrame:
+    """(doc_id, text, hash): the hash names a text."""
+    return id_and_text(docs).withColumn("hash", F.xxhash64("text"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            texts = b.column(1).to_pylist()
-            nodes = pa.array([_node(shingle_set(t)) for t in texts], pa.int64())
-            cols = [nodes, pa.array(map(_packed, texts), pa.binary())] if with_text else [b.column(0), nodes]
-            yield pa.RecordBatch.from_arrays(cols, names=names)
 
-    node = T.StructField("node", T.LongType())
-    other = T.StructField("text", T.BinaryType()) if with_text else T.StructField("doc_id", src.schema["doc_id"].dataType)
-    return src.mapInArrow(run, T.StructType([node, other] if with_text else [other, node]))
+def _few(batches: Iterator[pa.RecordBatch], rows: int = TEXTS_AT_ONCE) -> Iterator[pa.RecordBatch]:
+    """Some rows at a time: what a task makes of texts is several times as large as they are."""
+    for b in batches:
+        for k in range(0, b.num_rows, rows):
+            yield b.slice(k, rows)
+
 
+def _named(src: DataFrame) -> DataFrame:
+    """(doc_id, hash, node, n, print) of every row: the name, size and fingerprint of the text's set."""
 
-def frequent_shingles(nodes: DataFrame) -> np.ndarray:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in _few(batches):
+            nodes, sizes, prints = [], [], []
+            for text in b.column(1).to_pylist():
+                members = shingle_set(text)
+                nodes.append(_node(members))
+                sizes.append(len(members))
+                prints.append(wide_print(members).tobytes())
+            cols = [b.column(0), b.column(2), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int32()), pa.array(prints, pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "hash", "node", "n", "print"])
+
+    fields = [T.StructField("doc_id", src.schema["doc_id"].dataType)]
+    fields += [T.StructField(c, k) for c, k in (("hash", T.LongType()), ("node", T.LongType()), ("n", T.IntegerType()), ("print", T.BinaryType()))]
+    return src.mapInArrow(run, T.StructType(fields))
+
+
+def frequent_shingles(src: DataFrame, total: int) -> np.ndarray:
     """Sorted hashes of the shingles that several texts of a bounded sample hold."""
-    total = nodes.count()
     if not total:
         return np.zeros(0, np.uint64)
     part = min(1.0, SAMPLE_TEXTS / total)
-    few = nodes.where(F.pmod(F.xxhash64("node"), F.lit(1_000_000)) < int(1_000_000 * part) + 1).select("text")
+    few = src.where(F.pmod("hash", F.lit(1_000_000)) < int(1_000_000 * part) + 1).select("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            sets = [_packed_set(t) for t in b.column(0).to_pylist()]
+        seen: set[int] = set()
+        for b in _few(batches):
+            sets = [shingle_set(t) for t in set(b.column(0).to_pylist()) if not (hash(t) in seen or seen.add(hash(t)))]
             h = np.concatenate(sets) if sets else np.zeros(0, np.uint64)
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64))], names=["h"])
 
@@ -125,31 +141,44 @@ def frequent_shingles(nodes: DataFrame) -> np.ndarray:
     return np.sort(rows.view(np.uint64))
 
 
-def _postings(nodes: DataFrame, frequent: np.ndarray) -> DataFrame:
-    """(key, node, n, low, high): a row for each member of each node's prefix; an empty set has key 0."""
-    held = nodes.sparkSession.sparkContext.broadcast(frequent)
-    names = ["key", "node", "n", "low", "high"]
+POSTING = "key long, node long, n int"
+
+
+def _postings(src: DataFrame, frequent: np.ndarray) -> DataFrame:
+    """(key, node, n): a row for each member of each node's prefix, once in a task; an empty set has key 0."""
+    held = src.sparkSession.sparkContext.broadcast(frequent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        seen: set[int] = set()
+        for b in _few(batches):
             keys, rest, times = [], [], []
-            for node, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                members = _packed_set(text)
+            for text in b.column(0).to_pylist():
+                members = shingle_set(text)
+                node = _node(members)
+                if node in seen:
+                    continue
+                if len(seen) >= SEEN_NODES:
+                    seen.clear()
+                seen.add(node)
                 own = prefix(members, held.value) if len(members) else np.zeros(1, np.uint64)
                 keys.append(own.view(np.int64))
-                rest.append((node, len(members), *sketch(members)))
+                rest.append((node, len(members)))
                 times.append(len(own))
             if keys:
-                cols = np.repeat(np.array(rest, np.int64), times, axis=0)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), *map(pa.array, cols.T.copy())], names=names)
+                cols = np.repeat(np.array(rest, np.int64), times, axis=0).T.copy()
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(keys)), pa.array(cols[0]), pa.array(cols[1].astype(np.int32))], names=["key", "node", "n"])
+
+    return src.select("text").mapInArrow(run, POSTING)
 
-    return nodes.select("node", "text").mapInArrow(run, ", ".join(f"{c} long" for c in names))
 
+def _lists(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, bool]]:
+    """(rows, whether a list goes on in the next): rows sorted by their first column, whole lists where they fit.
 
-def _lists(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
-    """Rows that share the first column, as they come sorted by it, some whole lists at a time."""
+    A list of more than SLICE rows comes in pieces; those after the first begin with the list's first
+    row and the last row of the piece before.
+    """
     held: list[np.ndarray] = []
-    waiting = 0
+    waiting, first = 0, None
     for batch in batches:
         held.append(np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns], axis=1))
         waiting += len(held[-1])
@@ -157,122 +186,273 @@ def _lists(batches: Iterator[pa.RecordBatch]) -> Iterator[np.ndarray]:
             rows = np.concatenate(held)
             end = int(np.searchsorted(rows[:, 0], rows[-1, 0]))
             if end:
-                yield rows[:end]
-            held = [rows[end:]]
+                yield rows[:end], first is not None and rows[0, 0] == first[0]
+                held, first = [rows[end:]], None
+            else:
+                yield rows, first is not None
+                first = rows[0] if first is None else first
+                held = [np.stack((first, rows[-1]))]
             waiting = len(held[0])
     if waiting:
-        yield np.concatenate(held)
+        yield np.concatenate(held), first is not None
 
 
-def _pairs(rows: np.ndarray, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The nodes of rows i and j where the pair may reach the bound."""
-    ok = _may_reach(rows[i, 2], rows[j, 2], rows[i, 3] ^ rows[j, 3], rows[i, 4] ^ rows[j, 4])
-    a, b = rows[i[ok], 1], rows[j[ok], 1]
-    return np.minimum(a, b), np.maximum(a, b)
+def _fits(n: np.ndarray, m: np.ndarray) -> np.ndarray:
+    """Where sets of n and m members can reach the bound by their sizes."""
+    return ABOVE * np.maximum(n, m) <= BELOW * np.minimum(n, m)
+
+
+def _fresh(rows: np.ndarray) -> np.ndarray:
+    """Which rows, sorted, aren't the one before again."""
+    return np.concatenate(([True], np.any(rows[1:, :2] != rows[:-1, :2], axis=1)))[: len(rows)]
 
 
 def _edge_batch(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(a, np.int64)), pa.array(np.ascontiguousarray(b, np.int64))], names=["a", "b"])
 
 
-def first_pairs(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Candidates of sorted lists: all of a short list; of a long one each member with its neighbour and the first."""
-    starts = np.flatnonzero(np.concatenate(([True], rows[1:, 0] != rows[:-1, 0])))
+def short_pairs(rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The pairs of nodes (less, greater) of sorted short lists of (key, node, n) whose sizes fit."""
+    starts = np.flatnonzero(np.concatenate(([True], rows[1:, 0] != rows[:-1, 0]))) if len(rows) else np.zeros(0, np.int64)
     sizes = np.diff(np.append(starts, len(rows)))
-    size, start = np.repeat(sizes, sizes), np.repeat(starts, sizes)
-    spot = np.arange(len(rows))
-    left, right = [], []
-    for d in range(1, min(SHORT_LIST, int(sizes.max()))):
-        j = np.flatnonzero((spot - d >= start) & ((size <= SHORT_LIST) | (d == 1)))
-        left.append(j - d)
-        right.append(j)
-    j = np.flatnonzero((size > SHORT_LIST) & (spot > start + 1))
+    start, spot = np.repeat(starts, sizes), np.arange(len(rows))
     none = np.zeros(0, np.int64)
-    return _pairs(rows, np.concatenate([none, *left, start[j]]), np.concatenate([none, *right, j]))
+    right = [none, *(np.flatnonzero(spot - d >= start) for d in range(1, SHORT_LIST))]
+    left = [none, *(j - d for d, j in enumerate(right[1:], 1))]
+    i, j = np.concatenate(left), np.concatenate(right)
+    ok = _fits(rows[i, 2], rows[j, 2]) & (rows[i, 1] != rows[j, 1])
+    a, b = rows[i[ok], 1], rows[j[ok], 1]
+    pairs = np.unique(np.stack((np.minimum(a, b), np.maximum(a, b)), axis=1), axis=0)
+    return pairs[:, 0], pairs[:, 1]
 
 
-def other_pairs(rows: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Candidates of long lists, sorted by size within, between members of different components (column 5)."""
-    starts = np.flatnonzero(np.concatenate(([True], rows[1:, 0] != rows[:-1, 0])))
-    for lo, hi in zip(starts, np.append(starts[1:], len(rows)), strict=True):
-        own = rows[lo:hi]
-        if (own[:, 5] == own[0, 5]).all():
+def _prints(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), np.uint64).reshape(len(column), -1)
+
+
+def _near_only(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose fingerprints lie within the radius."""
+    one = nodes.select(F.col("node").alias("a"), F.col("print").alias("pa"))
+    two = nodes.select(F.col("node").alias("b"), F.col("print").alias("pb"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if b.num_rows:
+                hit = near_places(bit_planes(_prints(b.column(2))), bit_planes(_prints(b.column(3))), np.ones(b.num_rows, bool), RADIUS)
+                yield _edge_batch(b.column(0).to_numpy()[hit], b.column(1).to_numpy()[hit])
+
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "pa", "pb").mapInArrow(run, "a long, b long")
+
+
+def _merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Labels, each the least place reached, after the edges a-b."""
+    while len(a):
+        x, y = label[a], label[b]
+        np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+        while not np.array_equal(label[label], label):
+            label = label[label]
+        open_ = label[a] != label[b]
+        a, b = a[open_], b[open_]
+    return label
+
+
+def spanned(n: np.ndarray, prints: np.ndarray, label: np.ndarray, decide=None) -> np.ndarray:
+    """Labels of rows sorted by size n after all near pairs, or those of them that decide(i, j) finds alike.
+
+    Rows are compared with those at each distance in the order; pairs that a label already joins are left.
+    """
+    label, planes, spot, per = label.copy(), bit_planes(prints), np.arange(len(n)), 64 * BLOCK_WORDS
+    # no row beyond this place is small enough
+    reach = np.searchsorted(n, BELOW * n // ABOVE, side="right")
+    for d in range(1, int((reach - spot).max()) if len(n) else 0):
+        alive = (spot + d < reach) & (label != np.roll(label, -d))
+        if not alive.any():
+            if (label == label[0]).all():
+                break
             continue
-        spot = np.arange(len(own))
-        # no member beyond this place is small enough
-        reach = np.searchsorted(own[:, 2], BELOW * own[:, 2] // ABOVE, side="right")
-        for d in range(1, int((reach - spot).max())):
-            i = np.flatnonzero((spot + d < reach) & (own[:, 5] != np.roll(own[:, 5], -d)))
-            if len(i):
-                yield _pairs(own, i, i + d)
-
-
-def verified(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
-    """The pairs (a, b) whose sets reach the bound. A task holds one set of a at a time."""
-    wanted = nodes.join(pairs.select(F.col("b").alias("node")).union(pairs.select("a")).distinct(), "node", "left_semi")
-    wanted = cut(wanted)
-    second = pairs.join(wanted, pairs.b == wanted.node).select("a", "b", "text")
-    first = wanted.join(pairs.select(F.col("a").alias("node")).distinct(), "node", "left_semi")
-    both = second.union(first.select(F.col("node").alias("a"), F.lit(None).cast("long").alias("b"), "text"))
-    both = both.repartition("a").sortWithinPartitions("a", F.col("b").asc_nulls_first())
+        words = -(-int(np.flatnonzero(alive)[-1] + 1) // per) * BLOCK_WORDS
+        near = near_places(planes[:, :words], _slide(planes, d)[:, :words], alive[: words * 64], RADIUS)
+        if decide is None:
+            label = _merge(label, near, near + d)
+        else:
+            for i in near.tolist():
+                if label[i] != label[i + d] and decide(i, i + d):
+                    label = _merge(label, np.array([i]), np.array([i + d]))
+    return label
+
+
+def _texts(wanted: DataFrame, nodes: DataFrame, src: DataFrame) -> DataFrame:
+    """(node, text), the text compressed, for each node of wanted."""
+    texts = src.join(nodes.join(wanted.select("node").distinct(), "node").select("node", "hash"), "hash").select("node", "text")
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
+        for b in _few(batches):
+            rows = []
+            for node, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                # two texts may share a hash: only the one of this set counts
+                if node not in seen and _node(shingle_set(text)) == node:
+                    seen.add(node)
+                    rows.append((node, _packed(text)))
+            yield pa.RecordBatch.from_arrays([pa.array([n for n, _ in rows], pa.int64()), pa.array([t for _, t in rows], pa.binary())], names=["node", "text"])
+
+    return cut(texts.mapInArrow(pack, "node long, text binary").dropDuplicates(["node"]))
+
+
+def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """The pairs (a, b) whose sets reach the bound; b is in one pair alone, so no task has many of one set."""
+    one, two = (texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}")) for c in "ab")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = np.zeros(0, np.uint64)
-        for batch in batches:
+        known: dict[int, np.ndarray] = {}
+        for batch in _few(batches):
             out = []
-            for a, b, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                members = _packed_set(text)
-                if b is None:
-                    own = members
-                elif alike(own, members):
+            for a, b, ta, tb in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if a not in known:
+                    if len(known) > 256:
+                        known.clear()
+                    known[a] = _packed_set(ta)
+                if alike(known[a], _packed_set(tb)):
                     out.append((a, b))
-            cols = np.array(out, np.int64).reshape(-1, 2)
-            yield _edge_batch(cols[:, 0].copy(), cols[:, 1].copy())
+            yield _edge_batch(*np.array(out, np.int64).reshape(-1, 2).T)
+
+    return pairs.join(one, "a").join(two, "b").select("a", "b", "ta", "tb").mapInArrow(run, "a long, b long")
+
+
+def _grouped(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
+    """The rows of each run of equal first columns, as they come sorted by them."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        now = np.stack([batch.column(k).to_numpy() for k in range(keys)])
+        cuts = (np.flatnonzero(np.any(now[:, 1:] != now[:, :-1], axis=0)) + 1).tolist()
+        if held and any(held[-1].column(k)[-1] != batch.column(k)[0] for k in range(keys)):
+            yield pa.Table.from_batches(held)
+            held = []
+        for lo, hi in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
+            held.append(batch.slice(lo, hi - lo))
+            if hi < batch.num_rows:
+                yield pa.Table.from_batches(held)
+                held = []
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def _near_in_lists(rows: DataFrame, nodes: DataFrame, block_rows: int) -> DataFrame:
+    """(a, b): edges that span the near nodes of each long list (key, node)."""
+    sizes = rows.groupBy("key").agg(F.count("*").alias("n_rows"))
+    order = ["key", "lo", "hi"]
+    spread = in_blocks(rows, sizes, ["key"], "node", block_rows).join(nodes.select("node", "n", "print"), "node")
+    dealt = spread.select(*order, "node", "n", "print").repartition(*order).sortWithinPartitions(*order, "n", "node")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table in _grouped(batches, 3):
+            node, n = table.column("node").to_numpy(), table.column("n").to_numpy()
+            label = spanned(n, _prints(table.column("print").combine_chunks()), np.arange(len(n)))
+            moved = np.flatnonzero(label != np.arange(len(n)))
+            if len(moved):
+                yield _edge_batch(node[label[moved]], node[moved])
+
+    return dealt.mapInArrow(run, "a long, b long")
+
+
+def _alike_in_groups(members: DataFrame, texts: DataFrame, nodes: DataFrame, block_rows: int) -> DataFrame:
+    """(a, b): edges between alike nodes of different roots that span what the groups (group, node, root) hold.
+
+    In a group of several blocks the nodes of its most frequent root lie in blocks of their own, which needn't meet.
+    """
+    counts = members.groupBy("group", "root").agg(F.count("*").alias("n_rows"))
+    top = counts.groupBy("group").agg(F.max(F.struct("n_rows", "root")).alias("top"), F.sum("n_rows").alias("all"))
+    large = cut(top.where(F.col("all") > block_rows).select(
+        "group", F.col("top.root").alias("major"),
+        F.ceil(F.col("top.n_rows") / block_rows).cast("int").alias("first"),
+        F.ceil((F.col("all") - F.col("top.n_rows")) / block_rows).cast("int").alias("others"),
+    ))
+    own = F.col("root") == F.col("major")
+    hashed = F.xxhash64("node")
+    dealt = members.join(large, "group", "left").withColumn(
+        "block",
+        F.when(F.col("major").isNull(), 0).when(own, F.pmod(hashed, F.col("first"))).otherwise(F.col("first") + F.pmod(hashed, F.col("others"))).cast("int"),
+    )
+    last = F.col("first") + F.col("others") - 1
+    partner = F.when(F.col("major").isNull(), F.array(F.lit(0))).when(own, F.sequence(F.col("first"), last)).otherwise(F.sequence(F.lit(0), last))
+    order = ["group", "lo", "hi"]
+    spread = dealt.withColumn("other", F.explode(partner)).select("group", "node", "root", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"))
+    spread = spread.join(nodes.select("node", "n", "print"), "node").join(texts, "node")
+    spread = spread.select(*order, "node", "root", "n", "print", "text").repartition(*order).sortWithinPartitions(*order, "n", "node")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for table in _grouped(batches, 3):
+            node, n, root = (table.column(c).to_numpy() for c in ("node", "n", "root"))
+            _, first, label = np.unique(root, return_index=True, return_inverse=True)
+            label = first[label]
+            raw, sets = table.column("text"), {}
+
+            def members(i: int, raw=raw, sets=sets) -> np.ndarray:
+                if i not in sets:
+                    sets[i] = _packed_set(raw[i].as_py())
+                return sets[i]
+
+            after = spanned(n, _prints(table.column("print").combine_chunks()), label, lambda i, j: alike(members(i), members(j)))
+            moved = np.flatnonzero(after != label)
+            if len(moved):
+                yield _edge_batch(node[after[moved]], node[moved])
 
-    return both.mapInArrow(run, "a long, b long")
+    return spread.mapInArrow(run, "a long, b long")
 
 
-def links(nodes: DataFrame) -> DataFrame:
-    """(node, root) of every node (of node, text: a row each) that has a near copy."""
-    names = ["key", "node", "n", "low", "high"]
-    schema = ", ".join(f"{c} long" for c in names)
+def links(named: DataFrame, src: DataFrame, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(node, root) of every node of named that has a near copy; src (doc_id, text, hash) holds the texts."""
+    names = ["key", "node", "n"]
 
     def start(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        # the pairs, under no key, and the long lists for the second step: the whole of the rows is dealt once
-        for rows in _lists(batches):
-            a, b = first_pairs(rows)
-            if len(a):
-                a, b = np.unique(np.stack((a, b), axis=1), axis=0).T.copy()
-            none = pa.nulls(len(a), pa.int64())
-            yield pa.RecordBatch.from_arrays([none, pa.array(a), pa.array(b), none, none], names=names)
+        # the pairs of short lists, under no key, and the rows of long ones: the whole of the rows is dealt once
+        for rows, goes_on in _lists(batches):
+            lead = rows[:2] if goes_on else rows[:0]
+            rows = rows[len(lead) :][_fresh(rows[len(lead) :])]
             _, spot, sizes = np.unique(rows[:, 0], return_inverse=True, return_counts=True)
-            long_rows = rows[sizes[spot] > SHORT_LIST].T.copy()
-            yield pa.RecordBatch.from_arrays([*map(pa.array, long_rows)], names=names)
-
-    def rest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for rows in _lists(batches):
-            for a, b in other_pairs(rows):
-                yield _edge_batch(a, b)
-
-    dealt = _postings(nodes, frequent_shingles(nodes)).repartition("key").sortWithinPartitions("key", "n", "node")
-    first = cut(dealt.mapInArrow(start, schema))
-    pairs = cut(first.where("key is null").select(F.col("node").alias("a"), F.col("n").alias("b")).distinct())
-    edges = cut(verified(pairs, nodes))
-    roots = cut(connected_components(edges, "a", "b"))
-    left = first.where("key is not null").join(roots, "node", "left")
-    left = left.select(*names, F.coalesce("root", "node").alias("root"))
-    left = left.repartition("key").sortWithinPartitions("key", "n", "node")
-    more = cut(left.mapInArrow(rest, "a long, b long").distinct())
-    if more.isEmpty():
-        return roots
-    return connected_components(edges.union(verified(more, nodes)), "a", "b")
+            of_long = sizes[spot] > SHORT_LIST
+            if len(lead):
+                of_long |= rows[:, 0] == lead[0, 0]
+            a, b = short_pairs(rows[~of_long])
+            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.nulls(len(a), pa.int32())], names=names)
+            cols = rows[of_long].T.copy()
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0]), pa.array(cols[1]), pa.array(cols[2].astype(np.int32))], names=names)
+
+    nodes = named.groupBy("node").agg(F.min("hash").alias("hash"), F.min("n").alias("n"), F.min("print").alias("print"))
+    nodes = cut(nodes)
+    dealt = _postings(src, frequent_shingles(src, named.count())).repartition("key").sortWithinPartitions("key", "node")
+    first = cut(dealt.mapInArrow(start, POSTING))
+    pairs = first.where("n is null").select(F.col("key").alias("a"), F.col("node").alias("b")).distinct()
+    lists = first.where("n is not null").select("key", "node").distinct()
+    near = cut(_near_only(pairs, nodes).union(_near_in_lists(lists, nodes, block_rows)).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    groups = cut(connected_components(near, "a", "b"))
+    texts = _texts(groups, nodes, src)
+    found = cut(verified(near.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), texts))
+    roots = cut(connected_components(found, "a", "b"))
+    # groups of two are decided, and so are those that have become one component
+    members = groups.withColumnRenamed("root", "group").join(roots, "node", "left").select("group", "node", F.coalesce("root", "node").alias("root"))
+    members = cut(members)
+    left = members.groupBy("group").agg(F.count("*").alias("size"), F.min("root").alias("one"), F.max("root").alias("other")).where("size > 2 AND one <> other")
+    more = cut(_alike_in_groups(members.join(left.select("group"), "group", "left_semi"), texts, nodes, block_rows))
+    return connected_components(found.union(more), "a", "b")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of docs whose id names its component, one row for each such id; rows without an id stay."""
-    named = cut(_named(docs, False))
-    nodes = cut(_named(docs, True).dropDuplicates(["node"]))
-    found = named.join(links(nodes), "node", "left")
-    kept = found.groupBy(F.coalesce("root", "node")).agg(F.min("doc_id").alias("doc_id")).select("doc_id").distinct()
-    rows = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return rows.select(docs.columns).union(docs.where("doc_id is null"))
+    """docs with one row of each component of near copies."""
+    src = _hashed(docs)
+    named = cut(_named(src))
+    found = named.join(cut(links(named, src)), "node", "left").select("doc_id", "hash", F.coalesce("root", "node").alias("root"))
+    least = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "hash"))
+    rows = found.groupBy("root").agg(least.alias("kept")).select("kept.doc_id", "kept.hash")
+    times = named.groupBy("doc_id", "hash").agg(F.count("*").alias("times"))
+    chosen = cut(times.join(rows.withColumnsRenamed({"doc_id": "_kb_id", "hash": "_kb_hash"}), F.col("doc_id").eqNullSafe(F.col("_kb_id")) & (F.col("hash") == F.col("_kb_hash"))).select("_kb_id", "_kb_hash", "times"))
+    own = F.xxhash64(F.coalesce(docs["text"], F.lit("")))
+    own_row = lambda c: docs["doc_id"].eqNullSafe(c["_kb_id"]) & (own == c["_kb_hash"])
+    once, often = chosen.where("times = 1"), chosen.where("times > 1")
+    single = docs.join(once, own_row(once), "left_semi")
+    if often.isEmpty():
+        return single
+    again = docs.join(often, own_row(often)).dropDuplicates(["_kb_id", "_kb_hash"]).select(*(docs[c] for c in docs.columns))
+    return single.union(again)

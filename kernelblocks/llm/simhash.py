@@ -3,8 +3,11 @@
 A fingerprint has 64 bits; two texts link when 3 bits or fewer differ. Six groups of bits give
 20 keys of three groups each: fingerprints that differ in 3 bits or fewer agree on three groups at
 least, so no link is lost. Equal texts share one fingerprint and are compared once, whatever their
-number. Defined results: null and empty texts have fingerprint zero and link like any other;
-repeated rows give a row each; a null id never becomes a component's name unless all are null.
+number; a bucket with many fingerprints is dealt in blocks. Defined results: null and empty texts have
+fingerprint zero and link like any other; repeated rows give a row each; a bit that half of the
+shingles set stays 0; texts of any length are hashed whole, a slice of shingles at a time; an empty
+table gives no row; other columns don't matter; a null id never becomes a component's name unless all
+are null.
 """
 
 from __future__ import annotations
@@ -21,13 +24,18 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kernelblocks.llm.components import connected_components
+from kernelblocks.llm.hotkeys import in_blocks
 from kernelblocks.llm.runtime import as_long, cut, id_and_text
 
 RADIUS = 3
 GROUP_BITS = (11, 11, 11, 11, 10, 10)
 SLICE = 1 << 17
+#: Hashes whose bits are counted at once for a wide fingerprint.
+WIDE_SLICE = 1 << 12
 #: Lanes are compared in blocks of this many 64-bit words.
 BLOCK_WORDS = 16
+#: Buckets of more fingerprints are compared in pairs of blocks.
+BLOCK_ROWS = 8192
 
 
 def _hashes(words: list[bytes], size: int) -> np.ndarray:
@@ -76,6 +84,23 @@ def fingerprint_texts(texts: list[str | None], size: int = 3) -> np.ndarray:
     return np.packbits(2 * ones > total[:, None], axis=1, bitorder="little").view(np.uint64).reshape(-1)
 
 
+def wide_print(hashes: np.ndarray, words: int = 4) -> np.ndarray:
+    """A fingerprint of words x 64 bits of one run of hashes: the first word is the usual one, the others are of mixed hashes."""
+    ones = np.zeros(64 * words, np.int64)
+    for k in range(0, len(hashes), WIDE_SLICE):
+        part = hashes[k : k + WIDE_SLICE]
+        all_bits = np.empty((len(part), words), np.uint64)
+        for j in range(words):
+            h = part ^ np.uint64(0x9E3779B97F4A7C15 * j & (1 << 64) - 1)
+            if j:
+                h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+                h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+                h ^= h >> np.uint64(31)
+            all_bits[:, j] = h
+        ones += np.unpackbits(all_bits.view(np.uint8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * ones > len(hashes), bitorder="little").view(np.uint64)
+
+
 def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
     """(doc_id, fp): fp is the fingerprint as a signed long."""
     src = id_and_text(docs)
@@ -97,11 +122,14 @@ def key_masks() -> list[int]:
 
 
 def bit_planes(fps: np.ndarray) -> np.ndarray:
-    """64 rows; row b holds bit b of every fingerprint, 64 fingerprints to a word, padded to whole blocks."""
-    n = len(fps)
+    """A row for each bit, which holds it for every fingerprint, 64 fingerprints to a word, padded to whole blocks.
+
+    A fingerprint is one word, or a row of several.
+    """
+    n, size = len(fps), fps.shape[1] if fps.ndim == 2 else 1
     words = -(-max(n, 1) // (64 * BLOCK_WORDS)) * BLOCK_WORDS
-    bits = np.zeros((words * 64, 64), dtype=np.uint8)
-    bits[:n] = np.unpackbits(fps.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+    bits = np.zeros((words * 64, 64 * size), dtype=np.uint8)
+    bits[:n] = np.unpackbits(np.ascontiguousarray(fps).view(np.uint8).reshape(-1, 8 * size), axis=1, bitorder="little")
     return np.packbits(np.ascontiguousarray(bits.T), axis=1, bitorder="little").view(np.uint64)
 
 
@@ -118,43 +146,47 @@ def _slide(row: np.ndarray, by: int) -> np.ndarray:
     return out
 
 
-def near_lanes(planes: np.ndarray, shift: int, alive: np.ndarray, radius: int = RADIUS) -> np.ndarray:
-    """Lanes i of alive whose fingerprint differs from lane i+shift in at most radius (3 or less) bits.
+def near_places(own: np.ndarray, other: np.ndarray, alive: np.ndarray, radius: int) -> np.ndarray:
+    """Lanes of alive where the fingerprints of two sets of planes differ in at most radius bits.
 
-    Two counter planes add the differences of all lanes of a block at once, carries going from one to
-    the next; a lane past 3 sets its overflow bit. A block whose lanes have all overflowed is left.
+    Counter planes add the differences of all lanes of a block at once, carries going from one to the
+    next; they begin so that the lane past the radius is the one that overflows. A block whose lanes
+    have all overflowed is left.
     """
-    words = planes.shape[1]
+    words = own.shape[1]
     packed = np.packbits(alive, bitorder="little")
     over = np.full(words * 8, 255, dtype=np.uint8)
     over[: len(packed)] = ~packed
     over = over.view(np.uint64).reshape(-1, BLOCK_WORDS).copy()
     live = np.flatnonzero((over != ~np.uint64(0)).any(axis=1))
-    slid = _slide(planes, shift).reshape(64, -1, BLOCK_WORDS)
-    own = planes.reshape(64, -1, BLOCK_WORDS)
+    size = len(own)
+    own, other = own.reshape(size, -1, BLOCK_WORDS), other.reshape(size, -1, BLOCK_WORDS)
     state = over[live]
-    ones, twos = np.zeros_like(state), np.zeros_like(state)
-    for b in range(64):
+    wide = radius.bit_length()
+    begin = (1 << wide) - 1 - radius
+    counts = [np.full_like(state, ~np.uint64(0) if begin >> k & 1 else np.uint64(0)) for k in range(wide)]
+    for b in range(size):
         if not len(live):
             break
-        diff = own[b, live] ^ slid[b, live]
-        carry = ones & diff
-        ones ^= diff
-        state |= twos & carry
-        twos ^= carry
-        if b % 8 == 7 or b == 63:
+        carry = own[b, live] ^ other[b, live]
+        for plane in counts:
+            plane ^= carry
+            carry &= ~plane  # the carry goes on where a one became a zero
+        state |= carry
+        if b % 8 == 7:
             keep = (state != ~np.uint64(0)).any(axis=1)
             if not keep.all():
-                live, state, ones, twos = live[keep], state[keep], ones[keep], twos[keep]
-    if radius < 3:
-        state |= twos if radius < 2 else (twos & ones)
-        if radius == 0:
-            state |= ones
+                live, state, counts = live[keep], state[keep], [plane[keep] for plane in counts]
     lanes = np.flatnonzero(np.unpackbits(~state.reshape(-1).view(np.uint8), bitorder="little"))
     per = 64 * BLOCK_WORDS
     return live[lanes // per] * per + lanes % per if len(lanes) else lanes
 
 
+def near_lanes(planes: np.ndarray, shift: int, alive: np.ndarray, radius: int = RADIUS) -> np.ndarray:
+    """Lanes i of alive whose fingerprint differs from lane i+shift in at most radius bits."""
+    return near_places(planes, _slide(planes, shift), alive, radius)
+
+
 def bucket_links(keys: np.ndarray, fps: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Edges that span the near groups inside each run of equal keys: (least of the group, member)."""
     n = len(fps)
@@ -192,8 +224,11 @@ def bucket_links(keys: np.ndarray, fps: np.ndarray) -> tuple[np.ndarray, np.ndar
     return fps[label[moved]], fps[moved]
 
 
-def links(prints: DataFrame, fp: str = "fp") -> DataFrame:
-    """(a, b): edges between different fingerprints that connect all that link."""
+def links(prints: DataFrame, fp: str = "fp", block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(a, b): edges between different fingerprints that connect all that link.
+
+    A bucket of more than block_rows fingerprints is dealt in blocks, a task for each pair of blocks.
+    """
     keys = F.explode(
         F.array(
             *(
@@ -202,21 +237,23 @@ def links(prints: DataFrame, fp: str = "fp") -> DataFrame:
             )
         )
     )
-    rows = prints.select(fp).distinct().select(keys.alias("k"), F.col(fp).alias("fp"))
-    dealt = rows.select("k.t", "k.m", "fp").repartition("t", "m").sortWithinPartitions("t", "m", "fp")
+    rows = prints.select(fp).distinct().select(keys.alias("k"), F.col(fp).alias("fp")).select("k.t", "k.m", "fp")
+    sizes = rows.groupBy("t", "m").agg(F.count("*").alias("n_rows"))
+    order = ["t", "m", "lo", "hi"]
+    dealt = in_blocks(rows, sizes, ["t", "m"], "fp", block_rows).select(*order, "fp").repartition(*order).sortWithinPartitions(*order, "fp")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
 
         def out(rows: np.ndarray) -> pa.RecordBatch:
-            a, b = bucket_links(rows[:, :2], rows[:, 2].copy().view(np.uint64))
+            a, b = bucket_links(rows[:, :4], rows[:, 4].copy().view(np.uint64))
             return pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], names=["a", "b"])
 
         for batch in batches:
             held.append(np.stack([c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns], axis=1))
             if sum(map(len, held)) >= SLICE:
                 rows = np.concatenate(held)
-                last = np.flatnonzero(np.any(rows[:, :2] != rows[-1, :2], axis=1))
+                last = np.flatnonzero(np.any(rows[:, :4] != rows[-1, :4], axis=1))
                 end = int(last[-1]) + 1 if len(last) else 0
                 if end:
                     yield out(rows[:end])
@@ -250,10 +287,3 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """(doc_id, fingerprint, component_id) for every row of docs."""
     found = components(docs)
     return found.select("doc_id", hex_fingerprint(found.fp).alias("fingerprint"), "component_id")
-
-
-def keep_one(docs: DataFrame) -> DataFrame:
-    """The rows of docs whose id names its component, one row for each such id; rows without an id stay."""
-    kept = components(docs).where("doc_id = component_id").select("doc_id").distinct()
-    named = docs.where("doc_id is not null").join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return named.select(docs.columns).union(docs.where("doc_id is null"))

@@ -8,6 +8,7 @@ import time
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
@@ -26,6 +27,7 @@ from kernelblocks.llm import (
     toxicity,
     urlfilter,
 )
+from kernelblocks.llm.components import connected_components
 from kernelblocks.llm.queries import tokenizer_path
 
 DOC = "doc_id long, text string"
@@ -107,8 +109,83 @@ def test_simhash_edges(spark):
     assert len(got) == 8 and by[5]["fingerprint"] == "0" * 16 and by[5]["component_id"] == 3 == by[4]["component_id"]
     assert by[2]["component_id"] == 1 == by[1]["component_id"] and by[9]["component_id"] == 9
     assert simhash.near_duplicates(spark.createDataFrame([], DOC)).count() == 0
-    kept = simhash.keep_one(spark.createDataFrame(rows, DOC).withColumn("fp", F.lit(1)).withColumn("component_id", F.lit(2)))
-    assert sorted(r["doc_id"] for r in kept.collect()) == [1, 3, 7, 9] and kept.columns == ["doc_id", "text", "fp", "component_id"]
+
+
+def test_near_copies_edges(spark):
+    rows = [(5, None), (4, ""), (3, " \t"), (2, "One Two"), (1, "one two"), (9, "x"), (9, "x"), (7, "é É " * 5000)]
+    src = spark.createDataFrame(rows, DOC).withColumn("fp", F.lit(1)).withColumn("root", F.lit(2)).withColumn("hash", F.lit("a"))
+    kept = nearcopies.keep_one(src)
+    assert sorted(r["doc_id"] for r in kept.collect()) == [1, 3, 7, 9] and kept.columns == src.columns
+    # unlike texts of one id stay, copies without an id are one, and an id comes before none
+    rows = [(1, "a b c"), (1, "d e f"), (None, "u v w"), (None, "u v w"), (None, "d e f"), (None, "y z")]
+    kept = nearcopies.keep_one(spark.createDataFrame(rows, DOC)).collect()
+    assert sorted((r["doc_id"] or 0, r["text"]) for r in kept) == [(0, "u v w"), (0, "y z"), (1, "a b c"), (1, "d e f")]
+    assert nearcopies.keep_one(spark.createDataFrame([], DOC)).count() == 0
+
+
+def test_wide_radius_and_split_buckets(spark):
+    rng = np.random.default_rng(6)
+    base = rng.integers(0, 2**64, 5, dtype=np.uint64)
+    fps = np.array([int(base[k % 5]) ^ sum(1 << int(b) for b in set(rng.integers(0, 64, k % 40))) for k in range(700)], np.uint64)
+    planes = simhash.bit_planes(fps)
+    for radius in (0, 1, 2, 3, 7, 8, 26, 40):
+        for shift in (1, 5, 64, 333):
+            alive = np.arange(700) + shift < 700
+            got = simhash.near_lanes(planes, shift, alive, radius).tolist()
+            assert got == [i for i in range(700 - shift) if int(fps[i] ^ fps[i + shift]).bit_count() <= radius]
+    wide = rng.integers(0, 2**64, (300, 4), dtype=np.uint64)
+    wide[150:] = wide[:150] ^ (rng.random((150, 4, 64)) < 0.3).dot(1 << np.arange(64, dtype=object)).astype(np.uint64)
+    planes = simhash.bit_planes(wide)
+    for radius in (60, 84, 128):
+        got = simhash.near_lanes(planes, 150, np.arange(300) < 150, radius).tolist()
+        assert got == [i for i in range(150) if int(np.bitwise_count(wide[i] ^ wide[i + 150]).sum()) <= radius]
+    few = np.unique(np.array([int(base[0]) ^ (1 << int(a)) ^ (1 << int(b)) for a, b in rng.integers(0, 20, (300, 2))], np.uint64))
+    prints = spark.createDataFrame([(int(f),) for f in few.view(np.int64)], "fp long")
+    names = few.view(np.int64).tolist()
+    want = slow_components(names, few.tolist())
+    for size in (7, 8192):
+        got = {r["node"]: r["root"] for r in connected_components(simhash.links(prints, block_rows=size), "a", "b").collect()}
+        assert {n: got.get(n, n) for n in names} == want
+
+
+def test_wide_fingerprints_of_alike_sets_lie_within_the_radius():
+    rng = np.random.default_rng(7)
+    for n in (5, 9, 20, 100, 500):
+        for _ in range(60):
+            h = rng.integers(0, 2**64, n + n // 4 + 1, dtype=np.uint64)
+            rest = n - -(-4 * n // 5)  # as many as may differ
+            one, two = simhash.wide_print(h[: n - rest]), simhash.wide_print(h[:n])
+            assert int(np.bitwise_count(one ^ two).sum()) <= nearcopies.RADIUS
+            assert one[0] == np.packbits(2 * simhash._ones(h[: n - rest], np.zeros(1, np.int64))[0] > n - rest, bitorder="little").view(np.uint64)[0]
+
+
+def test_near_copies_of_large_groups_are_found_in_pieces(spark, monkeypatch):
+    rng = random.Random(9)
+    words = [f"w{k}" for k in range(90)]
+    texts = [" ".join([*words[:44], f"z{k}", *words[45:]]) for k in range(60)]  # one group
+    texts += [" ".join(words[:30] + [f"y{rng.randrange(10**6)}" for _ in range(60)]) for _ in range(40)]  # a shared passage, no copies
+    monkeypatch.setattr(nearcopies, "FREQUENT", 10**6)  # the passage stays in the keys
+    monkeypatch.setattr(nearcopies, "SLICE", 64)  # lists come in pieces
+    rows = [r for rows, _ in [next(nearcopies._lists(iter([pa.record_batch([pa.array([7] * 100), pa.array(range(100))], names=["k", "n"])])))] for r in rows]
+    assert len(rows) == 100
+    sets = [set(nearcopies.shingle_set(t).tolist()) for t in texts]
+    label = slow_groups(sets)
+    src = nearcopies._hashed(spark.createDataFrame(list(enumerate(texts)), DOC))
+    named = nearcopies._named(src).persist()
+    roots = {r["node"]: r["root"] for r in nearcopies.links(named, src, block_rows=8).collect()}
+    nodes = {r["doc_id"]: r["node"] for r in named.collect()}
+    found = [roots.get(nodes[k], nodes[k]) for k in range(len(texts))]
+    assert [found.index(f) for f in found] == label
+
+
+def slow_groups(sets):
+    """For each set the place of the first that it reaches by steps of Jaccard 0.8 or more."""
+    near = [[j for j, b in enumerate(sets) if a == b or len(a & b) >= 0.8 * len(a | b)] for a in sets]
+    label, moved = list(range(len(sets))), True
+    while moved:
+        new = [min(label[j] for j in row) for row in near]
+        moved, label = new != label, new
+    return label
 
 
 def test_near_copies_lose_no_pair_of_jaccard_above_the_bound(spark, monkeypatch):
@@ -124,19 +201,9 @@ def test_near_copies_lose_no_pair_of_jaccard_above_the_bound(spark, monkeypatch)
                 own[rng.randrange(len(own))] = f"x{rng.randrange(10**6)}"
             texts.append(" ".join(own))
     texts += ["", None, "one two", "One  Two"] + [common + f" t{k}" for k in range(12)]
-    sets = [set(nearcopies.shingle_set(t).tolist()) for t in texts]
-
-    def near(a, b):
-        return a == b or len(a & b) >= 0.8 * len(a | b)
-
-    label = list(range(len(texts)))
-    for _ in texts:
-        for i in range(len(texts)):
-            label[i] = min(label[j] for j in range(len(texts)) if near(sets[i], sets[j]))
+    label = slow_groups([set(nearcopies.shingle_set(t).tolist()) for t in texts])
     kept = nearcopies.keep_one(spark.createDataFrame(list(enumerate(texts)), DOC).repartition(5))
     assert sorted(r["doc_id"] for r in kept.collect()) == [i for i, k in enumerate(label) if i == k]
-    # op6's setting leaves some of them
-    assert simhash.keep_one(spark.createDataFrame(list(enumerate(texts)), DOC)).count() > len(set(label))
 
 
 # --- secrets
@@ -371,6 +438,78 @@ def test_wrapped_notices_are_found(spark):
     assert len(licensescan.licences(spark.createDataFrame(twice, DOC)).collect()) == 2 * sum(r["doc_id"] == 0 for r in got)
 
 
+def slow_findings(text, model):
+    """Every run of lines judged by itself, and the best kept one after the other."""
+    lines, at, out = text.split("\n"), 0, []
+    starts = []
+    for x in lines:
+        starts.append(at)
+        at += len(x) + 1
+    spot = {g: i for i, g in enumerate(model.vocabulary)}
+    for i in range(len(lines)):
+        for size in range(1, licensescan.WINDOW_LINES + 1):
+            part = lines[i : i + size]
+            body = " ".join(part)
+            if len(part) < size or any(not x.strip() for x in part) or not re.search(licensescan.CUES, body):
+                continue
+            own = licensescan.grams(body)
+            z = (model.bias + sum(model.weights[spot[g]] for g in own if g in spot)) / model.temperature
+            top = int(np.argmax(z))
+            p = 1 / np.exp(z - z[top]).sum()
+            if top == len(model.classes) - 1 or p < licensescan.LEAST_PROBABILITY:
+                continue
+            share = 0.0
+            for t in licensescan.TEMPLATES[model.classes[top]]:
+                pairs = [g for g in licensescan.grams(t) if " " in g] or licensescan.grams(t)
+                share = max(share, len(set(pairs) & set(own)) / len(pairs))
+            if share >= licensescan.LEAST_SHARE:
+                out.append((-share, size, i, starts[i], starts[i + size - 1] + len(part[-1]), model.classes[top], round(float(p), 6)))
+    kept = []
+    for f in sorted(out):
+        if all(f[4] <= k[3] or k[4] <= f[3] for k in kept):
+            kept.append(f)
+    return sorted((f[2], f[3], f[4], f[5], f[6], round(-f[0], 9)) for f in kept)
+
+
+def test_findings_equal_a_judgement_of_every_run_of_lines(spark, docs):
+    rng = random.Random(21)
+    notices = [t for texts in (*licensescan.TEMPLATES.values(), *licensescan.NOTICES.values(), licensescan.UNLICENSED) for t in texts]
+    texts = [r["text"] for r in docs.where("text rlike '(?i)licen|copyright|permission'").limit(60).collect()]
+    for _ in range(60):
+        parts = []
+        for _ in range(rng.randrange(1, 9)):
+            t = rng.choice(notices)
+            parts.append("\n".join(textwrap.wrap(t, rng.choice((24, 40, 72, 500)))) if rng.random() < 0.8 else rng.choice(("", " ", "plain words here", "in the public\n# domain", "cc\nby 4.0")))
+        texts.append("\n".join(parts))
+    model = licensescan.LicenceModel(licensescan.built_in_samples())
+    assert licensescan.LicenceModel.TEMPERATURES[0] < model.temperature < licensescan.LicenceModel.TEMPERATURES[-1]
+    assert model.held_out_accuracy > 0.5 and 0 < model.held_out_unknown < 0.6  # whole notices unseen
+    columns = "paragraph", "start", "stop", "family", "probability", "share"
+    got = {}
+    clash = spark.createDataFrame(list(enumerate(texts)), DOC).withColumn("body", F.lit("x")).withColumn("row", F.lit(1)).withColumn("share", F.lit(1))
+    for r in licensescan.licences(clash).collect():
+        got.setdefault(r["doc_id"], []).append((*(r[c] for c in columns[:4]), round(r["probability"], 6), round(r["share"], 9)))
+    for k, t in enumerate(texts):
+        assert sorted(got.get(k, [])) == slow_findings(t, model), t
+    assert sum(map(len, got.values())) > 60
+
+
+def test_licences_of_long_texts_of_new_families_and_of_none(spark, monkeypatch):
+    text = "\n".join(f"line {i} is licensed under the MIT License of {i * 7919 % 1000}" for i in range(12_000))
+    src = spark.createDataFrame([(1, text), (2, "Licensed under the MIT license."), (2, "Licensed under the MIT license.")], DOC)
+    began = time.perf_counter()
+    assert licensescan.licences(src).count() == 12_002 and time.perf_counter() - began < 120
+    assert licensescan.licences(src.limit(0)).count() == 0
+    monkeypatch.setattr(licensescan, "BROADCAST_BYTES", 0)  # the salted join
+    assert licensescan.licences(src.where("doc_id = 2")).count() == 2
+    own = "Covered by the Quux Community License, second edition."
+    samples = [*licensescan.built_in_samples(), *((f"{a}{own}{b}", "QUUX") for a, b in licensescan.DRESSING)]
+    got = licensescan.licences(spark.createDataFrame([(1, f"head\n{own}\nend")], DOC), samples).collect()
+    assert [(r["family"], r["paragraph"]) for r in got] == [("QUUX", 1)]
+    with pytest.raises(ValueError, match="no cue"):
+        licensescan.licences(src, [("Gratis for all.", "FREE"), ("Something else.", licensescan.UNKNOWN)])
+
+
 # --- packing
 
 
@@ -419,6 +558,21 @@ def test_very_long_white_space_is_packed(spark):
         assert sum(r["length"] for r in got if r["doc_id"] == i) == len(exact.encode(text).ids) + 1
 
 
+@pytest.mark.parametrize("width", [1, 3, 16, 128, 200, 1000, 4096])
+def test_packing_at_any_width(spark, width):
+    texts = ["word " * 900, None, "x" * 3000, "One. Two. Three."]
+    got = packing.pack(spark.createDataFrame(list(enumerate(texts)), DOC).coalesce(1), tokenizer_path(), width).collect()
+    ids, *_ = packing.encoder(tokenizer_path())
+    size: dict[int, int] = {}
+    for r in got:
+        size[r["sequence_id"]] = size.get(r["sequence_id"], 0) + r["length"]
+    assert max(size.values()) <= width
+    for k, t in enumerate(texts):
+        pieces = sorted((r["start"], r["length"]) for r in got if r["doc_id"] == k)
+        assert [a for a, _ in pieces] == [sum(n for _, n in pieces[:i]) for i in range(len(pieces))]
+        assert sum(n for _, n in pieces) == len(ids(t or "")) + 1
+
+
 def test_cuts_are_the_best_ones():
     r = random.Random(2)
     for _ in range(40):
@@ -614,17 +768,130 @@ def test_slots_must_agree():
     index = decontamination.Index([(1, "x. " + item)])
     same = item.replace("Anna", "Clara").replace("Berta", "Doris")
     mixed = "when Clara gave Doris her old coat then Doris went home but Emma stayed and so Frida cried while Gerda laughed"
-    assert index.matches("y. " + same, 0.5) and not index.matches("y. " + mixed, 0.8)
-
-
-def test_blocks_of_items_find_the_same(spark, docs, sf, monkeypatch):
+    assert index.matches("y. " + same, 0.5) and not index.matches("y. " + mixed, 0.5)
+    turned = item.replace("Anna", "X1").replace("Berta", "Anna").replace("X1", "Berta")
+    assert index.matches("y. " + turned, 0.5)
+
+
+def slow_windows(text, size):
+    """{what a window may be read as: its places}, and for each place whether it is a template, with and without names at starts."""
+    word, kind, either = (x.tolist() for x in decontamination.readings(text))
+    turns, seen = [], 0
+    for e in either:
+        seen += e
+        turns.append(seen % 2)
+    out, rich, plain = {}, [], []
+    for i in range(len(word) - size + 1):
+        span = range(i, i + size)
+
+        def read(as_word, span=span):
+            shown = [("kind", kind[k]) if kind[k] and not as_word(k) else ("word", word[k]) for k in span]
+            return tuple(shown) if sum(w == "word" for w, _ in shown) >= min(3, size) else None
+
+        starts = sum(either[k] for k in span)
+        ways = [read(lambda k: False)]
+        rich.append(ways[0] is not None)
+        if ways[0] is None:
+            ways.append(("as it is", *(word[k] for k in span)))
+        free = read(lambda k: either[k])
+        plain.append(free is not None)
+        if starts:
+            ways.append(free)
+        if starts > 1:
+            ways += [read(lambda k: either[k] and turns[k] == 0), read(lambda k: either[k] and turns[k] == 1)]
+        for w in ways:
+            if w is not None:
+                out.setdefault(w, []).append(i)
+    return word, kind, out, rich, plain
+
+
+def slow_match(item, text, coverage=0.5):
+    size = min(5, len(decontamination.readings(item)[0]))
+    if not size or len(decontamination.readings(text)[0]) < size:
+        return None
+    word, kind, own, rich, plain = slow_windows(item, size)
+    other, _, there, _, _ = slow_windows(text, size)
+    pairs = sorted({(p, q) for w, places in own.items() for q in places for p in there.get(w, [])}, key=lambda x: (x[0] - x[1], x[0]))
+
+    def covered(places):
+        shares = [(sum(m[q] for q in places) / sum(m), sum(m[q] for q in places)) for m in (rich, plain, [True] * len(rich)) if any(m)]
+        return max(shares)
+
+    runs, best = [], None
+    for p, q in pairs:
+        if not runs or p - q - (runs[-1][-1][0] - runs[-1][-1][1]) > 2:
+            runs.append([])
+        runs[-1].append((p, q))
+    for run in runs:
+        seen = {(kind[q + k], word[q + k], other[p + k], q + k) for p, q in run for k in range(size) if kind[q + k]}
+        votes = {}
+        for k, x, y, _ in seen:
+            votes[k, x, y] = votes.get((k, x, y), 0) + 1
+        to, back = {}, {}
+        for k, x, y in sorted(votes, key=lambda v: (-votes[v], v)):
+            if (k, x) not in to and (k, y) not in back:
+                to[k, x], back[k, y] = y, x
+        wrong, right = {i for k, x, y, i in seen if to.get((k, x)) != y}, {i for k, x, y, i in seen if to.get((k, x)) == y}
+        if len(wrong) > 1 and 5 * len(wrong) > len(wrong | right):
+            continue
+        kept = {q for p, q in run if all(not kind[q + k] or to.get((kind[q + k], word[q + k])) == other[p + k] for k in range(size))}
+        if kept and (best is None or covered(kept) > best):
+            best = covered(kept)
+    return best if best and best[0] >= coverage else None
+
+
+def test_matches_equal_a_search_of_every_item_in_every_text(spark, monkeypatch):
+    rng = random.Random(12)
+    plain = "the farmer has sold apples and then buys more of them at a market near home where prices fall every day".split()
+    names, units = "Anna Bert Carla Dora Emil Otto Tom".split(), ["kg", "km", "dollars"]
+
+    def sentence():
+        words = []
+        for _ in range(rng.randrange(3, 16)):
+            kind = rng.randrange(8)
+            words.append(str(rng.randrange(30)) + " " + rng.choice(units) if kind == 0 else rng.choice(names) if kind == 1 else str(rng.randrange(9)) if kind == 2 else rng.choice(plain))
+        return " ".join(words) + rng.choice((".", "?", ""))
+
+    items = [" ".join(sentence() for _ in range(rng.randrange(1, 4))) for _ in range(40)] + ["two words", "", None, "7 8 9 10 11 12"]
+    items += [items[0], items[1]]  # windows that several items share
+    texts = ["", None, "7 8 9 10 11 12"]
+    for _ in range(160):
+        text = rng.choice(items) or ""
+        swap = dict(zip(names, rng.sample(names, len(names)), strict=True))
+        changed = [swap.get(w, w) if rng.random() < 0.95 else rng.choice(plain + names) for w in text.split()]
+        changed = [str(rng.randrange(30)) if w.isdigit() and rng.random() < 0.3 else w for w in changed]
+        texts.append(" ".join([sentence(), " ".join(changed), sentence()]))
+    index = decontamination.Index(list(enumerate(items)))
+    want = {}
+    for d, t in enumerate(texts):
+        for k, item in enumerate(items):
+            m = slow_match(item or "", t or "")
+            if m:
+                want[d, k] = (m[1], m[0])
+    got = {(d, m[0]): (m[1], m[2]) for d, t in enumerate(texts) for m in index.matches(t, 0.5)}
+    assert got == want and len(want) > 60
+    src, bench = spark.createDataFrame(list(enumerate(texts)), DOC), spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    whole = sorted(map(tuple, decontamination.contaminated(src, bench).collect()))
+    assert {(r[0], r[1]): (r[2], r[3]) for r in whole} == want
+    left = sorted(r["doc_id"] for r in decontamination.drop_contaminated(src, bench).collect())
+    monkeypatch.setattr(decontamination, "BLOCK_WINDOWS", 10)
+    monkeypatch.setattr(decontamination, "FILTER_BITS", 1 << 12)  # false positives fall away in the join
+    twice = src.union(src.where("doc_id < 9"))
+    assert sorted(map(tuple, decontamination.contaminated(twice, bench).collect())) == sorted(whole + [r for r in whole if r[0] < 9])
+    assert sorted(r["doc_id"] for r in decontamination.drop_contaminated(src, bench).collect()) == left
+    assert left == [d for d in range(len(texts)) if d not in {k for k, _ in want}]
+
+
+def test_a_distributed_benchmark_finds_the_same(spark, docs, sf, monkeypatch):
     bench = spark.read.parquet(f"{sf}/benchmark.parquet")
     whole = sorted(map(tuple, decontamination.contaminated(docs, bench).collect()))
     plain = {(d["doc_id"], b["item_id"]) for d in docs.collect() for b in bench.collect() if b["text"] in d["text"]}
     assert {r[:2] for r in whole} >= plain and len(plain) > 0
-    assert sum(1 for _ in decontamination.item_blocks(bench, 200)) > 3
-    monkeypatch.setattr(decontamination.item_blocks, "__defaults__", (500,))
-    assert sorted(map(tuple, decontamination.contaminated(docs, bench).collect())) == whole
+    monkeypatch.setattr(decontamination, "BLOCK_WINDOWS", 100)
+    assert sorted(map(tuple, decontamination.contaminated(docs, bench.union(bench.limit(1))).collect())) == sorted(
+        whole + [r for r in whole if r[1] == bench.first()["item_id"]]
+    )
+    assert decontamination.contaminated(docs.limit(0), bench).count() == 0
 
 
 # --- URLs
@@ -719,6 +986,25 @@ def test_lattice_edges(spark):
     assert lattice.near_vectors(src.limit(0)).count() == 0
 
 
+def test_lattice_repeated_ids_and_pieces(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    base = rng.standard_normal(24)
+    near = [(base + 0.02 * rng.standard_normal(24)).tolist() for _ in range(30)]
+    far = rng.standard_normal((5, 24)).tolist()
+    rows = [(k, v) for k, v in enumerate(near)] + [(k, near[0]) for k in (3, 3, None)] + [(100 + k, v) for k, v in enumerate(far)]
+    monkeypatch.setattr(lattice, "TILE", 4)
+    got = lattice.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3), block_rows=9).collect()
+    assert len(got) == len(rows)
+    assert all(r["n_links"] == 32 and r["component_id"] == 0 for r in got if r["vec_id"] is None or r["vec_id"] < 100)
+    assert all(r["n_links"] == 0 and r["kept"] for r in got if r["vec_id"] is not None and r["vec_id"] >= 100)
+    cells = spark.createDataFrame([(c, k, 0) for k, c in enumerate([1, 2, 2, 3, 4, 4, 4, 4, 5])], "cell long, rep long, at int").coalesce(1)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "2")
+    try:
+        assert [r["rep"] for r in lattice._shared(cells).collect()] == [1, 2, 4, 5, 6, 7]
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
 # --- components and the pipeline
 
 
@@ -746,8 +1032,9 @@ def test_pipeline_stages(spark, sf, docs, labels):
             bad = {r["doc_id"] for r in labels.where("quality = 0").collect()}
             assert len(bad & left) <= 0.1 * len(bad) + 1
         elif name == "near_copies":
-            groups = local(simhash.near_duplicates(before))
-            assert left == {k for k, r in groups.items() if r["component_id"] == k}
+            rows = sorted((r["doc_id"], r["text"]) for r in before.collect())
+            label = slow_groups([set(nearcopies.shingle_set(t).tolist()) for _, t in rows])
+            assert left == {rows[k][0] for k in set(label)}
         elif name == "leaks":
             leaked = {r["doc_id"] for r in decontamination.contaminated(before, spark.read.parquet(f"{sf}/benchmark.parquet")).collect()}
             assert left == ids - leaked
@@ -771,4 +1058,6 @@ def test_pipeline_on_odd_tables(spark, tmp_path, sf):
         for _, stage in cp.STAGES[1:-1]:
             now = stage(spark, now, sf).checkpoint()
         assert now.columns == odd.columns
-        assert cp.STAGES[-1][1](spark, now, sf).select("doc_id").distinct().count() == (3 if n else 0)
+        assert cp.STAGES[-1][1](spark, now, sf).select("doc_id").distinct().count() == n
+        first = cp.STAGES[0][1](spark, part, sf)
+        assert first.columns == odd.columns and first.count() <= part.count()
