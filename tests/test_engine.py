@@ -117,6 +117,56 @@ def test_a_block_spread_over_tasks_takes_the_same_path(spark, xor, options, dire
         assert {r for _, r, step, _ in b.profile if step == "tiles"} == {0, 1, 2}
 
 
+@pytest.mark.parametrize("options", [{}, {"loss": "absolute", "reg": "lasso"}, {"consensus": "join"}, {"consensus": "join", "block_fraction": 0.5}])
+def test_a_large_block_is_spread_by_itself(spark, xor, options, monkeypatch):
+    from kernelblocks.admm import engine
+
+    kw = {"rows": 2, "iters": 4, "checkpoint_every": 2} | options
+    a = solve(xor, FMAP, **kw).model.matrix
+    monkeypatch.setattr(engine, "pack", None)  # a block in one row
+    monkeypatch.setattr(engine, "BLOCK_BYTES", 0)
+    monkeypatch.setattr(engine, "TILE_BYTES", 8 * 64 * 70)
+    run = solve(xor, FMAP, **kw)
+    assert np.abs(a - run.model.matrix).max() < 1e-10
+    if "consensus" not in options:
+        steps = {step for _, r, step, _ in run.profile if r >= 0}
+        assert {"transform", "factor", "prox", "projection", "sums", "round"} <= steps
+    few = solve(xor, FMAP, "hinge", rows=2, iters=1)
+    assert few.config.n == xor.count()
+
+
+def test_rows_alike_count_as_often_as_they_are(spark, xor, monkeypatch):
+    from kernelblocks.admm import engine
+
+    ex = xor.withColumn("x", F.transform("x", lambda v: F.round(v / 8))).unionAll(xor)
+    a = solve(ex, FMAP, "absolute", rows=3, iters=5).model.matrix
+    monkeypatch.setattr(engine, "BLOCK_BYTES", 0)
+    for tasks in (0, 1):
+        assert np.abs(a - solve(ex, FMAP, "absolute", rows=3, iters=5, block_tasks=tasks).model.matrix).max() < 1e-10
+
+
+def test_tiles_hold_every_row_once(spark, xor):
+    from kernelblocks.plans.blocks import loosened, pack_tiles
+
+    wide = xor.withColumn("x", F.transform("x", lambda v: F.round(v / 8))).union(xor)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "50")
+    try:
+        tiles = pack_tiles(wide.repartition(3), 2, 16, 2).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert max(t["n"] for t in tiles) <= 16 and len({t["tile"] for t in tiles}) == len(tiles)
+    assert {t["slot"] // 2 == t["row_block"] for t in tiles} == {True}
+    got = []
+    for t in tiles:
+        rows = np.hstack((unpack_batch(loosened(bytes(t["x"])), t["d"]), np.frombuffer(loosened(bytes(t["y"]))).reshape(t["n"], -1)))
+        counts = np.frombuffer(loosened(bytes(t["counts"]))) if t["counts"] is not None else np.ones(t["n"])
+        got.append(np.repeat(rows, counts.astype(int), axis=0))
+    got = np.vstack(got)
+    assert any(t["counts"] is not None for t in tiles)
+    want = np.array([[*r["x"], *r["y"]] for r in wide.collect()])
+    assert np.array_equal(got[np.lexsort(got.T)], want[np.lexsort(want.T)])
+
+
 def test_even_blocks_differ_by_one_row(spark, xor):
     from kernelblocks.plans.blocks import even_blocks
 
