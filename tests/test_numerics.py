@@ -184,3 +184,24 @@ def test_memory_model_gives_the_printed_numbers():
 def test_identity_map_cuts_the_inputs():
     x = R.standard_normal((4, 5))
     assert np.array_equal(identity_map(5, 2).features(x), x)
+
+
+def test_kernel_work_goes_by_pairs_of_blocks(spark):
+    rng = np.random.default_rng(3)
+    x = np.round(rng.normal(size=(90, 3)), 1)
+    df = spark.createDataFrame([(int(i), [float(v) for v in r]) for i, r in enumerate(x)], "row_id long, x array<double>")
+    k, fmap = kernels.make("gaussian", sigma=1.0), FourierMap(3, 16, 2, 1)
+    full = k(x, x)
+    got = {(r["i"], r["j"]): r["k"] for r in kernels.gram(df, k, 20).collect()}
+    assert len(got) == 90 * 91 // 2 and max(abs(v - full[i, j]) for (i, j), v in got.items()) < 1e-12
+    gap = np.abs(fmap.features(x) @ fmap.features(x).T - full)[np.triu_indices(90)]
+    rows = kernels.gaps(df, k, fmap.features, 20).collect()
+    assert sum(r["pairs"] for r in rows) == gap.size and abs(max(r["most"] for r in rows) - gap.max()) < 1e-12
+    assert abs(sum(r["total"] for r in rows) - gap.sum()) < 1e-9
+    sums = {r["row_id"]: r["score"] for r in kernels.weighted_sums(df, k, lambda ids: ids * 0.5, 20).collect()}
+    assert max(abs(v - full[i] @ (np.arange(90) * 0.5)) for i, v in sums.items()) < 1e-9 and len(sums) == 90
+    near = {}
+    for r in kernels.nearest(df, k, 3, block_rows=20).collect():
+        near.setdefault(r["i"], []).append((-r["k"], r["j"]))
+    for i in range(90):
+        assert sorted(near[i])[:3] == sorted((-round(float(full[i, j]), 6) + 0.0, j) for j in range(90) if j != i)[:3]
