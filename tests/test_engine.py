@@ -9,6 +9,7 @@ from kernelblocks.admm.engine import Model, _round, objective, predict, solve
 from kernelblocks.admm.step import Root, SolverConfig, solve_local
 from kernelblocks.baselines.linear import average_ensemble, materialized_linear
 from kernelblocks.baselines.ridge import exact_ridge, feature_ridge, linear_ridge, local_rows, predict_dual, rkhs_norm
+from kernelblocks.baselines.svm import working_set_smo as working
 from kernelblocks.baselines.svm import incomplete_cholesky, interior_point_svm, lowrank_svm, smo, smo_svm
 from kernelblocks.functions import kernels
 from kernelblocks.functions.featuremaps import FourierMap
@@ -268,6 +269,23 @@ def test_support_vector_machines_agree(spark, xor):
     assert min(acc) > 0.9 and abs(acc[0] - acc[1]) < 0.03
 
 
+def test_exact_machines_take_any_number_of_rows(spark, xor, monkeypatch):
+    from kernelblocks.baselines import ridge, svm
+
+    k = kernels.make("gaussian", sigma=1.0)
+    a = exact_ridge(xor, k, 1e-3)
+    monkeypatch.setattr(ridge, "MAX_DIRECT_ROWS", 10)
+    monkeypatch.setattr(ridge, "STRIP_CELLS", 5000)
+    b = exact_ridge(xor, k, 1e-3)
+    assert 0 < b.rounds < 30 and np.abs(a.alpha - b.alpha).max() < 1e-6
+    few = smo_svm(xor, k, 1e-3, 1e-5)
+    monkeypatch.setattr(svm, "PAIR_ROWS", 10)
+    monkeypatch.setattr(svm, "working_set_smo", lambda *v, **kw: working(*v, **kw, size=32))
+    many = smo_svm(xor, k, 1e-3, 1e-5)
+    x = local_rows(xor, None)[1]
+    assert np.abs(few.decide(x) - many.decide(x)).max() < 1e-3 and abs(few.n_support - many.n_support) <= 3
+
+
 def test_interior_point_where_the_rows_lie(spark, xor, monkeypatch):
     from kernelblocks.baselines import svm
 
