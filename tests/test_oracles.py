@@ -148,3 +148,10 @@ def test_small_measures_and_node_memory(spark):
     for threads in (1, 6):
         node = memory_model_node(10_000, 10, 50, 4000, 20, 4, threads)
         assert abs(node["total"] - memory_model(10_000, 10, 50, 4000, 20, 4, 4, threads)["total"]) < 1e-6
+
+
+@pytest.mark.parametrize("name, source", [("block_bounds", "embedding:array<float>"), ("portable_normals", "c_custkey")])
+def test_made_rows_come_from_a_table(spark, sf, name, source):
+    got = QUERIES[name](spark, sf)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert any("ReadSchema" in line and source in line for line in plan.splitlines())
