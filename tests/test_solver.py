@@ -104,3 +104,20 @@ def test_zero_rounds_and_state_shapes():
 def test_memory_of_the_state_has_no_output_for_each_column():
     _, states, _ = run(2, 4, 2)
     assert not states[0].own and not states[0].own_bar
+
+
+@pytest.mark.parametrize("variant", [{}, {"layout": "explicit"}, {"tile_rows": 700}])
+def test_the_models_step_keeps_the_rounds_of_many_rows(variant):
+    """With the step of the outputs alone 100 times as many rows stand far off after as many rounds."""
+    x = np.tile(X[:, :2], (100, 1))
+    y = np.sign(x[:, :1] * x[:, 1:])
+    f, n = FourierMap(2, 2, 2, 3, sigma=1.0, generator="portable"), len(x)
+    z = f.features(x)
+    want = np.linalg.solve(z.T @ z + n * 1e-3 * np.eye(2), z.T @ y)
+
+    def far(rho, **kw):
+        root, _ = solve_local(list(np.array_split(x, 2)), list(np.array_split(y, 2)), SolverConfig(f, "squared", "ridge", 1e-3, rho / n, n, 1, 2, **kw), 120)
+        return np.linalg.norm(np.vstack(root.w_bar) - want) / np.linalg.norm(want)
+
+    assert far(3.0, weight_pull=n / 10, **variant) < 1e-7
+    assert min(far(3.0, **variant), far(10.0, **variant)) > 1e-5
