@@ -50,6 +50,8 @@ BLOCK_WINDOWS = 400_000
 #: Bits of the filter of a larger benchmark's keys, and copies of each key.
 FILTER_BITS, SALTS = 1 << 27, 8
 CACHE_WORDS = 400_000
+#: Texts of so many signs together are looked up at once, with a word between them that ends a sentence.
+CHUNK_SIGNS, BETWEEN = 1 << 17, "\0."
 #: Units of measure (fixed values).
 UNITS = frozenset(
     "mm cm m km in ft yd mi mg g kg lb oz ml l s sec second seconds min minute minutes h hr hour hours day days "
@@ -123,11 +125,24 @@ _words = _Words()
 
 def readings(text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(code of each word, kind of its placeholder or 0, whether it may be an ordinary word as well)."""
-    tokens = (text or "").split()
+    return _read(_coded((text or "").split())[0])[:3]
+
+
+def _coded(tokens: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(records of the words, which of tokens each comes from); a unit glued to its number becomes a word."""
     codes = np.fromiter(map(_words.__getitem__, tokens), np.int64, len(tokens))
-    if (codes & GLUE).any():
-        tokens = [part for w in tokens for part in _parted(w)]
-        codes = np.fromiter(map(_words.__getitem__, tokens), np.int64, len(tokens))
+    source = np.arange(len(tokens))
+    glued = np.flatnonzero(codes & GLUE)
+    if len(glued):
+        parts = [tuple(map(_words.__getitem__, _parted(tokens[k]))) for k in glued.tolist()]
+        codes[glued] = [a for a, _ in parts]
+        codes = np.insert(codes, glued + 1, [b for _, b in parts])
+        source = np.insert(source, glued + 1, glued)
+    return codes, source
+
+
+def _read(codes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """readings of packed records, and which of them are words."""
     word = codes.view(np.uint64) >> np.uint64(FLAG_BITS)
     flags = codes & ((1 << FLAG_BITS) - 1)
     real = word != 0
@@ -143,7 +158,7 @@ def readings(text: str | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     unit = ((flags & UNIT) > 0) & np.concatenate(([False], number[:-1])) if len(word) else number
     name = ((flags & CAP) > 0) & ~unit & ~number
     kind = np.where(number, NUM, np.where(unit, UNIT, np.where(name, CAP, 0)))
-    return word, kind, name & stops
+    return word, kind, name & stops, real
 
 
 def _template(word: np.ndarray, kind: np.ndarray) -> np.ndarray:
@@ -154,18 +169,27 @@ def _template(word: np.ndarray, kind: np.ndarray) -> np.ndarray:
 
 
 def _hashed(row: np.ndarray, size: int) -> np.ndarray:
+    return _hashed_at(row, None, size)
+
+
+def _hashed_at(row: np.ndarray, at: np.ndarray | None, size: int) -> np.ndarray:
+    """Hashes of the windows that begin at the given places, or of all."""
     count = len(row) - size + 1
-    h = np.full(count, np.uint64(size))
+    h = np.full(count if at is None else len(at), np.uint64(size))
     for k in range(size):
-        h = (h ^ row[k : k + count]) * _HASH_STEP
+        h ^= row[k : k + count] if at is None else row[at + k]
+        h *= _HASH_STEP
         h ^= h >> np.uint64(29)
     return h
 
 
 def _within(marks: np.ndarray, size: int) -> np.ndarray:
     """How many marks each window holds."""
-    sums = np.concatenate(([0], np.cumsum(marks)))
-    return sums[size:] - sums[:-size]
+    count, ones = len(marks) - size + 1, marks.view(np.uint8)
+    sums = ones[:count].copy()
+    for k in range(1, size):
+        sums += ones[k : k + count]
+    return sums
 
 
 def windows(
@@ -181,7 +205,7 @@ def windows(
     plain = rich
     if not rich.all():
         poor = np.flatnonzero(~rich)
-        hashes.append(~_hashed(word, size)[poor])
+        hashes.append(~_hashed_at(word, poor, size))
         places.append(poor)
     if either.any():
         held = _within(either, size)
@@ -193,7 +217,7 @@ def windows(
                 plain = good
             at = np.flatnonzero(good & (held >= least))
             if len(at):
-                hashes.append(_hashed(_template(word, other), size)[at])
+                hashes.append(_hashed_at(_template(word, other), at, size))
                 places.append(at)
     return np.concatenate(hashes), np.concatenate(places), rich, plain
 
@@ -320,10 +344,47 @@ class Index:
         order = np.argsort(hashes, kind="stable")
         self.hash = hashes[order]
         self.owner = np.repeat(np.arange(len(keys)), [len(k) for k in keys])[order]
+        #: whether a key ends in these bits
+        self.mask = np.uint64((1 << min(24, 6 + max(8, len(self.hash).bit_length()))) - 1)
+        self.ends = np.zeros(int(self.mask) + 1, bool)
+        self.ends[self.hash & self.mask] = True
 
     def __len__(self) -> int:
         return len(self.hash)
 
+    def all_matches(self, texts: list[str | None], coverage: float) -> list[list[tuple[int, int, float, int, bool]]]:
+        """matches of each text. Keys are looked up in CHUNK_SIGNS of texts at once, whose windows are those of each alone."""
+        found: list[list] = [[] for _ in texts]
+        first, signs = 0, 0
+        for k, text in enumerate(texts):
+            signs += len(text or "") + 1
+            if signs >= CHUNK_SIGNS or k == len(texts) - 1:
+                for i in self._holding(texts[first : k + 1]):
+                    found[first + i] = self.matches(texts[first + i], coverage)
+                first, signs = k + 1, 0
+        return found
+
+    def _holding(self, texts: list[str | None]) -> list[int]:
+        """Places of the texts that hold a key, or seem to across BETWEEN."""
+        tokens, sizes = [], []
+        for text in texts:
+            own = (text or "").split()
+            sizes.append(len(own) + 1)
+            tokens.append(BETWEEN)
+            tokens += own
+        codes, source = _coded(tokens)
+        word, kind, either, real = _read(codes)
+        owner = np.repeat(np.arange(len(texts)), sizes)[source][real]
+        who = []
+        for size in self.sizes if len(self) else ():
+            if len(word) >= size:
+                h, at, _, _ = windows(word, kind, either, size)
+                near = np.flatnonzero(self.ends[h & self.mask])
+                h = h[near]
+                hit = self.hash[np.minimum(np.searchsorted(self.hash, h), len(self.hash) - 1)] == h
+                who.append(owner[at[near[hit]] + size - 1])
+        return np.unique(np.concatenate(who)).tolist() if who else []
+
     def matches(self, text: str | None, coverage: float) -> list[tuple[int, int, float, int, bool]]:
         """(item_id, windows hit, coverage, slots, verbatim) of each item that the text holds."""
         own = _Text(text)
@@ -374,7 +435,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = COVERA
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [held.value.matches(t, coverage) for t in b.column(1).to_pylist()]
+            rows = held.value.all_matches(b.column(1).to_pylist(), coverage)
             take = [i for i, m in enumerate(rows) for _ in m]
             if take:
                 yield _found_batch(b.column(0).take(pa.array(take)), "doc_id", [x for m in rows for x in m])
@@ -393,7 +454,7 @@ def drop_contaminated(docs: DataFrame, benchmark: DataFrame, coverage: float = C
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield b.filter(pa.array([not held.value.matches(t, coverage) for t in b.column(at).to_pylist()], pa.bool_()))
+            yield b.filter(pa.array([not m for m in held.value.all_matches(b.column(at).to_pylist(), coverage)], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
 

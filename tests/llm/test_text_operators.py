@@ -1074,3 +1074,24 @@ def test_pipeline_on_odd_tables(spark, tmp_path, sf):
         assert cp.STAGES[-1][1](spark, now, sf).select("doc_id").distinct().count() == n
         first = cp.STAGES[0][1](spark, part, sf)
         assert first.columns == odd.columns and first.count() <= part.count()
+
+
+def test_texts_are_looked_up_together_as_each_alone(sf, monkeypatch):
+    rng = np.random.default_rng(5)
+    items = [(k, f"Tom {w} has {3 + k} apples and 5 cm of red {w} rope. He gives Ann {k} of them before the {w} train leaves.") for k, w in enumerate(("old", "new", "blue"))]
+    index = decontamination.Index([*items, (7, "only three words"), (8, "\0. begins \0. a word that parts texts")])
+    words = [w for _, t in items for w in t.split()] + ["5cm", "-", ".", "\0.", "7", "km", "Zoe", "three", "only"]
+    texts: list = [None, "", " . ", "only three words", *(t for _, t in items), *(t.replace("5 cm", "9cm") for _, t in items)]
+    for k in range(60):  # ends of one text and beginnings of the next make no item together
+        cut = int(rng.integers(1, 20))
+        t = items[k % 3][1].split()
+        texts += [" ".join(t[:cut]), " ".join(t[cut:]), " ".join(rng.choice(words, int(rng.integers(0, 40)))), "9", "cm of rope"]
+    alone = [index.matches(t, 0.5) for t in texts]
+    assert sum(map(bool, alone)) > 20
+    calls, made = [], decontamination.windows
+    monkeypatch.setattr(decontamination, "windows", lambda *a: calls.append(1) or made(*a))
+    assert index.all_matches(texts, 0.5) == alone
+    calls.clear()
+    assert not any(index.all_matches(["nothing of theirs stands in here at all"] * 200, 0.5)) and len(calls) == len(index.sizes)
+    monkeypatch.setattr(decontamination, "CHUNK_SIGNS", 50)
+    assert index.all_matches(texts, 0.5) == alone and index.all_matches([], 0.5) == []
