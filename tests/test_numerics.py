@@ -205,3 +205,16 @@ def test_kernel_work_goes_by_pairs_of_blocks(spark):
         near.setdefault(r["i"], []).append((-r["k"], r["j"]))
     for i in range(90):
         assert sorted(near[i])[:3] == sorted((-round(float(full[i, j]), 6) + 0.0, j) for j in range(90) if j != i)[:3]
+
+
+def test_text_examples_do_not_depend_on_slices(spark, sf, monkeypatch):
+    """A task holds the examples of TEXT_ROWS texts, not those of a whole batch; the examples are the same."""
+    from kernelblocks.operators import prep
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang").coalesce(1)
+    docs = docs.union(spark.createDataFrame([(-1, None, "en"), (-2, "", "fr"), (-3, "ab", "de")], docs.schema))
+    made = {}
+    for size in (3, 1 << 20):
+        monkeypatch.setattr(prep, "TEXT_ROWS", size)
+        made[size] = sorted(map(str, prep.text_task(docs, "doc_id", "text", "lang", ["en", "fr", "de", "es"]).collect()))
+    assert made[3] == made[1 << 20] and len(made[3]) == docs.count()
