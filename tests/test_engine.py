@@ -41,6 +41,15 @@ def test_equals_one_process(spark, xor, options):
     assert np.abs(run.model.matrix - np.vstack(root.w_bar)).max() < 1e-10
 
 
+@pytest.mark.parametrize("options", [{}, {"spread_rows": 40}, {"consensus": "join"}, {"spread_rows": 40, "consensus": "join"}])
+def test_the_models_step_is_the_same_everywhere(spark, xor, options):
+    xs, ys = blocks_of(pack(xor, 2))
+    n = sum(map(len, ys))
+    root, _ = solve_local(xs, ys, SolverConfig(FMAP, "hinge", "ridge", 1e-3, 1.0 / n, n, 1, 2, weight_pull=n / 10), 3)
+    run = solve(xor, FMAP, "hinge", "ridge", 1e-3, rows=2, iters=3, checkpoint_every=3, weight_pull=n / 10, **options)
+    assert np.abs(run.model.matrix - np.vstack(root.w_bar)).max() < 1e-9
+
+
 def test_keyed_sum_gives_the_same(spark, xor, monkeypatch):
     from kernelblocks.admm import engine
 
