@@ -97,7 +97,9 @@ def wide_print(hashes: np.ndarray, words: int = 4) -> np.ndarray:
                 h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
                 h ^= h >> np.uint64(31)
             all_bits[:, j] = h
-        ones += np.unpackbits(all_bits.view(np.uint8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        bits = np.unpackbits(all_bits.view(np.uint8), axis=1, bitorder="little")
+        for at in range(0, len(bits), 255):  # what a byte can count
+            ones += np.add.reduce(bits[at : at + 255], axis=0, dtype=np.uint8)
     return np.packbits(2 * ones > len(hashes), bitorder="little").view(np.uint64)
 
 

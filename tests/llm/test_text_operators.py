@@ -178,6 +178,45 @@ def test_near_copies_of_large_groups_are_found_in_pieces(spark, monkeypatch):
     assert [found.index(f) for f in found] == label
 
 
+def test_many_lists_are_compared_at_once(monkeypatch):
+    rng = np.random.default_rng(3)
+    sizes = rng.choice([1, 2, 9, 12, 30, 70], size=800)
+    starts, n = np.concatenate(([0], np.cumsum(sizes)[:-1])), []
+    bits = np.zeros((int(sizes.sum()), 256), np.uint8)
+    for at, k in zip(starts, sizes, strict=True):
+        base = rng.integers(0, 2, (max(1, k // 4), 256), dtype=np.uint8)
+        bits[at : at + k] = base[rng.integers(0, len(base), k)] ^ (rng.random((k, 256)) < rng.choice([0.1, 0.16, 0.2]))
+        n.append(np.sort(rng.integers(20, 60, k)))
+    n, prints = np.concatenate(n).astype(np.int32), np.packbits(bits, axis=1).view(np.uint64)
+    want, odd = np.arange(len(n)), np.arange(len(n))
+    for at, k in zip(starts, sizes, strict=True):
+        for i in range(at, at + k):
+            js = np.arange(i + 1, at + k)
+            js = js[(4 * n[js] <= 5 * n[i]) & (np.bitwise_count(prints[js] ^ prints[i]).sum(axis=1) <= nearcopies.RADIUS)]
+            want = nearcopies._merge(want, np.full(len(js), i), js)
+            js = js[(js + i) % 2 == 1]
+            odd = nearcopies._merge(odd, np.full(len(js), i), js)
+    calls = []
+    slow = nearcopies.near_places
+    monkeypatch.setattr(nearcopies, "near_places", lambda *a: calls.append(1) or slow(*a))
+    assert np.array_equal(nearcopies.spanned_lists(starts, n, prints), want)
+    assert len(calls) < 70  # a call for a distance, not for each list and distance
+    asked = lambda i, j: (i + j) % 2 == 1
+    assert np.array_equal(nearcopies.spanned_lists(starts, n, prints, None, asked), odd)
+
+
+def test_lists_of_the_same_nodes_are_compared_once(spark, monkeypatch):
+    words = [f"w{k}" for k in range(90)]
+    texts = [" ".join([*words[:44], f"z{k}", *words[45:]]) for k in range(30)]
+    monkeypatch.setattr(nearcopies, "FREQUENT", 10**6)
+    seen = []
+    slow = nearcopies._near_in_lists
+    monkeypatch.setattr(nearcopies, "_near_in_lists", lambda rows, *a: seen.append(rows.count()) or slow(rows, *a))
+    kept = nearcopies.keep_one(spark.createDataFrame(list(enumerate(texts)), DOC).repartition(3))
+    assert [r["doc_id"] for r in kept.collect()] == [0]
+    assert seen and seen[0] <= 4 * len(texts)  # the group's keys are many more
+
+
 def slow_groups(sets):
     """For each set the place of the first that it reaches by steps of Jaccard 0.8 or more."""
     near = [[j for j, b in enumerate(sets) if a == b or len(a & b) >= 0.8 * len(a | b)] for a in sets]
