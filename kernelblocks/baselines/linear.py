@@ -10,9 +10,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kernelblocks.admm.engine import Model
+from kernelblocks.admm.tiled import _at_most
 from kernelblocks.functions.featuremaps import FeatureMap
 from kernelblocks.functions.prox import loss_of
-from kernelblocks.plans.blocks import pack, unpack_batch, unpack_rows
+from kernelblocks.plans.blocks import _binaries, is_sparse, pack, unpack_batch, unpack_rows
+
+#: What the features of one stored tile may take, and how many tiles a task has at once.
+TILE_BYTES, TILES_AT_ONCE = 4 << 20, 4
 
 
 def materialize(df: DataFrame, fmap: FeatureMap) -> DataFrame:
@@ -28,22 +32,48 @@ def materialize(df: DataFrame, fmap: FeatureMap) -> DataFrame:
     return src.mapInArrow(run, "row_id long, z array<double>, y array<double>")
 
 
+def stored_tiles(df: DataFrame, fmap: FeatureMap) -> DataFrame:
+    """(z, y, counts): the features stored as packed tiles of rows. Plain rows of a batch that are alike in x and y are one with a count."""
+    rows, sparse = max(64, TILE_BYTES // (8 * fmap.s)), is_sparse(df)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            step = rows if sparse else max(1, b.num_rows)
+            for k in range(0, b.num_rows, step):
+                n, d, raw, y, counts = _binaries(pa.Table.from_batches([b.slice(k, step)]))
+                x, y = unpack_batch(raw, d), np.frombuffer(y, "<f8").reshape(n, -1)
+                many = np.frombuffer(counts, "<f8") if counts is not None else None
+                for at in range(0, n, rows):
+                    z = fmap.features(x if sparse else x[at : at + rows])
+                    own = many[at : at + rows].tobytes() if many is not None else None
+                    cols = [z.astype("<f8").tobytes()], [y[at : at + rows].tobytes()], [own]
+                    yield pa.RecordBatch.from_arrays([pa.array(c, pa.binary()) for c in cols], names=["z", "y", "counts"])
+
+    return df.select("x", F.col("y").cast("array<double>").alias("y")).mapInArrow(run, "z binary, y binary, counts binary")
+
+
 def _gradient(stored: DataFrame, w: np.ndarray, loss: str, lam: float) -> tuple[float, np.ndarray]:
     sent = stored.sparkSession.sparkContext.broadcast(w)
 
     def part(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        w, f, value, g, n = sent.value, loss_of(loss), 0.0, np.zeros_like(sent.value), 0
+        w, f, value, g, n = sent.value, loss_of(loss), 0.0, np.zeros_like(sent.value), 0.0
         for b in batches:
-            if not b.num_rows:
-                continue
-            z, y = (b.column(k).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1) for k in (0, 1))
-            o = z @ w
-            value += f.value(o, y)
-            g += z.T @ f.slope(o, y)
-            n += len(z)
-        yield pa.RecordBatch.from_arrays([pa.array([value]), pa.array([n]), pa.array([g.tobytes()], pa.binary())], names=["value", "n", "g"])
-
-    got = stored.select("z", "y").mapInArrow(part, "value double, n long, g binary").collect()
+            for r in range(b.num_rows):
+                z = np.frombuffer(b.column(0)[r].as_py(), "<f8").reshape(-1, len(w))
+                y = np.frombuffer(b.column(1)[r].as_py(), "<f8").reshape(len(z), -1)
+                raw, o = b.column(2)[r].as_py(), z @ w
+                slope = f.slope(o, y)
+                if raw is None:
+                    value, n = value + f.value(o, y), n + len(z)
+                else:
+                    many = np.frombuffer(raw, "<f8")
+                    value += sum(c * f.value(o[many == c], y[many == c]) for c in np.unique(many))
+                    slope, n = slope * many[:, None], n + many.sum()
+                g += z.T @ slope
+        yield pa.RecordBatch.from_arrays([pa.array([float(value)]), pa.array([int(n)]), pa.array([g.tobytes()], pa.binary())], names=["value", "n", "g"])
+
+    with _at_most(stored.sparkSession, TILES_AT_ONCE):
+        got = stored.mapInArrow(part, "value double, n long, g binary").collect()
     n = max(1, sum(r["n"] for r in got))
     g = sum(np.frombuffer(bytes(r["g"]), "<f8") for r in got).reshape(w.shape)
     return sum(r["value"] for r in got) / n + lam * float((w * w).sum()), g / n + 2 * lam * w
@@ -55,7 +85,7 @@ def materialized_linear(df: DataFrame, fmap: FeatureMap, loss: str = "hinge", la
     optimizer: "sgd" averages decreasing subgradient steps, "lbfgs" keeps the best of quasi-Newton steps,
     "mllib" is the library's own linear support vector classifier (two classes).
     """
-    stored = materialize(df, fmap).persist()
+    stored = (materialize if optimizer == "mllib" else stored_tiles)(df, fmap).persist()
     bounds = fmap.bounds()
 
     def model(w: np.ndarray) -> Model:

@@ -336,6 +336,27 @@ def test_linear_solvers_on_stored_features(spark, xor):
     assert measures.accuracy(predict(xor, lib)) > 0.85
 
 
+def test_stored_features_count_equal_rows_once(spark, xor):
+    from kernelblocks.baselines.linear import _gradient, stored_tiles
+    from kernelblocks.functions.prox import loss_of
+
+    rows = [(k, [float(k % 7), float(k % 3)], [1.0 if k % 2 else -1.0, 0.0 if k % 2 else 1.0]) for k in range(3000)]
+    same = spark.createDataFrame(rows, "row_id long, x array<double>, y array<double>").coalesce(2)
+    assert stored_tiles(same, FMAP).agg(F.sum(F.length("z"))).first()[0] <= 2 * 42 * FMAP.s * 8
+    w = np.random.default_rng(5).normal(size=(FMAP.s, 2))
+    docs = text_task(spark.createDataFrame([(k, f"abc {k}", k % 2) for k in range(200)], "k long, t string, c int"), "k", "t", "c", [0, 1])
+    wide = FourierMap(256, 64, 4, 1, sigma=1.0)
+    for df, fmap, m in ((same, FMAP, 2), (xor, FMAP, 1), (docs, wide, 1)):
+        plain = densified(df) if df is docs else df
+        got = plain.select("x", "y").collect()
+        z, y = fmap.features(np.array([r["x"] for r in got], float)), np.array([r["y"] for r in got], float)
+        for loss in ("hinge", "squared") + (("logistic",) if m > 1 else ()):
+            f, v = loss_of(loss), w[:, :m]
+            value, g = _gradient(stored_tiles(df, fmap), v, loss, 1e-2)
+            assert np.isclose(value, f.value(z @ v, y) / len(z) + 1e-2 * (v * v).sum())
+            assert np.allclose(g, z.T @ f.slope(z @ v, y) / len(z) + 2e-2 * v)
+
+
 def test_average_of_parts_is_worse_than_the_whole(spark, xor):
     whole = objective(xor, feature_ridge(xor, FMAP, 1e-3), "squared", "ridge", 1e-3)
     parts = objective(xor, average_ensemble(xor, FMAP, 1e-3, 8), "squared", "ridge", 1e-3)
