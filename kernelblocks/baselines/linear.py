@@ -86,6 +86,7 @@ def materialized_linear(df: DataFrame, fmap: FeatureMap, loss: str = "hinge", la
     "mllib" is the library's own linear support vector classifier (two classes).
     """
     stored = (materialize if optimizer == "mllib" else stored_tiles)(df, fmap).persist()
+    stored.count()  # made here: the rounds' plans give Python few rows at once
     bounds = fmap.bounds()
 
     def model(w: np.ndarray) -> Model:
