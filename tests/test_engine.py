@@ -145,6 +145,24 @@ def test_a_large_block_is_spread_by_itself(spark, xor, options, monkeypatch):
     assert few.config.n == xor.count()
 
 
+def test_passes_over_tiles_never_fill_the_storage_memory(spark, xor, monkeypatch):
+    from kernelblocks.admm import tiled
+
+    kept, levels = tiled.kept_flat, []
+
+    def seen(df, **options):
+        before = set(spark.sparkContext._jsc.getPersistentRDDs())
+        out = kept(df, **options)
+        held = spark.sparkContext._jsc.getPersistentRDDs()
+        levels.extend(("tile" in df.columns, held[k].getStorageLevel().useMemory()) for k in held if k not in before)
+        return out
+
+    monkeypatch.setattr(tiled, "kept_flat", seen)
+    solve(xor, FMAP, rows=1, iters=2, spread_rows=40, block_tasks=1)
+    # all tiles of a row block may lie in one task: their states go to disk as they come, the local models are small
+    assert sorted(levels) == [(False, True)] * 2 + [(True, False)] * 2
+
+
 def test_rows_alike_count_as_often_as_they_are(spark, xor, monkeypatch):
     from kernelblocks.admm import engine
 
