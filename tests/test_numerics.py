@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from kernelblocks.admm import generic
 from kernelblocks.functions import graphproj, kernels, prox, rng
@@ -207,6 +208,22 @@ def test_kernel_work_goes_by_pairs_of_blocks(spark):
         assert sorted(near[i])[:3] == sorted((-round(float(full[i, j]), 6) + 0.0, j) for j in range(90) if j != i)[:3]
 
 
+def test_pairs_of_blocks_take_no_copies_of_rows(spark, capsys):
+    x = np.random.default_rng(4).normal(size=(70, 3))
+    df = spark.createDataFrame([(int(i) - 35, [float(v) for v in r]) for i, r in enumerate(x)], "row_id long, x array<double>")
+    k = kernels.make("gaussian", sigma=1.0)
+    got = kernels.gram(df, k, 10)
+    got.explain()
+    assert "Exchange" not in capsys.readouterr().out  # blocks are read where they lie, not sent to each pair
+    sizes = got.groupBy(F.spark_partition_id().alias("task")).count().collect()
+    assert sum(r["count"] for r in sizes) == 70 * 71 // 2 and len(sizes) == 7 * 8 // 2
+    full = k(x, x)
+    pairs = {(r["i"] + 35, r["j"] + 35): r["k"] for r in got.collect()}
+    assert set(pairs) == {(i, j) for i in range(70) for j in range(i, 70)}
+    assert max(abs(v - full[i, j]) for (i, j), v in pairs.items()) < 1e-12
+    assert kernels.gram(df.limit(0), k).count() == 0
+
+
 def test_text_examples_do_not_depend_on_slices(spark, sf, monkeypatch):
     """A task holds the examples of TEXT_ROWS texts, not those of a whole batch; the examples are the same."""
     from kernelblocks.operators import prep
