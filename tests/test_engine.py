@@ -395,3 +395,24 @@ def test_feature_count_raises_accuracy(spark, sf):
 
     got = {r["value"]: r["result"] for r in feature_growth(spark, sf, (4, 256)).collect()}
     assert got[256.0] > got[4.0] and got[256.0] > got[0.0] + 0.2
+
+
+def test_the_breakdown_is_of_all_rows(spark, sf, monkeypatch):
+    from kernelblocks.workloads import experiments
+
+    seen = []
+
+    def solved(train, *args, **kw):
+        run = solve(train, *args, **kw)
+        seen.append(run.config.n)
+        return run
+
+    def scored(run, test):
+        seen.append(test.count())
+        return 0.0, 1.0
+
+    monkeypatch.setattr(experiments, "solve", solved)
+    monkeypatch.setattr(experiments, "_score", scored)
+    steps = {r["step"] for r in experiments.big_breakdown(spark, sf, s=16, cols=2, iters=2, rows=2).collect()}
+    assert seen == [part.count() for part in experiments.train_test(spark, sf, "cells25")]
+    assert {"transform", "projection", "prox", "barrier", "communication", "prediction", "total"} <= steps
